@@ -70,34 +70,46 @@ class Rules:
         return self.page_ids is None or int(head.get("x-page-id", "-1")) in self.page_ids
 
 
+class _Member:
+    """Inflates one gzip member piece by piece."""
+
+    def __init__(self, view: memoryview, at: int):
+        self.view, self.fed, self.start, self.z = view, at, at, zlib.decompressobj(31)
+
+    def read(self, most: int) -> bytes:
+        block = self.z.unconsumed_tail
+        if not block:
+            block = self.view[self.fed : self.fed + CHUNK]
+            self.fed += len(block)
+        out = self.z.decompress(block, most)
+        if not len(block) and not out and not self.z.eof:
+            raise ValueError(f"the record at byte {self.start} is cut off")
+        return out
+
+    def end(self) -> int:
+        return self.fed - len(self.z.unused_data)
+
+
 def records(data: bytes, rules: Rules, payloads: bool) -> Iterator[tuple[int, dict[str, str], bytes | None]]:
     """(offset, header, payload) of the records that the rules admit. Only headers are parsed of the others."""
     view, at = memoryview(data), 0
     while at < len(data):
-        unpack = zlib.decompressobj(31)
-        text, fed = b"", at
-        while b"\r\n\r\n" not in text and not unpack.eof and fed < len(data):
-            text += unpack.decompress(view[fed : fed + CHUNK], CHUNK) if not unpack.unconsumed_tail else unpack.decompress(unpack.unconsumed_tail, CHUNK)
-            fed += 0 if unpack.unconsumed_tail else CHUNK
+        member, text = _Member(view, at), b""
+        while b"\r\n\r\n" not in text and not member.z.eof:
+            text += member.read(CHUNK)
         head, _, body = text.partition(b"\r\n\r\n")
         if not head.startswith(b"WARC/"):
             raise ValueError(f"no WARC record at byte {at}")
         fields = {k.strip().lower(): v.strip() for k, v in (x.split(":", 1) for x in head.decode("utf-8", "replace").split("\r\n")[1:] if ":" in x)}
-        wanted = payloads and rules.admit(fields)
-        parts, n = [body] if wanted else [], len(body)
-        while not unpack.eof:  # the member's end has to be found; a payload that isn't wanted is inflated in pieces and let go
-            block = unpack.unconsumed_tail or view[fed : fed + CHUNK]
-            if not len(block):
-                raise ValueError(f"the record at byte {at} is cut off")
-            fed += 0 if unpack.unconsumed_tail else CHUNK
-            more = unpack.decompress(block, 1 << 20)
-            n += len(more)
-            if wanted:
+        admitted = rules.admit(fields)
+        parts = [body] if payloads and admitted else None
+        while not member.z.eof:  # the member's end has to be found; a payload that isn't wanted is inflated in pieces and let go
+            more = member.read(1 << 20)
+            if parts is not None:
                 parts.append(more)
-        if rules.admit(fields):
-            length = int(fields.get("content-length", max(0, n - 4)))
-            yield at, fields, b"".join(parts)[:length] if wanted else None
-        at = min(fed, len(data)) - len(unpack.unused_data)
+        if admitted:
+            yield at, fields, None if parts is None else b"".join(parts)[: int(fields.get("content-length", 0))]
+        at = member.end()
 
 
 class _Part(InputPartition):
