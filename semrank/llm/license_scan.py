@@ -8,7 +8,7 @@ share of the template that its words cover, each hit having been compared word b
 
 Short phrases (``PHRASES``) count where all their words stand consecutively: all votes on one diagonal.
 
-Cases: a null, empty or wordless text has no words and no labels; rows with equal doc_id and text share one search;
+Cases: a null, empty or wordless text has no words and no labels; repeated rows are searched one by one;
 other columns are ignored; a null doc_id is kept; an empty table gives an empty result.
 """
 
@@ -38,13 +38,14 @@ TEMPLATES = {
 }
 #: Diagonals at most so far apart are one span; the share of a template's k-grams from which a span counts.
 NEAR, COVER = 3, 0.8
-WORD = "[^\\x00-\\x2F\\x3A-\\x40\\x5B-\\x60\\x7B-\\x7F]+"
+#: The words ``[^\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+`` of lower-cased text, most frequent characters first.
+WORD = "[a-z\\x{80}-\\x{10FFFF}0-9]++"
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
 def words_of(text: Column) -> Column:
     """Words, A-Z lower-cased. lower() is the fast way; the two letters whose lower case is or holds an ASCII letter go by hand."""
-    odd = text.contains("K") | text.contains("İ")
+    odd = text.contains("\u212a") | text.contains("\u0130")
     lowered = F.when(odd, F.translate(text, _UPPER, _LOWER)).otherwise(F.lower(text))
     return F.regexp_extract_all(lowered, F.lit(WORD), F.lit(0))
 
@@ -60,43 +61,53 @@ def template_grams(spark: SparkSession) -> DataFrame:
 
 
 def hits(docs: DataFrame) -> DataFrame:
-    """(doc_id, row_key, template, label, base, size, place, pos): every place where a template's pair of words stands."""
+    """(row, doc_id, n_words, template, label, base, size, place, pos): every place where a template's pair of words stands.
+
+    Each row of ``docs`` also gives one row without a template, which carries its number of words.
+    """
     vocabulary = sorted({w for t in (*PHRASES, *TEMPLATES) for w in t.split(" ")})
-    rows = docs.select("doc_id", F.xxhash64("text").alias("row_key"), words_of(F.col("text")).alias("words")).filter(F.size("words") >= 2)
+    rows = docs.select("doc_id", F.monotonically_increasing_id().alias("row"), F.coalesce(words_of(F.col("text")), F.array().cast("array<string>")).alias("words"))
     # a pair with a word that no template has can't join, so it isn't made
-    places = F.filter(F.sequence(F.lit(0), F.size("words") - 2), lambda i: F.get("words", i).isin(vocabulary) & F.get("words", i + 1).isin(vocabulary))
+    places = F.filter(F.sequence(F.lit(0), F.greatest(F.size("words") - 2, F.lit(0))), lambda i: F.get("words", i).isin(vocabulary) & F.coalesce(F.get("words", i + 1).isin(vocabulary), F.lit(False)))
     pairs = F.transform(places, lambda i: F.struct(i.alias("pos"), F.get("words", i).alias("a"), F.get("words", i + 1).alias("b")))
-    grams = rows.select("doc_id", "row_key", F.inline(pairs)).withColumn("hash", F.xxhash64("a", "b"))
-    return grams.join(F.broadcast(template_grams(docs.sparkSession)), "hash").filter("a = t_a and b = t_b").select("doc_id", "row_key", "template", "label", "base", "size", "place", "pos")
+    none = F.array(F.struct(F.lit(None).cast("int").alias("pos"), F.lit(None).cast("string").alias("a"), F.lit(None).cast("string").alias("b")))
+    grams = rows.select("row", "doc_id", F.size("words").cast("long").alias("n_words"), F.inline(F.concat(none, pairs))).withColumn("hash", F.xxhash64("a", "b"))
+    joined = grams.join(F.broadcast(template_grams(docs.sparkSession)), "hash", "left")
+    return joined.filter("pos is null or (a = t_a and b = t_b)").select("row", "doc_id", "n_words", "template", "label", "base", "size", "place", "pos")
 
 
 def spans(docs: DataFrame) -> DataFrame:
-    """(doc_id, row_key, label, base, first_word, last_word, score) of every verified span; words count from 0."""
+    """(row, doc_id, n_words, label, base, first_word, last_word, score) of every verified span; words count from 0.
+
+    A row of ``docs`` without spans gives one row without a label.
+    """
+    keys = ["row", "doc_id", "n_words"]
     votes = (
         hits(only(docs, "doc_id", "text")).withColumn("diagonal", F.col("pos") - F.col("place"))
-        .groupBy("doc_id", "row_key", "template", "label", "base", "size", "diagonal")
+        .groupBy(*keys, "template", "label", "base", "size", "diagonal")
         .agg(F.collect_set("place").alias("places"), F.min("pos").alias("low"), F.max("pos").alias("high"))
     )
-    exact = votes.filter("base and size(places) = size - 1").select("doc_id", "row_key", "label", "base", F.col("diagonal").alias("first_word"), (F.col("diagonal") + F.col("size") - 1).alias("last_word"), F.lit(1.0).alias("score"))
-    w = W.partitionBy("doc_id", "row_key", "template").orderBy("diagonal")
-    near = votes.filter("not base").withColumn("new", F.when(F.col("diagonal") - F.lag("diagonal").over(w) <= NEAR, 0).otherwise(1)).withColumn("cluster", F.sum("new").over(w))
-    merged = near.groupBy("doc_id", "row_key", "template", "label", "base", "size", "cluster").agg(F.size(F.array_distinct(F.flatten(F.collect_list("places")))).alias("n"), F.min("low").alias("low"), F.max("high").alias("high"))
-    fuzzy = merged.withColumn("score", F.col("n") / (F.col("size") - 1)).filter(F.col("score") >= COVER)
-    return exact.unionByName(fuzzy.select("doc_id", "row_key", "label", "base", F.col("low").alias("first_word"), (F.col("high") + 1).alias("last_word"), "score"))
+    # neighbouring diagonals are one span; a phrase has all its votes on one diagonal, so each of its diagonals stands alone
+    w = W.partitionBy("row", "template").orderBy("diagonal")
+    apart = F.coalesce(F.col("base"), F.lit(True)) | F.coalesce(F.col("diagonal") - F.lag("diagonal").over(w) > NEAR, F.lit(True))
+    merged = (
+        votes.withColumn("new", apart.cast("int")).withColumn("span", F.sum("new").over(w))
+        .groupBy(*keys, "template", "label", "base", "size", "span")
+        .agg(F.size(F.array_distinct(F.flatten(F.collect_list("places")))).alias("n"), F.min("low").alias("first_word"), (F.max("high") + 1).alias("last_word"))
+    )
+    scored = merged.withColumn("score", F.col("n") / (F.col("size") - 1))
+    return scored.filter(F.col("template").isNull() | F.when(F.col("base"), F.col("score") == 1).otherwise(F.col("score") >= COVER)).select(*keys, "label", "base", "first_word", "last_word", "score")
 
 
 def scan(docs: DataFrame) -> DataFrame:
     """doc_id, n_words, n_base, first_word, last_word, base_labels, labels, score: one row per row of ``docs``."""
-    docs = only(docs, "doc_id", "text")
-    found = spans(docs).groupBy("doc_id", "row_key").agg(
-        F.sum(F.col("base").cast("long")).alias("n_base"),
-        F.min(F.when(F.col("base"), F.col("first_word"))).cast("long").alias("first_word"),
-        F.max(F.when(F.col("base"), F.col("first_word"))).cast("long").alias("last_word"),
+    base_start = F.when(F.col("base"), F.col("first_word"))
+    found = spans(docs).groupBy("row", "doc_id", "n_words").agg(
+        F.coalesce(F.sum(F.col("base").cast("long")), F.lit(0)).alias("n_base"),
+        F.min(base_start).cast("long").alias("first_word"),
+        F.max(base_start).cast("long").alias("last_word"),
         F.concat_ws(",", F.array_sort(F.collect_set(F.when(F.col("base"), F.col("label"))))).alias("base_labels"),
         F.concat_ws(",", F.array_sort(F.collect_set("label"))).alias("labels"),
-        F.max("score").alias("score"),
+        F.coalesce(F.max("score"), F.lit(0.0)).alias("score"),
     )
-    n_words = F.when(F.col("text").isNull(), F.lit(0)).otherwise(F.regexp_count("text", F.lit(WORD))).cast("long")
-    rows = docs.select("doc_id", F.xxhash64("text").alias("row_key"), n_words.alias("n_words")).alias("d")
-    out = rows.join(found.alias("f"), F.col("d.row_key").eqNullSafe(F.col("f.row_key")) & F.col("d.doc_id").eqNullSafe(F.col("f.doc_id")), "left")
-    return out.select("d.doc_id", "n_words", F.coalesce("n_base", F.lit(0)).cast("long").alias("n_base"), "first_word", "last_word", F.coalesce("base_labels", F.lit("")).alias("base_labels"), F.coalesce("labels", F.lit("")).alias("labels"), F.coalesce("score", F.lit(0.0)).alias("score"))
+    return found.drop("row")
