@@ -7,8 +7,8 @@ confirmed on the full shingle sets.
 
 Links are found without enumerating groups:
 1. documents with the same shingle set form one class, which its smallest doc_id represents;
-2. every class is compared with the smallest members of its bands and confirmed against the most similar one,
-   at most one pair per class, which gives a forest of confirmed links;
+2. every class is compared with one leader per band and confirmed against the most similar, at most one pair per
+   class; a second turn with other leaders looks across the trees that this gives;
 3. bands that still hold classes of different trees are compared across trees only, and confirmed in full, so no
    link that would join two groups is lost;
 4. components come from pointer jumping and min-label rounds over tables in the shared folder.
@@ -23,6 +23,7 @@ rows with a null doc_id link with nothing; other columns are ignored; an empty t
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -32,16 +33,15 @@ from pyspark.sql import functions as F
 
 from .common import as_bytes, blank_words, only, pa_schema, stored
 
-BANDS, ROWS, BITS = 38, 5, 4
-HASHES = 192  # BANDS * ROWS, rounded up to whole longs of BITS-bit fields
+BANDS, ROWS, BITS, HASHES = 38, 5, 2, 768
 LONGS = HASHES * BITS // 64
 #: Standard deviations below the threshold at which an estimate still leads to a confirmation.
-SLACK = 5.0
+SLACK = 4.5
 _SEEDS = np.random.Generator(np.random.PCG64(20231))
 _MUL = (_SEEDS.integers(0, 2**32, HASHES, dtype=np.uint64) | np.uint64(1)).astype(np.uint32)
 _ADD = _SEEDS.integers(0, 2**32, HASHES, dtype=np.uint64).astype(np.uint32)
 _FOLD = _SEEDS.integers(0, 2**63, (BANDS, ROWS), dtype=np.uint64) | np.uint64(1)
-_EQUAL_FIELDS = 0x1111111111111111
+_FIELDS = 0x5555555555555555
 
 
 def shingle_set(text: bytes | None, width: int) -> np.ndarray:
@@ -70,7 +70,7 @@ def minima(shingles: np.ndarray) -> np.ndarray:
 
 
 def packed(low: np.ndarray) -> np.ndarray:
-    """The low BITS bits of each (mixed) minimum, sixteen fields to a long."""
+    """The low BITS bits of each (mixed) minimum, side by side in longs."""
     field = ((low * np.uint32(0x85EBCA6B)) ^ (low >> np.uint32(15))).astype(np.uint64) & np.uint64(2**BITS - 1)
     return (field.reshape(LONGS, -1) << (np.arange(64 // BITS, dtype=np.uint64) * np.uint64(BITS))).sum(axis=1, dtype=np.uint64).view(np.int64)
 
@@ -112,8 +112,7 @@ def similarity_estimate(a: str, b: str) -> Column:
     terms = []
     for i in range(LONGS):
         x = f"({a}.s{i:02} ^ {b}.s{i:02})"
-        two = f"({x} | shiftrightunsigned({x}, 1))"
-        terms.append(f"bit_count(({two} | shiftrightunsigned({two}, 2)) & {_EQUAL_FIELDS}L)")
+        terms.append(f"bit_count(({x} | shiftrightunsigned({x}, 1)) & {_FIELDS}L)")
     differing = F.expr(" + ".join(terms))
     chance = 1 / 2**BITS
     return ((F.lit(1.0) - differing / F.lit(float(HASHES))) - F.lit(chance)) / F.lit(1 - chance)
@@ -179,6 +178,10 @@ def components(edges: DataFrame) -> DataFrame:
     return ids if ids is not None else edges.sparkSession.createDataFrame([], "id bigint, label bigint")
 
 
+def _low(band: Column) -> Column:
+    return band.bitwiseAND(F.lit(0x7FFFFFFF)).cast("int")
+
+
 def near_groups(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept): one row per row of ``docs``."""
     docs = only(docs, "doc_id", "text")
@@ -194,24 +197,31 @@ def near_groups(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame
     sig = [f"s{i:02}" for i in range(LONGS)]
     low = F.lit(least_estimate(percent / 100))
     banded = reps.select(F.col("doc_id").alias("id"), F.explode("bands").alias("band"))
-    heads = stored(banded.groupBy("band").agg(F.min("id").alias("head"), F.count("*").alias("n")).filter("n > 1"), "bands")
-
-    # round one: the best head of each class
-    left, right = reps.select(F.col("doc_id").alias("id"), *sig).alias("l"), reps.select(F.col("doc_id").alias("head"), *sig).alias("r")
-    tries = banded.join(heads, "band").filter("id <> head").select("id", "head").distinct()
-    scored = tries.join(left, "id").join(right, "head").select("id", "head", similarity_estimate("l", "r").alias("est")).filter(F.col("est") >= low)
-    best = scored.groupBy("id").agg(F.max(F.struct("est", (-F.col("head")).alias("neg"))).alias("m")).select(F.col("id").alias("b"), (-F.col("m.neg")).alias("a"))
-    first = stored(confirmed(best, texts, width, percent), "links")
-    trees = components(first)
-
-    # round two: across trees, in bands that hold several
-    tree_of = trees.select("id", F.col("label").alias("tree"))
-    members = stored(banded.join(heads.select("band"), "band").join(tree_of, "id", "left").select("band", "id", F.coalesce("tree", "id").alias("tree")), "members")
-    mixed = members.groupBy("band").agg(F.min("tree").alias("x"), F.max("tree").alias("y")).filter("x < y").select("band")
-    side = stored(members.join(mixed, "band").join(reps.select(F.col("doc_id").alias("id"), *sig), "id"), "mixed")
+    crowded = banded.groupBy("band").agg(F.count("*").alias("n")).filter("n > 1").select("band")
+    members = stored(banded.join(crowded, "band"), "members")
+    packs = reps.select(F.col("doc_id").alias("id"), *sig)
+
+    # every class and the most similar of the classes that lead its bands; other leaders in the second turn, across trees only
+    links, trees = [], None
+    for turn in range(2):
+        there = members.withColumn("tree", F.col("id")) if trees is None else members.join(trees.select("id", F.col("label").alias("tree")), "id", "left").withColumn("tree", F.coalesce("tree", "id"))
+        there = there.withColumn("turn_key", F.xxhash64("id", "band", F.lit(turn)))
+        leaders = there.groupBy("band").agg(F.min(F.struct("turn_key", "id", "tree")).alias("m")).select("band", F.col("m.id").alias("head"), F.col("m.tree").alias("head_tree"))
+        tries = there.join(leaders, "band").filter("tree <> head_tree").select("id", "head").distinct()
+        scored = tries.join(packs.alias("l"), "id").join(packs.select(F.col("id").alias("head"), *sig).alias("r"), "head").select("id", "head", similarity_estimate("l", "r").alias("est")).filter(F.col("est") >= low)
+        best = scored.groupBy("id").agg(F.max(F.struct("est", (-F.col("head")).alias("neg"))).alias("m")).select(F.col("id").alias("b"), (-F.col("m.neg")).alias("a"))
+        links.append(stored(confirmed(best, texts, width, percent), "links"))
+        trees = components(reduce(DataFrame.union, links))
+
+    # what is left: across trees, in bands that hold several, every pair in the first band that it shares
+    there = members.join(trees.select("id", F.col("label").alias("tree")), "id", "left").withColumn("tree", F.coalesce("tree", "id"))
+    mixed = there.groupBy("band").agg(F.min("tree").alias("x"), F.max("tree").alias("y")).filter("x < y").select("band")
+    short = F.transform("bands", _low)  # 31 bits are enough to tell two keys of the same band apart
+    side = stored(there.join(mixed, "band").join(reps.select(F.col("doc_id").alias("id"), short.alias("short"), *sig), "id"), "mixed")
     l, r = side.alias("l"), side.alias("r")
+    first_shared = F.get(F.filter(F.arrays_zip(F.col("l.short").alias("x"), F.col("r.short").alias("y")), lambda z: z["x"] == z["y"]), F.lit(0))["x"] == _low(F.col("l.band"))
     across = (
-        l.join(r, (F.col("l.band") == F.col("r.band")) & (F.col("l.tree") != F.col("r.tree")) & (F.col("l.id") < F.col("r.id")) & (similarity_estimate("l", "r") >= low))
+        l.join(r, (F.col("l.band") == F.col("r.band")) & (F.col("l.tree") != F.col("r.tree")) & (F.col("l.id") < F.col("r.id")) & (similarity_estimate("l", "r") >= low) & first_shared)
         .select(F.col("l.id").alias("a"), F.col("r.id").alias("b")).distinct()
     )
     second = stored(confirmed(across, texts, width, percent), "links")
