@@ -12,6 +12,8 @@ from pyspark.sql import types as T
 
 #: The bytes that one word pattern keeps (digits, a-z, all bytes of non-ASCII code points).
 _ALNUM = bytes(b if 0x30 <= b <= 0x39 or 0x61 <= b <= 0x7A or b >= 0x80 else 0x20 for b in range(256))
+#: Bytes of one Arrow batch on its way to Python.
+BATCH_BYTES = 8 << 20
 #: Fixed value: the white space of ``[\x20\x09-\x0D]``.
 BLANKS = b" \t\n\x0b\x0c\r"
 
@@ -69,9 +71,17 @@ def as_bytes(batch: pa.RecordBatch, name: str = "text") -> list[bytes | None]:
     return column.to_pylist()
 
 
+def bounded_batches(spark: SparkSession, most: int = BATCH_BYTES) -> None:
+    """Arrow batches of few megabytes, whatever the length of texts, so that Python workers need little memory."""
+    now = spark.conf.get("spark.sql.execution.arrow.maxBytesPerBatch", None)
+    if not now or not now.rstrip("bB").isdigit() or int(now.rstrip("bB")) > most:
+        spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(most))
+
+
 def per_batch(df: DataFrame, make: Callable[[pa.RecordBatch], dict], schema: str) -> DataFrame:
     """mapInArrow with a function that turns a batch into a dict of columns in the order of ``schema``."""
     types = pa_schema(schema)
+    bounded_batches(df.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:

@@ -15,6 +15,7 @@ and labels other than 0 and 1 are ignored; a doc_id labelled both ways counts on
 
 from __future__ import annotations
 
+from collections import Counter
 from collections.abc import Iterable
 from dataclasses import dataclass, field
 
@@ -24,10 +25,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import alnum_words, as_bytes, only
+from .common import alnum_words, as_bytes, bounded_batches, only, per_batch
 
 #: Labelled rows of each class that are learnt from, features kept, and the score from which a text is toxic.
-PER_CLASS, FEATURES, THRESHOLD = 4_000, 4_096, 0.3
+PER_CLASS, FEATURES, THRESHOLD = 2_500, 4_096, 0.3
 #: Names of groups of people, one tuple per kind; a term is swapped within its kind.
 IDENTITY = (
     ("women", "men", "girls", "boys", "frauen", "männer", "femmes", "hommes", "mujeres", "hombres"),
@@ -39,7 +40,7 @@ IDENTITY = (
 )
 _GROUP = {w.encode(): [x.encode() for x in kind if x != w] for kind in IDENTITY for w in kind}
 _TERMS = sorted(_GROUP)
-_MEMO = 300_000
+_MEMO = 200_000
 
 
 def word_features(word: bytes) -> list[bytes]:
@@ -48,14 +49,13 @@ def word_features(word: bytes) -> list[bytes]:
     return [b"=" + word, *(b"^" + chars[:n].encode() for n in (4, 5, 6) if len(chars) > n)]
 
 
-def swapped(words: Iterable[bytes], salt: int) -> tuple[set[bytes], set[bytes]]:
-    """Two views of a set of words that differ in identity terms only."""
+def swapped(words: set[bytes], salt: int) -> tuple[set[bytes], set[bytes]]:
+    """Two views of a text's identity terms: its own and others of the same kinds; for a text without any, one mention against another or none."""
     own = set(words)
-    terms = sorted(w for w in own if w in _GROUP)
-    if terms:
-        return own, (own - set(terms)) | {_GROUP[w][salt % len(_GROUP[w])] for w in terms}
+    if own:
+        return own, {_GROUP[w][salt % len(_GROUP[w])] for w in own}
     a = _TERMS[salt % len(_TERMS)]
-    return own | {a}, (own | {_GROUP[a][salt // 7 % len(_GROUP[a])]} if salt % 2 else own)
+    return {a}, ({_GROUP[a][salt // 7 % len(_GROUP[a])]} if salt % 2 else set())
 
 
 @dataclass
@@ -102,36 +102,42 @@ def _memo_of(model: Classifier) -> dict:
     return _memos[key]
 
 
-def fit(texts: list[bytes | None], labels: list[int], counterfactual: float = 1.0, decay: float = 1e-4, steps: int = 400) -> Classifier:
+def fit(texts: list[bytes | None], labels: list[int], counterfactual: float = 1.0, decay: float = 1e-5, steps: int = 400) -> Classifier:
     """counterfactual: weight of the penalty on score changes under swapped identity terms."""
     y = np.array(labels, dtype=np.float64)
     n_toxic, n = int(y.sum()), len(y)
     if not n_toxic or n_toxic == n:
         return Classifier(constant=float(n_toxic / n) if n else 0.0)
-    sets = [set(alnum_words(t)) for t in texts]
-    # how many toxic and clean texts have each feature
-    count: dict[bytes, list[int]] = {}
-    for words, label in sorted(zip(sets, labels, strict=True), key=lambda x: -x[1]):
-        for f in {f for w in words for f in word_features(w)}:
-            if label:
-                count.setdefault(f, [0, 0])[1] += 1
-            elif f in count:
-                count[f][0] += 1
+    # how many toxic and clean texts have each feature; sets of words are made again when needed, not kept
+    toxic: Counter = Counter()
+    for text, label in zip(texts, labels, strict=True):
+        if label:
+            toxic.update({f for w in set(alnum_words(text)) for f in word_features(w)})
     least = 2 if n_toxic < 200 else 3
-    lift = {f: (b / n_toxic) / ((a + 0.5) / (n - n_toxic)) for f, (a, b) in count.items() if b >= least}
-    chosen = sorted((f for f, v in lift.items() if v >= 3), key=lambda f: (-count[f][1] * np.log(lift[f]), f))[:FEATURES]
+    toxic = Counter({f: b for f, b in toxic.items() if b >= least})
+    clean: Counter = Counter()
+    for text, label in zip(texts, labels, strict=True):
+        if not label:
+            clean.update({f for w in set(alnum_words(text)) for f in word_features(w) if f in toxic})
+    lift = {f: (b / n_toxic) / ((clean[f] + 0.5) / (n - n_toxic)) for f, b in toxic.items()}
+    chosen = sorted((f for f, v in lift.items() if v >= 3), key=lambda f: (-toxic[f] * np.log(lift[f]), f))[:FEATURES]
     chosen += sorted({f for w in _TERMS for f in word_features(w)} - set(chosen))
     place = {f: i for i, f in enumerate(chosen)}
 
-    def rows(views: list[set[bytes]]) -> tuple[np.ndarray, np.ndarray]:
-        at, row = [], []
-        for i, words in enumerate(views):
-            own = {place[f] for w in words for f in word_features(w) if f in place}
-            at.extend(own), row.extend([i] * len(own))
-        return np.array(row, dtype=np.int64), np.array(at, dtype=np.int64)
+    def places(words: Iterable[bytes]) -> set[int]:
+        return {place[f] for w in words for f in word_features(w) if f in place}
 
-    pairs = [swapped(words, i) for i, words in enumerate(sets)]
-    (r, c), (ra, ca), (rb, cb) = rows(sets), rows([p[0] for p in pairs]), rows([p[1] for p in pairs])
+    def rows(views: list[set[int]]) -> tuple[np.ndarray, np.ndarray]:
+        return np.repeat(np.arange(len(views)), [len(v) for v in views]), np.array([p for v in views for p in sorted(v)], dtype=np.int64)
+
+    own, left, right = [], [], []
+    for i, text in enumerate(texts):
+        words = set(alnum_words(text))
+        terms = words & _GROUP.keys()
+        rest = places(words - terms)
+        a, b = swapped(terms, i)
+        own.append(rest | places(terms)), left.append(rest | places(a)), right.append(rest | places(b))
+    (r, c), (ra, ca), (rb, cb) = rows(own), rows(left), rows(right)
     share = np.where(y == 1, n / (2 * n_toxic), n / (2 * (n - n_toxic)))
     w, bias = np.zeros(len(chosen)), 0.0
     m, v = np.zeros(len(chosen) + 1), np.zeros(len(chosen) + 1)
@@ -144,9 +150,8 @@ def fit(texts: list[bytes | None], labels: list[int], counterfactual: float = 1.
         m, v = 0.9 * m + 0.1 * g, 0.999 * v + 0.001 * g * g
         move = 0.1 * (m / (1 - 0.9**step)) / (np.sqrt(v / (1 - 0.999**step)) + 1e-8)
         w, bias = w - move[:-1], bias - move[-1]
-    # the classes weighed alike while fitting; a score is a probability at the share of toxic rows or one in ten, whichever is less
-    prior = min(0.1, n_toxic / n)
-    bias += float(np.log(prior / (1 - prior)))
+    # the classes weighed alike while fitting; a text that looks as much like either gets the score of THRESHOLD
+    bias += float(np.log(THRESHOLD / (1 - THRESHOLD)))
     return Classifier(round(float(bias), 9), {f: round(float(w[i]), 9) for f, i in place.items() if abs(w[i]) > 1e-6}, None)
 
 
@@ -165,6 +170,7 @@ def learn(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS, counte
 
 def with_scores(docs: DataFrame, model: Classifier) -> DataFrame:
     """All columns of ``docs`` and toxic_score."""
+    bounded_batches(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(model)
     docs = docs.drop("toxic_score")
 
@@ -178,5 +184,10 @@ def with_scores(docs: DataFrame, model: Classifier) -> DataFrame:
 
 def score_documents(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """doc_id, held_out, score, predicted: one row per row of ``docs``."""
-    scored = with_scores(only(docs, "doc_id", "text"), learn(docs, labels))
-    return scored.select("doc_id", held_out("doc_id").alias("held_out"), F.col("toxic_score").alias("score"), (F.col("toxic_score") >= THRESHOLD).cast("int").alias("predicted"))
+    shared = docs.sparkSession.sparkContext.broadcast(learn(docs, labels))
+
+    def make(batch: pa.RecordBatch) -> dict:
+        return {"doc_id": batch.column(0), "score": shared.value.scores(as_bytes(batch))}
+
+    scored = per_batch(only(docs, "doc_id", "text"), make, "doc_id bigint, score double")
+    return scored.select("doc_id", held_out("doc_id").alias("held_out"), "score", (F.col("score") >= THRESHOLD).cast("int").alias("predicted"))
