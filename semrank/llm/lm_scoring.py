@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import as_bytes, blank_words, only, pa_schema, per_batch
+from .common import as_bytes, blank_words, bounded_batches, only, pa_schema, per_batch
 
 VOCABULARY, BITS, STRENGTH, FLOOR = 65_536, 20, 50.0, 0.5
 _FLUSH = 1_000_000
@@ -106,9 +106,11 @@ class Model:
 def score_documents(docs: DataFrame, targets: DataFrame, size: int = VOCABULARY, bits: int = BITS) -> DataFrame:
     """doc_id, n_tokens, loss_target, loss_background, score. targets: the doc_ids of target documents."""
     docs = only(docs, "doc_id", "text")
+    bounded_batches(docs.sparkSession)
     words = vocabulary(docs, size)
     chosen = targets.select(F.col("doc_id").cast("long").alias("doc_id")).distinct().withColumn("is_target", F.lit(True))
-    counts = counted(docs.join(chosen, "doc_id", "left").select("text", F.coalesce("is_target", F.lit(False)).alias("is_target")), words, bits)
+    # always by sorting, never by broadcast: targets grow with the corpus
+    counts = counted(docs.join(chosen.hint("merge"), "doc_id", "left").select("text", F.coalesce("is_target", F.lit(False)).alias("is_target")), words, bits)
     n = len(words) + 1
     own, every = int(counts[0, :n].sum()), int(counts[1, :n].sum())
     background = Model(counts[1], n, own / every if own else 1.0)

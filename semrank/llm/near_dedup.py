@@ -31,7 +31,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import as_bytes, blank_words, only, pa_schema, stored
+from .common import as_bytes, blank_words, bounded_batches, only, pa_schema, stored
 
 BANDS, ROWS, BITS, HASHES = 38, 5, 2, 768
 LONGS = HASHES * BITS // 64
@@ -185,6 +185,7 @@ def _low(band: Column) -> Column:
 def near_groups(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept): one row per row of ``docs``."""
     docs = only(docs, "doc_id", "text")
+    bounded_batches(docs.sparkSession)
     rows = stored(signatures(docs, width), "signatures")
     sets = rows.filter("s1 is not null and doc_id is not null").groupBy("s1", "s2").agg(F.min("doc_id").alias("rep"))
     sets = stored(sets, "sets")
