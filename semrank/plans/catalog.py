@@ -796,3 +796,60 @@ def stream_stream_join(s, d):
     joined = a.join(b, F.expr("view_id_user = buy_id_user and buy_id_ts between view_id_ts and view_id_ts + interval 1 hour")).select("view_id", "buy_id")
     return streams.to_table(joined, work_path(s, "pairs"))
 
+
+# ---- further workloads and measures ------------------------------------------------------------------------------
+
+
+@query("SELECT row_number() OVER (ORDER BY md5('42:floor:' || doc_id), doc_id) AS rank, doc_id AS id FROM documents QUALIFY rank <= 10")
+def random_order_top10(s, d):
+    """The floor of every measure: documents in the order of a hash."""
+    x = items_of(load(s, d, "documents"), "doc_id")
+    return binning.positions(x, 42, "floor", ["scope"]).filter("pos < 10").select((F.col("pos") + 1).alias("rank"), "id")
+
+
+@query(f"WITH {_G} SELECT DISTINCT n, round(1 - ((n // 20) * 190 + (n % 20) * (n % 20 - 1) / 2.0) / (CAST(n AS DOUBLE) * (n - 1) / 2.0) / 2, 9) AS recall FROM g")
+def filter_recall_exact_grid(s, d):
+    """Hypergeometric recall for K = 2 and one survivor: a half is lost when both share a bin."""
+    return grid(s, "n int, recall double", ((n, round(cost.recall_filter(n, 2, 20, 1, "exact"), 9)) for n in _N))
+
+
+@query()
+def exact_select_cost(s, d):
+    """Expected calls of select from the exact chain, beside the self-similar form."""
+    return grid(s, "n int, k int, p int, exact double, formula double", ((n, k, p, simulate.exact_select_cost(n, k, 20, p), cost.cost_select(n, k, 20, p)) for n, k in ((60, 5), (100, 10)) for p in (1, 2, 4, 6)))
+
+
+@query()
+def sort_coefficient(s, d):
+    """The linear term of the sort cost, fitted to simulations."""
+    return grid(s, "p int, c double", ((p, simulate.fit_sort_coefficient(s, 20, p)) for p in (4, 6)))
+
+
+@query()
+def w_filter_recall_queries(s, d):
+    """Filter recall on the claim workload for S up to 15 and K up to 50, averaged over queries."""
+    got = experiments.filter_recall(experiments.claim_items(s, d), (1, 2, 3, 5, 8, 10, 15), (1, 5, 10, 20, 50))
+    return got.groupBy("s", "k").agg(F.avg("recall").alias("recall"))
+
+
+@query(top_sql("(SELECT page_id, strlen(html) AS n FROM pages)", "page_id", "n", 1_000_000_000))
+def w_pages_full_sort(s, d):
+    """A full sort of pages by how much they hold."""
+    x = items_of(load(s, d, "pages"), "page_id", F.octet_length("html").cast("double"))
+    return ordered(planner.execute_plan(planner.choose_plan(250, 250, mode="sort"), x, 1_000_000_000, PERFECT))
+
+
+@query(top_sql("part", "p_partkey", "p_retailprice", 20))
+def w_parts_by_price(s, d):
+    x = load(s, d, "part")
+    return api.semantic_topk(x, "p_partkey", 20, PERFECT, score=F.col("p_retailprice")).select("rank", F.col("p_partkey").alias("id"))
+
+
+@query()
+def calls_quality_rates(s, d):
+    """How often responses needed repair or contradicted the settled order of pivots."""
+    from ..operators.rankers import BrokenRanker, ContradictingRanker
+
+    items = lexical_items(first_english(s, d))
+    runs = (("broken", BrokenRanker(PERFECT)), ("contradicting", ContradictingRanker(PERFECT, 0.3)), ("perfect", PERFECT))
+    return experiments._all(metrics.quality_rates(topk.sort(items, r, RankParams(pivots=6)).calls).withColumn("ranker", F.lit(n)) for n, r in runs)

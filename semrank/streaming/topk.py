@@ -129,3 +129,8 @@ def batch_windows(df: DataFrame, k: int, key: str, time: str, id_col: str, value
     x = df.withColumn("start", F.window(time, window)["start"])
     w = W.partitionBy(key, "start").orderBy(F.desc(value), id_col)
     return x.withColumn("rank", F.row_number().over(w).cast("long")).filter(F.col("rank") <= k).select(key, "start", "rank", F.col(id_col).alias("id"), F.col(value).alias("value"))
+
+
+def late_rows(query: StreamingQuery) -> int:
+    """Rows that came after the watermark had passed them, over the query's recent batches."""
+    return sum(o["numRowsDroppedByWatermark"] for p in query.recentProgress for o in p["stateOperators"])
