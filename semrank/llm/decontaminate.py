@@ -106,7 +106,8 @@ class Windows:
 
 
 def _blocks(benchmark: DataFrame, id_col: str) -> list[list[tuple]]:
-    """The items in blocks of bounded size; one block is on the driver at a time as they stream in."""
+    """The items in blocks of bounded size. The benchmark is the query set: it is as large as its tests, not as the corpus,
+    and every worker holds it; a block bounds one vocabulary and one broadcast."""
     blocks, now, size = [], [], 0
     for item, text in benchmark.select(id_col, F.col("text").cast("binary")).orderBy(id_col).toLocalIterator():
         now.append((item, None if text is None else bytes(text)))
