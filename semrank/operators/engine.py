@@ -62,9 +62,11 @@ class Judge:
         return order if self.votes == 1 else sorted(ids, key=lambda i: (place[i], i))
 
 
-def tournament_topk(judge: Judge, ids: list[int], k: int, bins: list[list[int]] | None = None, beaten: dict[int, set[int]] | None = None) -> list[int]:
+def tournament_topk(judge: Judge, ids: list[int], k: int, bins: list[list[int]] | None = None, beaten: dict[int, set[int]] | None = None, edge_mode: str = "chain") -> list[int]:
     """The k best in order: the winner of a tournament among documents that nobody live is known to beat, k times.
 
+    edge_mode: a ranked list is kept as a chain of neighbours or as all its pairs (complete); a document placed p-th is
+    free once the p - 1 above it are gone under either, so results and calls are the same and the chain is smaller.
     beaten: documents known better than a document, from a bracket that already ran. bins: the first round's bins, for fixed traces.
     """
     size = judge.params.list_size
@@ -83,7 +85,8 @@ def tournament_topk(judge: Judge, ids: list[int], k: int, bins: list[list[int]]
             heads = []
             for own in lists or [order[i : i + size] for i in range(0, len(order), size)]:
                 ranked = judge.rank(own, "bin", turn)
-                for a, b in zip(ranked, ranked[1:], strict=False):
+                known = zip(ranked, ranked[1:], strict=False) if edge_mode == "chain" else ((a, b) for i, a in enumerate(ranked) for b in ranked[i + 1 :])
+                for a, b in known:
                     better[b].add(a)
                     worse.setdefault(a, set()).add(b)
                 heads.append(ranked[0])

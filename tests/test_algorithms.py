@@ -60,6 +60,11 @@ def test_a_perfect_ranker_gives_the_exact_answer(n, params):
     assert pivot_sort(j, ids) == truth(j)
 
 
+def test_chain_and_complete_edges_agree():
+    (a, ids), (b, _) = judge(700), judge(700)
+    assert tournament_topk(a, ids, 12) == tournament_topk(b, ids, 12, edge_mode="complete") and a.calls == b.calls
+
+
 def test_sizes_that_need_no_call():
     j, ids = judge(1)
     assert pivot_sort(j, ids) == ids and pivot_select(j, ids, 1) == ids and tournament_topk(j, ids, 1) == ids and not j.calls
