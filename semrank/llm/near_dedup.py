@@ -35,6 +35,8 @@ from .common import as_bytes, blank_words, bounded_batches, only, pa_schema, sto
 
 BANDS, ROWS, BITS, HASHES = 38, 5, 2, 768
 LONGS = HASHES * BITS // 64
+#: Size of the filter that keeps texts without a pair in place.
+SLOTS = 1 << 20
 #: Standard deviations below the threshold at which an estimate still leads to a confirmation.
 SLACK = 4.5
 _SEEDS = np.random.Generator(np.random.PCG64(20231))
@@ -124,8 +126,19 @@ def least_estimate(threshold: float) -> float:
     return threshold - SLACK * (p * (1 - p) / HASHES) ** 0.5 / (1 - chance)
 
 
-def confirmed(pairs: DataFrame, texts: DataFrame, width: int, percent: int) -> DataFrame:
-    """The pairs (a, b) whose full shingle sets reach ``percent``. texts: one row of (doc_id, text) per representative."""
+def _slot(doc_id: Column) -> Column:
+    return F.pmod(F.xxhash64(doc_id), F.lit(SLOTS)).cast("int")
+
+
+def confirmed(pairs: DataFrame, docs: DataFrame, width: int, percent: int) -> DataFrame:
+    """The pairs (a, b) whose full shingle sets reach ``percent``.
+
+    Before texts move, a filter lets those go whose hash is none of the pairs': a table of at most SLOTS small numbers,
+    whatever the corpus, so it may be broadcast; what it lets through beyond the pairs costs an exchange, no result.
+    """
+    pairs = stored(pairs, "pairs")
+    slots = pairs.select(_slot(F.col("a")).alias("slot")).union(pairs.select(_slot(F.col("b")))).distinct()
+    texts = docs.withColumn("slot", _slot(F.col("doc_id"))).join(F.broadcast(slots), "slot", "left_semi").select("doc_id", "text").dropDuplicates(["doc_id", "text"])
     both = (
         pairs.join(texts.select(F.col("doc_id").alias("a"), F.col("text").alias("text_a")), "a")
         .join(texts.select(F.col("doc_id").alias("b"), F.col("text").alias("text_b")), "b")
@@ -193,7 +206,6 @@ def near_groups(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame
     keyed = rows.join(sets, ["s1", "s2"])
     reps = stored(keyed.filter("doc_id = rep").dropDuplicates(["doc_id", "s1", "s2"]).drop("rep"), "classes")
     same_doc = keyed.groupBy("doc_id").agg(F.min("rep").alias("a"), F.max("rep").alias("b")).filter("a <> doc_id or b <> a")
-    texts = docs.join(reps.select("doc_id").distinct(), "doc_id", "left_semi").dropDuplicates(["doc_id", "text"])
 
     sig = [f"s{i:02}" for i in range(LONGS)]
     low = F.lit(least_estimate(percent / 100))
@@ -211,7 +223,7 @@ def near_groups(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame
         tries = there.join(leaders, "band").filter("tree <> head_tree").select("id", "head").distinct()
         scored = tries.join(packs.alias("l"), "id").join(packs.select(F.col("id").alias("head"), *sig).alias("r"), "head").select("id", "head", similarity_estimate("l", "r").alias("est")).filter(F.col("est") >= low)
         best = scored.groupBy("id").agg(F.max(F.struct("est", (-F.col("head")).alias("neg"))).alias("m")).select(F.col("id").alias("b"), (-F.col("m.neg")).alias("a"))
-        links.append(stored(confirmed(best, texts, width, percent), "links"))
+        links.append(stored(confirmed(best, docs, width, percent), "links"))
         trees = components(reduce(DataFrame.union, links))
 
     # what is left: across trees, in bands that hold several, every pair in the first band that it shares
@@ -225,7 +237,7 @@ def near_groups(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame
         l.join(r, (F.col("l.band") == F.col("r.band")) & (F.col("l.tree") != F.col("r.tree")) & (F.col("l.id") < F.col("r.id")) & (similarity_estimate("l", "r") >= low) & first_shared)
         .select(F.col("l.id").alias("a"), F.col("r.id").alias("b")).distinct()
     )
-    second = stored(confirmed(across, texts, width, percent), "links")
+    second = stored(confirmed(across, docs, width, percent), "links")
     shared = same_doc.select("a", F.col("doc_id").alias("b")).union(same_doc.select(F.col("b").alias("a"), F.col("doc_id").alias("b"))).filter("a <> b")
     repeated = shared.join(rows.groupBy("doc_id").agg(F.count("*").alias("n")).filter("n > 1").select(F.col("doc_id").alias("b")), "b", "left_semi")
     # between the trees there are few links: their components, then every id takes its tree's
