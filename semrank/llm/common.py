@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
+import gc
 import tempfile
 import uuid
 from collections.abc import Callable, Iterator
@@ -71,6 +74,19 @@ def as_bytes(batch: pa.RecordBatch, name: str = "text") -> list[bytes | None]:
     return column.to_pylist()
 
 
+_owner: list = ["", lambda: None]
+
+
+def enter(name: str, forget: Callable[[], object] = lambda: None) -> None:
+    """A Python worker starts a task of an operator: what it remembered for another one goes, back to the system."""
+    if _owner[0] != name:
+        _owner[1]()
+        _owner[:] = [name, forget]
+        gc.collect()
+        with contextlib.suppress(OSError, AttributeError):  # glibc only
+            ctypes.CDLL(None).malloc_trim(0)
+
+
 def bounded_batches(spark: SparkSession, most: int = BATCH_BYTES) -> None:
     """Arrow batches of few megabytes, whatever the length of texts, so that Python workers need little memory."""
     now = spark.conf.get("spark.sql.execution.arrow.maxBytesPerBatch", None)

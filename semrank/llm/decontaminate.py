@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import alnum_words, as_bytes, pa_schema
+from .common import alnum_words, as_bytes, bounded_batches, enter, pa_schema
 from .fm_index import FMIndex
 
 #: Bytes of text in a shard, and of benchmark text in a block that is sent to the tasks.
@@ -139,7 +139,10 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, width: int = 10, id_col: s
         s, e = Windows._merged(np.array([x[0] for x in spans]), np.array([x[1] - x[0] for x in spans]))
         return (parts[0][0], int((e - s).sum()), len(items), items, s.tolist(), e.tolist())
 
+    bounded_batches(spark)
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        enter("leaks")
         for batch in batches:
             texts, at = as_bytes(batch), 0
             while at < len(texts):

@@ -31,7 +31,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import as_bytes, blank_words, bounded_batches, only, pa_schema, stored
+from .common import as_bytes, blank_words, bounded_batches, enter, only, pa_schema, stored
 
 BANDS, ROWS, BITS, HASHES = 38, 5, 2, 768
 LONGS = HASHES * BITS // 64
@@ -91,6 +91,7 @@ def signatures(docs: DataFrame, width: int) -> DataFrame:
     types = pa_schema(schema)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        enter("near")
         for batch in batches:
             n, sets, bands, packs = [], [], [], []
             for text in as_bytes(batch):
@@ -146,6 +147,7 @@ def confirmed(pairs: DataFrame, docs: DataFrame, width: int, percent: int) -> Da
     )
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        enter("near")
         for batch in batches:
             keep, last, known = [], None, None
             for a, b in zip(as_bytes(batch, "text_a"), as_bytes(batch, "text_b"), strict=True):

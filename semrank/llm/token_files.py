@@ -36,30 +36,34 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import bounded_batches, file_system, new_path, only, pa_schema
+from .common import bounded_batches, enter, file_system, new_path, only, pa_schema
 
 #: Fixed values of the file format, the tokenizer's split pattern and the end id.
 MAGIC, END_ID = b"STOK0001", 2
 SPLIT = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
-#: Documents and bytes of the dictionary's sample, its size, and remembered pieces per worker.
-SAMPLE_DOCS, DICT_BYTES, MEMO = 512, 64 << 10, 1_000_000
+#: Documents and bytes of the dictionary's sample, its size, and remembered pieces per generation of a worker (two are kept).
+SAMPLE_DOCS, DICT_BYTES, MEMO = 512, 64 << 10, 400_000
 #: The same split in the form that Python's own re runs fastest, for texts of the characters of PLAIN only
 #: (ASCII and European letters: no other kind of space, no number that isn't a decimal digit).
 PLAIN = r"[\t\n\r\x20-\x7E\u00A1-\u00B1\u00B4-\u00B8\u00BA\u00BB\u00BF-\u02AF]*"
-PLAIN_SPLIT = r"'s|'t|'re|'ve|'m|'ll|'d| ?[^\W\d_]+| ?\d+| ?(?:[^\s\w]|_)+|\s+(?!\S)|\s+"
+_LETTERS = r"a-zA-Z\u00AA\u00B5\u00BA\u00C0-\u00D6\u00D8-\u00F6\u00F8-\u02AF"
+PLAIN_SPLIT = rf" ?[{_LETTERS}]+|'(?:[stmd]|re|ve|ll)| ?[0-9]+| ?[^\s{_LETTERS}0-9]+|\s+(?!\S)|\s+"
 _INDEX = np.dtype([("doc_id", "<i8"), ("null", "u1"), ("offset", "<u8"), ("n", "<u8")])
 _codecs: dict[tuple, Codec] = {}
 
 
 class _Memo(dict):
-    """Serialized ids by piece; a piece not seen before is encoded by the library."""
+    """Serialized ids by piece. A piece not seen lately comes from the generation before, or is encoded by the library."""
 
-    def __init__(self, codec: Codec):
+    def __init__(self, codec: Codec, before: dict):
         super().__init__()
-        self.codec = codec
+        self.codec, self.before = codec, before
 
     def __missing__(self, piece: str) -> bytes:
-        self[piece] = ids = self.codec._bytes(self.codec.tokenizer.encode(piece, add_special_tokens=False).ids)
+        ids = self.before.get(piece)
+        if ids is None:
+            ids = self.codec._bytes(self.codec.tokenizer.encode(piece, add_special_tokens=False).ids)
+        self[piece] = ids
         return ids
 
 
@@ -76,7 +80,7 @@ class Codec:
         self.any_split, self.plain_split, self.plain = regex.compile(SPLIT).findall, re.compile(PLAIN_SPLIT).findall, re.compile(PLAIN).fullmatch
         self.width = 2 if max(self.tokenizer.get_vocab_size(), end_id + 1) <= 65_536 else 4
         self.end = end_id.to_bytes(self.width, "little")
-        self.memo = _Memo(self)
+        self.memo = _Memo(self, {})
 
     @staticmethod
     def of(path: str, end_id: int) -> Codec:
@@ -98,12 +102,17 @@ class Codec:
     def encode(self, texts: list[str | None]) -> list[bytes]:
         """The serialized ids of each text, the end id included."""
         if len(self.memo) > MEMO:
-            self.memo.clear()
+            self.memo.before = {}
+            self.memo = _Memo(self, self.memo)
         get = self.memo.__getitem__
         whole = lambda t: self._bytes(self.tokenizer.encode(t, add_special_tokens=False).ids)
         return [(whole(t) if own is None else b"".join(map(get, own))) + self.end for t, own in zip(texts, map(self.split, texts), strict=True)]
 
 
+def _forget() -> None:
+    _codecs.clear()
+
+
 def train_dictionary(docs: DataFrame, tokenizer: str, end_id: int) -> bytes:
     """A dictionary over the ids of the SAMPLE_DOCS documents with the smallest hashes of doc_id. Only sizes depend on it."""
     chosen = docs.select("doc_id").filter("doc_id is not null").orderBy(F.xxhash64("doc_id"), "doc_id").limit(SAMPLE_DOCS).distinct()
@@ -136,6 +145,7 @@ def write_shards(docs: DataFrame, path: str, tokenizer: str, end_id: int = END_I
         codec, number = Codec.of(tokenizer, end_id), TaskContext.get().partitionId()
         pack = zstandard.ZstdCompressor(level=level, dict_data=_dictionary(shared.value), write_content_size=True, write_checksum=False)
         name, out, at, index, ids = f"{root}/shard-{number:06}-{uuid.uuid4().hex}.tok", None, 0, [], 0
+        enter("tokens", _forget)
         gc.disable()  # nothing here is cyclic, and the remembered pieces would be walked again and again
         for batch in batches:
             for start in range(0, batch.num_rows, 256):

@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import alnum_words, as_bytes, bounded_batches, only, per_batch
+from .common import alnum_words, as_bytes, bounded_batches, enter, only, per_batch
 
 #: Labelled rows of each class that are learnt from, features kept, and the score from which a text is toxic.
 PER_CLASS, FEATURES, THRESHOLD = 2_500, 4_096, 0.3
@@ -102,6 +102,10 @@ def _memo_of(model: Classifier) -> dict:
     return _memos[key]
 
 
+def _forget() -> None:
+    _memos.clear()
+
+
 def fit(texts: list[bytes | None], labels: list[int], counterfactual: float = 1.0, decay: float = 1e-5, steps: int = 400) -> Classifier:
     """counterfactual: weight of the penalty on score changes under swapped identity terms."""
     y = np.array(labels, dtype=np.float64)
@@ -175,6 +179,7 @@ def with_scores(docs: DataFrame, model: Classifier) -> DataFrame:
     docs = docs.drop("toxic_score")
 
     def run(batches):
+        enter("toxicity", _forget)
         for batch in batches:
             scores = pa.array(shared.value.scores(as_bytes(batch)), type=pa.float64())
             yield pa.RecordBatch.from_arrays([*batch.columns, scores], names=[*batch.schema.names, "toxic_score"])
@@ -187,6 +192,7 @@ def score_documents(docs: DataFrame, labels: DataFrame) -> DataFrame:
     shared = docs.sparkSession.sparkContext.broadcast(learn(docs, labels))
 
     def make(batch: pa.RecordBatch) -> dict:
+        enter("toxicity", _forget)
         return {"doc_id": batch.column(0), "score": shared.value.scores(as_bytes(batch))}
 
     scored = per_batch(only(docs, "doc_id", "text"), make, "doc_id bigint, score double")
