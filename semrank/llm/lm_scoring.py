@@ -1,11 +1,16 @@
 """Cross-entropy difference: how much more a document looks like target text than like the whole corpus.
 
-Two bigram models, one of the target documents and one of all documents, share one vocabulary: the
-``vocabulary`` most frequent words of the whole corpus (exact counts), every other word is one unknown word.
-Both use the same hashed table of ``2**bits`` bigram cells and the same smoothing; the background's counts are
+Two bigram models, one of the target documents and one of all documents, share one vocabulary: every word of the
+corpus. Words and bigrams are counted exactly, none is left out, however many there are; the background's counts are
 scaled to the target's number of tokens, so the models are matched and differ in text only. A document's score is
 its mean loss per token under the target model less that under the background model; lower is closer to the target.
-The models' sizes are parameters and don't grow with the corpus; the counts cover all of it.
+
+Documents lie in chunks of some megabytes. A chunk counts its own words and bigrams and sends the counts, sorted by key
+and cut into as many buckets as there are chunks, to the buckets; a bucket adds up what has the same key and sends the
+totals back in each chunk's order. So nothing of the corpus' size is on the driver or broadcast, and what is kept grows
+with the text. A key has 80 bits: among three billion different words and bigrams (some 30 GB) the chance that any two
+share one is about 4 in a million.
+``size`` and ``bits`` ask for bounded models instead: the most frequent words and ``2**bits`` hashed cells of bigrams.
 
 Cases: a null or wordless text has no tokens and score 0; no target documents (or none with words) make all scores 0;
 rows are scored one by one; a doc_id on several rows is a target on each; an empty table gives an empty result.
@@ -13,8 +18,9 @@ rows are scored one by one; a doc_id on several rows is a target on each; an emp
 
 from __future__ import annotations
 
-from collections import Counter
+from collections import Counter, defaultdict
 from collections.abc import Iterator
+from hashlib import blake2b
 
 import numpy as np
 import pyarrow as pa
@@ -25,6 +31,14 @@ from .common import as_bytes, blank_words, bounded_batches, only, pa_schema, per
 
 VOCABULARY, BITS, STRENGTH, FLOOR = 65_536, 20, 50.0, 0.5
 _FLUSH = 1_000_000
+#: Bytes of text of one chunk; results don't depend on it.
+CHUNK_BYTES = 8 << 20
+#: Fixed values in place of words, which no word equals: what stands before a text's first word, and what marks a word's own count.
+BEGIN, ONE = b"", b" "
+_COUNTS = "chunk bigint, bucket bigint, n bigint, counts binary"
+_TOTALS = "chunk bigint, bucket bigint, n bigint, totals binary, own_tokens bigint, all_tokens bigint, words bigint"
+_ENTRY, _TOTAL = ("<u8", "<u2", "u1", "<i4", "<i4"), ("<i8", "<i8")
+_SCORES = "doc_id bigint, n_tokens bigint, loss_target double, loss_background double, score double"
 
 
 def vocabulary(docs: DataFrame, size: int = VOCABULARY) -> list[bytes]:
@@ -103,10 +117,154 @@ class Model:
         return -np.log(np.minimum(p.astype(np.float64), 1.0))
 
 
-def score_documents(docs: DataFrame, targets: DataFrame, size: int = VOCABULARY, bits: int = BITS) -> DataFrame:
-    """doc_id, n_tokens, loss_target, loss_background, score. targets: the doc_ids of target documents."""
+def packed(columns: list[np.ndarray], kinds: tuple[str, ...]) -> bytes:
+    """Columns by planes of bytes, which compress well: most counts are small."""
+    return b"".join(c.astype(k).view(np.uint8).reshape(len(c), np.dtype(k).itemsize).T.tobytes() for c, k in zip(columns, kinds, strict=True))
+
+
+def unpacked(data: bytes, n: int, kinds: tuple[str, ...]) -> list[np.ndarray]:
+    out, at = [], 0
+    for k in kinds:
+        size = np.dtype(k).itemsize
+        out.append(np.ascontiguousarray(np.frombuffer(data, np.uint8, n * size, at).reshape(size, n).T).view(k).reshape(n))
+        at += n * size
+    return out
+
+
+def mixed(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    x = a * np.uint64(0x9E3779B97F4A7C15) + b
+    x = (x ^ (x >> np.uint64(32))) * np.uint64(0xBF58476D1CE4E5B9)
+    return x ^ (x >> np.uint64(29))
+
+
+class Chunk:
+    """The words and bigrams of some texts. Entries, sorted by key: each word, BEGIN (counted by texts) and each bigram."""
+
+    def __init__(self, texts: list[bytes | None]):
+        places: defaultdict[bytes, int] = defaultdict()
+        places.default_factory = places.__len__
+        own = [np.fromiter(map(places.__getitem__, words), dtype=np.int64, count=len(words)) for words in map(blank_words, texts)]
+        self.lengths = np.array([len(x) for x in own], dtype=np.int64)
+        self.tokens = np.concatenate([np.zeros(0, dtype=np.int64), *own])
+        self.n = len(places)
+        # the places after the words' are those of BEGIN and ONE
+        words = np.frombuffer(b"".join(blake2b(w, digest_size=16).digest() for w in (*places, BEGIN, ONE)), dtype="<u8").reshape(-1, 2)
+        self.starts = (np.cumsum(self.lengths) - self.lengths)[self.lengths > 0]
+        before = np.empty_like(self.tokens)
+        before[1:] = self.tokens[:-1]
+        before[self.starts] = self.n
+        pairs, self.at = np.unique(before * (self.n + 1) + self.tokens, return_inverse=True)
+        self.before, self.word = pairs // (self.n + 1), pairs % (self.n + 1)
+        first = words[np.concatenate((np.full(self.n + 1, self.n + 1), self.before))]
+        second = words[np.concatenate((np.arange(self.n + 1), self.word))]
+        key, check = mixed(first[:, 0], second[:, 0]), mixed(first[:, 1], second[:, 1]) >> np.uint64(48)
+        self.order = np.lexsort((check, key))
+        self.key, self.check, self.is_word = key[self.order], check[self.order], self.order < self.n
+
+    def counts(self, target: np.ndarray) -> list[np.ndarray]:
+        """Counts (target, all) by entry."""
+        out = []
+        for told in (target, np.ones(len(target), dtype=bool)):
+            kept = np.repeat(told, self.lengths)
+            own = np.bincount(self.tokens[kept], minlength=self.n + 1)
+            own[self.n] = (told & (self.lengths > 0)).sum()
+            out.append(np.concatenate((own, np.bincount(self.at[kept], minlength=len(self.before))))[self.order])
+        return out
+
+    def bucket_starts(self, buckets: int) -> np.ndarray:
+        return np.searchsorted(((self.key >> np.uint64(32)) * np.uint64(buckets)) >> np.uint64(32), np.arange(buckets + 1, dtype=np.uint64))
+
+
+def texts_of(docs: pa.Table) -> list[bytes | None]:
+    return [t for batch in docs.select(["text"]).to_batches() for t in as_bytes(batch)]
+
+
+def count_chunk(docs: pa.Table, targets: pa.Table, buckets: int) -> pa.Table:
+    """A row for every bucket, so that every bucket's totals come back."""
+    types = pa_schema(_COUNTS)
+    if not docs.num_rows:
+        return types.empty_table()
+    own = Chunk(texts_of(docs))
+    chosen = set(targets.column("doc_id").to_pylist())
+    columns = [own.key, own.check, own.is_word, *own.counts(np.array([i is not None and i in chosen for i in docs.column("doc_id").to_pylist()], dtype=bool))]
+    at = own.bucket_starts(buckets)
+    data = [packed([c[i:j] for c in columns], _ENTRY) for i, j in zip(at[:-1], at[1:], strict=True)]
+    chunk = np.full(buckets, docs.column("chunk")[0].as_py(), dtype=np.int64)
+    return pa.Table.from_arrays([pa.array(chunk), pa.array(np.arange(buckets)), pa.array(np.diff(at)), pa.array(data, pa.binary())], schema=types)
+
+
+def add_bucket(rows: pa.Table) -> pa.Table:
+    """Totals of a bucket's entries for each chunk, and the bucket's share of all tokens and words."""
+    lengths = rows.column("n").to_numpy()
+    parts = [unpacked(d.as_buffer(), n, _ENTRY) for d, n in zip(rows.column("counts"), lengths.tolist(), strict=True)]
+    key, check, is_word, target, every = (np.concatenate(c) for c in zip(*parts, strict=True))
+    sums, words = np.zeros((2, len(key)), dtype=np.int64), np.zeros(3, dtype=np.int64)
+    if len(key):
+        order = np.lexsort((check, key))
+        new = np.flatnonzero(np.concatenate(([True], (np.diff(key[order]) != 0) | (np.diff(check[order]) != 0))))
+        for i, c in enumerate((target, every)):
+            total = np.add.reduceat(c[order].astype(np.int64), new)
+            words[i] = total[is_word[order][new] > 0].sum()
+            sums[i, order] = np.repeat(total, np.diff(np.append(new, len(key))))
+        words[2] = (is_word[order][new] > 0).sum()
+    ends = np.cumsum(lengths)
+    data = [packed([s[j - n : j] for s in sums], _TOTAL) for n, j in zip(lengths, ends, strict=True)]
+    alike = [pa.array(np.full(len(lengths), w)) for w in words]
+    return pa.Table.from_arrays([*(rows.column(c).combine_chunks() for c in ("chunk", "bucket", "n")), pa.array(data, pa.binary()), *alike], schema=pa_schema(_TOTALS))
+
+
+def score_chunk(docs: pa.Table, totals: pa.Table) -> pa.Table:
+    """Scores of a chunk's documents by the totals of its entries."""
+    types = pa_schema(_SCORES)
+    if not docs.num_rows:
+        return types.empty_table()
+    own = Chunk(texts_of(docs))
+    totals = totals.sort_by("bucket")
+    parts = [unpacked(d.as_buffer(), n, _TOTAL) for d, n in zip(totals.column("totals"), totals.column("n").to_pylist(), strict=True)]
+    sums = np.empty((2, len(own.order)))
+    sums[:, own.order] = [np.concatenate(c) for c in zip(*parts, strict=True)]
+    own_tokens, all_tokens, n_words = (sum(totals.column(c).to_pylist()) for c in ("own_tokens", "all_tokens", "words"))
+    # without target tokens both models are the background's
+    models = ((sums[0], own_tokens, 1.0), (sums[1], all_tokens, own_tokens / all_tokens)) if own_tokens else ((sums[1], all_tokens, 1.0),) * 2
+    losses, some = [], own.lengths > 0
+    for counts, tokens, scale in models:
+        words, pairs = counts[: own.n + 1] * scale, counts[own.n + 1 :] * scale
+        single = (words + FLOOR) / (tokens * scale + FLOOR * n_words) if n_words else words
+        means = np.zeros(docs.num_rows)
+        if some.any():
+            p = (pairs + STRENGTH * single[own.word]) / (words[own.before] + STRENGTH)
+            means[some] = np.add.reduceat(-np.log(p)[own.at], own.starts) / own.lengths[some]
+        losses.append(means)
+    score = [round(x, 9) for x in (losses[0] - losses[1]).tolist()]
+    return pa.Table.from_arrays([docs.column("doc_id").combine_chunks(), pa.array(own.lengths), *map(pa.array, losses), pa.array(score, pa.float64())], schema=types)
+
+
+def score_documents(docs: DataFrame, targets: DataFrame, size: int | None = None, bits: int | None = None, chunk_bytes: int = CHUNK_BYTES) -> DataFrame:
+    """doc_id, n_tokens, loss_target, loss_background, score. targets: the doc_ids of target documents. ``size`` or ``bits``: bounded models."""
     docs = only(docs, "doc_id", "text")
     bounded_batches(docs.sparkSession)
+    if size is None and bits is None:
+        return exact_scores(docs, targets, chunk_bytes)
+    return bounded_scores(docs, targets, size or VOCABULARY, bits or BITS)
+
+
+def exact_scores(docs: DataFrame, targets: DataFrame, chunk_bytes: int) -> DataFrame:
+    n = max((docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0) // chunk_bytes + 1, docs.sparkSession.sparkContext.defaultParallelism)
+    # all rows of a doc_id lie in one chunk, where its target is too; rows without one are spread by their texts
+    docs = docs.select(F.pmod(F.xxhash64(F.coalesce("doc_id", F.xxhash64("text"))), F.lit(n)).alias("chunk"), "doc_id", "text")
+    chosen = targets.select(F.col("doc_id").cast("long").alias("doc_id")).filter("doc_id is not null").distinct()
+    chosen = chosen.select(F.pmod(F.xxhash64("doc_id"), F.lit(n)).alias("chunk"), "doc_id")
+
+    def count(own: pa.Table, targets: pa.Table) -> pa.Table:
+        return count_chunk(own, targets, n)
+
+    # both uses of the chunks have the same plan, so that their exchange is made once
+    counts = docs.groupBy("chunk").cogroup(chosen.groupBy("chunk")).applyInArrow(count, _COUNTS)
+    totals = counts.groupBy("bucket").applyInArrow(add_bucket, _TOTALS)
+    return docs.groupBy("chunk").cogroup(totals.groupBy("chunk")).applyInArrow(score_chunk, _SCORES)
+
+
+def bounded_scores(docs: DataFrame, targets: DataFrame, size: int, bits: int) -> DataFrame:
     words = vocabulary(docs, size)
     chosen = targets.select(F.col("doc_id").cast("long").alias("doc_id")).distinct().withColumn("is_target", F.lit(True))
     # always by sorting, never by broadcast: targets grow with the corpus
@@ -127,4 +285,4 @@ def score_documents(docs: DataFrame, targets: DataFrame, size: int = VOCABULARY,
                 out[name].append(value)
         return {"doc_id": batch.column(0), **out}
 
-    return per_batch(docs, make, "doc_id bigint, n_tokens bigint, loss_target double, loss_background double, score double")
+    return per_batch(docs, make, _SCORES)

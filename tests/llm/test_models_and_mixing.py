@@ -101,6 +101,41 @@ def test_lm_scores(spark, sf_dir):
     assert lm_scoring.score_documents(spark.createDataFrame([], "doc_id long, text string"), empty).count() == 0
 
 
+def brute_exact_lm(rows, targets):
+    tokens = [(i, (t or "").encode().lower().split()) for i, t in rows]
+    single, pair, out = {k: Counter() for k in "tb"}, {k: Counter() for k in "tb"}, []
+    for i, own in tokens:
+        for k in "tb" if i in targets else "b":
+            single[k].update([None, *own] if own else [])
+            pair[k].update(zip([None, *own], own, strict=False))
+    n = len(set(single["b"]) - {None})
+    total = {k: sum(single[k].values()) - single[k][None] for k in "tb"}
+    scale = {"t": 1.0, "b": total["t"] / total["b"]}
+    for i, own in tokens:
+        loss = {}
+        for k in "tb":
+            one = lambda w, k=k: (single[k][w] * scale[k] + 0.5) / (total[k] * scale[k] + 0.5 * n)
+            s = [-math.log((pair[k][v, w] * scale[k] + 50 * one(w)) / (single[k][v] * scale[k] + 50)) for v, w in zip([None, *own], own, strict=False)]
+            loss[k] = sum(s) / len(s) if s else 0.0
+        out.append((i, len(own), loss["t"], loss["b"]))
+    return out
+
+
+def test_lm_scores_of_every_word_and_bigram(spark, sf_dir):
+    """Every word and bigram has its own count, in chunks of any size: more words than a bounded vocabulary holds."""
+    own = [(r["doc_id"], r["text"]) for r in table(spark, sf_dir, "documents").limit(60).collect()]
+    many = " ".join(f"rare{i}" for i in range(70_000))
+    own += [(9001, None), (9002, " "), (own[0][0], own[1][1]), (None, "a text without id"), (None, None), (9003, many), (9004, "rare69999 rare7 rare69999"), (9006, "Rare1 rare2")]
+    targets = {i for i, _ in own if i is not None and i % 3 == 0}
+    frame, chosen = spark.createDataFrame(own, "doc_id long, text string"), spark.createDataFrame([(i,) for i in [*targets, None, 12345]], "doc_id long")
+    want = sorted(brute_exact_lm(own, targets), key=str)
+    for size in (8 << 20, 5_000):
+        got = sorted(((r["doc_id"], r["n_tokens"], r["loss_target"], r["loss_background"], r["score"]) for r in lm_scoring.score_documents(frame, chosen, chunk_bytes=size).collect()), key=str)
+        assert len(got) == len(want)
+        for (i, n, t, b, score), (j, m, x, y) in zip(got, want, strict=True):
+            assert (i, n) == (j, m) and abs(t - x) < 1e-9 and abs(b - y) < 1e-9 and abs(score - (x - y)) < 2e-9
+
+
 PAGES = [(1, "http://a/1", "x" * 200), (2, "http://b/2", "x" * 200), (3, "http://a/3", None), (4, None, "short"), (5, "http://a/\r\n5", "short"), (6, "http://c", "é" * 60), (7, "http://c", "é" * 60), (8, "http://z", "big\r\n\r\n" * 200_000), (None, "http://n", "y" * 150)]
 
 
