@@ -119,11 +119,11 @@ def tfidf_cosine(queries: DataFrame, docs: DataFrame, dims: int = 4096) -> DataF
 
 
 def reciprocal_rank_fusion(parts: list[DataFrame], n: int, c: int = 60) -> DataFrame:
-    """(scope, id, score): the best n of each scope by summed 1 / (c + rank). parts: (scope, id, value)."""
+    """(scope, id, score): the best n of each scope by summed 1 / (c + rank) over all ranks. parts: (scope, id, value)."""
     total = None
     for x in parts:
         w = W.partitionBy("scope").orderBy(F.desc(F.round("value", 9)), "id")
-        one = x.withColumn("r", F.row_number().over(w)).filter(F.col("r") <= 1000).select("scope", "id", (1 / (c + F.col("r"))).alias("s"))
+        one = x.withColumn("r", F.row_number().over(w)).select("scope", "id", (1 / (c + F.col("r"))).alias("s"))
         total = one if total is None else total.unionByName(one)
     fused = total.groupBy("scope", "id").agg(F.round(F.sum("s"), 9).alias("score"))
     w = W.partitionBy("scope").orderBy(F.desc("score"), "id")

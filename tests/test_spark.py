@@ -109,6 +109,18 @@ def test_measures(spark):
     assert metrics.fit(xy, "x", "y", "quadratic") == pytest.approx([3, -2, 7])
 
 
+def test_rank_fusion_counts_every_rank(spark):
+    n = 1500
+    lists = [[(0, i, float(-i)) for i in range(n)], [(0, i, float(-((i + 700) % n))) for i in range(n)], [(0, i, float(i)) for i in range(n)]]
+    got = baselines.reciprocal_rank_fusion([spark.createDataFrame(x, "scope long, id long, value double") for x in lists], n)
+    want = {i: 0.0 for i in range(n)}
+    for x in lists:
+        for r, (_, i, _) in enumerate(sorted(x, key=lambda t: (-t[2], t[1])), 1):
+            want[i] += 1 / (60 + r)
+    found = {r["id"]: r["score"] for r in got.collect()}
+    assert found.keys() == want.keys() and all(abs(found[i] - want[i]) < 1e-8 for i in want)
+
+
 def test_elo_follows_a_consistent_comparator(spark):
     pool = spark.createDataFrame([(0, i, float(i)) for i in range(30)], "scope long, id long, score double")
     rows = baselines.elo_rank(baselines.all_pairs(pool)).orderBy("gold_rank").collect()
