@@ -193,6 +193,13 @@ def select_multi_query(s, d):
     return topk.select(items, 10, LexicalRanker(), queries=q).rows.select("scope", "id")
 
 
+@query(f"SELECT item_id AS scope, doc_id AS id FROM (SELECT item_id, doc_id, row_number() OVER (PARTITION BY item_id ORDER BY {scores_sql('b.text', 'd.text')} DESC, doc_id) AS r FROM benchmark b, documents d) WHERE r <= 10")
+def select_every_query(s, d):
+    q = _bench(s, d)
+    items = text_items(s, d).drop("scope").crossJoin(F.broadcast(q.select("scope")))
+    return topk.select(items, 10, LexicalRanker(), queries=q).rows.select("scope", "id")
+
+
 @query(top_sql(EN256, "doc_id", LEX, 256))
 def sort_docs_256(s, d):
     return ordered(topk.sort(items_of(first_english(s, d), "doc_id", payload=F.col("text")), LexicalRanker(ASK)))
@@ -412,32 +419,42 @@ def gold_sparse_qrels(s, d):
     return baselines.sparse_gold(_bench(s, d), experiments.corpus(s, d))
 
 
+_OVERLAP_ALL = "SELECT item_id AS scope, doc_id AS id, " + scores_sql("b.text", "d.text") + " AS overlap FROM benchmark b, documents d"
 _OVERLAP = "SELECT item_id AS scope, doc_id AS id, " + scores_sql("b.text", "d.text") + " AS overlap FROM benchmark b, documents d WHERE item_id < 10"
 
 
 @query(f"SELECT scope, id, overlap, r FROM (SELECT *, row_number() OVER (PARTITION BY scope ORDER BY overlap DESC, id) AS r FROM ({_OVERLAP}) WHERE overlap > 0) WHERE r <= 50")
 def gold_overlap_top50(s, d):
+    return _overlap_top50(s, d, "item_id < 10")
+
+
+@query(f"SELECT scope, id, overlap, r FROM (SELECT *, row_number() OVER (PARTITION BY scope ORDER BY overlap DESC, id) AS r FROM ({_OVERLAP_ALL}) WHERE overlap > 0) WHERE r <= 50")
+def gold_overlap_top50_all(s, d):
+    return _overlap_top50(s, d)
+
+
+def _overlap_top50(s, d, where: str = "true") -> DataFrame:
     from pyspark.sql import Window as W
 
-    x = baselines.token_overlap(_bench(s, d, "item_id < 10"), experiments.corpus(s, d))
+    x = baselines.token_overlap(_bench(s, d, where), experiments.corpus(s, d))
     return x.withColumn("r", F.row_number().over(W.partitionBy("scope").orderBy(F.desc("overlap"), "id")).cast("long")).filter("r <= 50").select("scope", "id", "overlap", "r")
 
 
 @query()
 def ensemble_rrf(s, d):
-    return baselines.ensemble_retrieve(_bench(s, d, "item_id < 5"), experiments.corpus(s, d))
+    return baselines.ensemble_retrieve(_bench(s, d), experiments.corpus(s, d))
 
 
 @query()
 def elo_top10(s, d):
-    return baselines.judge_gold(_bench(s, d, "item_id < 5"), experiments.corpus(s, d))
+    return baselines.judge_gold(_bench(s, d), experiments.corpus(s, d))
 
 
 _TOP10 = f"SELECT scope, id, r AS rank FROM (SELECT *, row_number() OVER (PARTITION BY scope ORDER BY overlap DESC, id) AS r FROM (SELECT item_id AS scope, doc_id AS id, {scores_sql('b.text', 'd.text')} AS overlap FROM benchmark b, documents d WHERE item_id < 20)) WHERE r <= 10"
 
 
-def _query_top10(s, d) -> DataFrame:
-    q = _bench(s, d, "item_id < 20")
+def _query_top10(s, d, where: str = "item_id < 20") -> DataFrame:
+    q = _bench(s, d, where)
     docs = experiments.corpus(s, d)
     hits = baselines.token_overlap(q, docs)
     items = q.select("scope").crossJoin(docs.select("id")).join(hits, ["scope", "id"], "left").select("scope", "id", F.lit(None).cast("string").alias("payload"), F.coalesce("overlap", F.lit(0)).cast("double").alias("score"), F.lit(None).cast("double").alias("proxy"))
@@ -457,6 +474,22 @@ def ndcg_at_10(s, d):
     return metrics.ndcg_at_k(_query_top10(s, d), gold, 10).select("scope", F.round("ndcg", 9).alias("ndcg"))
 
 
+_TOP10_ALL = f"SELECT scope, id, r AS rank FROM (SELECT *, row_number() OVER (PARTITION BY scope ORDER BY overlap DESC, id) AS r FROM ({_OVERLAP_ALL})) WHERE r <= 10"
+
+
+@query(f"WITH t AS ({_TOP10_ALL}), q AS ({_QRELS}) SELECT q.scope, round(count(t.id) / CAST(count(*) AS DOUBLE), 9) AS recall FROM q LEFT JOIN t ON q.scope = t.scope AND q.id = t.id GROUP BY q.scope")
+def recall_at_10_all(s, d):
+    gold = baselines.sparse_gold(_bench(s, d), experiments.corpus(s, d))
+    return metrics.recall_at_k(_query_top10(s, d, "true"), gold, 10).select("scope", F.round("recall", 9).alias("recall"))
+
+
+@query(f"""WITH t AS ({_TOP10_ALL}), q AS (SELECT *, row_number() OVER (PARTITION BY scope ORDER BY id) AS i FROM ({_QRELS}))
+SELECT q.scope, round(coalesce(sum(1 / log2(t.rank + 1)), 0) / sum(CASE WHEN i <= 10 THEN 1 / log2(i + 1) ELSE 0 END), 9) AS ndcg FROM q LEFT JOIN t ON q.scope = t.scope AND q.id = t.id GROUP BY q.scope""")
+def ndcg_at_10_all(s, d):
+    gold = baselines.sparse_gold(_bench(s, d), experiments.corpus(s, d))
+    return metrics.ndcg_at_k(_query_top10(s, d, "true"), gold, 10).select("scope", F.round("ndcg", 9).alias("ndcg"))
+
+
 _MID = "rank() OVER (ORDER BY {0}) + (count(*) OVER (PARTITION BY {0}) - 1) / 2.0"
 
 
