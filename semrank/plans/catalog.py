@@ -70,6 +70,10 @@ def first_english(spark: SparkSession, sf_dir: str) -> DataFrame:
     return load(spark, sf_dir, "documents").filter("lang = 'en'").orderBy("doc_id").limit(256)
 
 
+def every_english(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return load(spark, sf_dir, "documents").filter("lang = 'en'")
+
+
 def lexical_items(df: DataFrame) -> DataFrame:
     """Lexical score as a column, and the text's length as a proxy for it."""
     ask = F.array_distinct(baselines.token_array(F.lit(ASK)))
@@ -215,6 +219,32 @@ def sort_pprime(s, d):
     return ordered(topk.sort(lexical_items(first_english(s, d)), PERFECT, RankParams(pivots=8, pivot_group=2)))
 
 
+#: More rows than any table has: a full sort.
+ALL_ROWS = 1_000_000_000_000
+EN_SORTED = top_sql("documents", "doc_id", LEX, ALL_ROWS, "lang = 'en'")
+
+
+@query(EN_SORTED)
+def sort_docs_all(s, d):
+    return ordered(topk.sort(items_of(every_english(s, d), "doc_id", payload=F.col("text")), LexicalRanker(ASK)))
+
+
+@query(EN_SORTED)
+def sort_proxy_all(s, d):
+    return ordered(topk.sort(lexical_items(every_english(s, d)), PERFECT, RankParams(pivots=6, pivot_mode="proxy")))
+
+
+@query(EN_SORTED)
+def sort_pprime_all(s, d):
+    return ordered(topk.sort(lexical_items(every_english(s, d)), PERFECT, RankParams(pivots=8, pivot_group=2)))
+
+
+@query(top_sql("part", "p_partkey", "p_retailprice", ALL_ROWS))
+def tournament_full_sort_all_parts(s, d):
+    parts = load(s, d, "part")
+    return ordered(topk.tournament(items_of(parts, "p_partkey", F.col("p_retailprice")), parts.count(), PERFECT))
+
+
 @query(top_sql("orders", "o_orderkey", "o_totalprice", 1_000_000_000))
 def sort_distributed_orders(s, d):
     return ordered(topk.sort(order_items(s, d), PERFECT, RankParams(pivots=6), tail=4_000))
@@ -499,6 +529,12 @@ def spearman_sort(s, d):
     return metrics.spearman(x.select("scope", "id", F.col("proxy").alias("value")), x.select("scope", "id", F.col("score").alias("value"))).select("scope", F.round("spearman", 6).alias("spearman"))
 
 
+@query(f"SELECT CAST(0 AS BIGINT) AS scope, round(corr(x, y), 6) AS spearman FROM (SELECT {_MID.format('n_chars')} AS x, {_MID.format('l')} AS y FROM (SELECT n_chars, {LEX} AS l FROM documents WHERE lang = 'en'))")
+def spearman_sort_all(s, d):
+    x = lexical_items(every_english(s, d))
+    return metrics.spearman(x.select("scope", "id", F.col("proxy").alias("value")), x.select("scope", "id", F.col("score").alias("value"))).select("scope", F.round("spearman", 6).alias("spearman"))
+
+
 @query("SELECT CAST(ceil(count(*) / 20.0) AS BIGINT) AS calls, count(*) AS items FROM orders")
 def calls_filter(s, d):
     return metrics.count_calls(topk.bin_filter(order_items(s, d), PERFECT, RankParams()).calls).select("calls", "items")
@@ -883,6 +919,6 @@ def calls_quality_rates(s, d):
     """How often responses needed repair or contradicted the settled order of pivots."""
     from ..operators.rankers import BrokenRanker, ContradictingRanker
 
-    items = lexical_items(first_english(s, d))
+    items = lexical_items(every_english(s, d))
     runs = (("broken", BrokenRanker(PERFECT)), ("contradicting", ContradictingRanker(PERFECT, 0.3)), ("perfect", PERFECT))
     return experiments._all(metrics.quality_rates(topk.sort(items, r, RankParams(pivots=6)).calls).withColumn("ranker", F.lit(n)) for n, r in runs)

@@ -129,6 +129,16 @@ def test_every_benchmark_item_is_judged(spark, sf_dir):
         assert {r["scope"] for r in catalog.QUERIES[name](spark, sf_dir).select("scope").distinct().collect()} == every, name
 
 
+def test_full_sorts_hold_every_row(spark, tmp_path):
+    """More than 256 rows: none is left out."""
+    n = 400
+    texts = spark.range(n).select(F.col("id").alias("doc_id"), F.concat(F.lit("the thing "), F.repeat(F.lit("of that "), (F.col("id") % 7).cast("int"))).alias("text"), F.lit("en").alias("lang"), F.lit("web").alias("source"))
+    texts.withColumn("n_chars", F.length("text").cast("long")).write.parquet(f"{tmp_path}/documents.parquet")
+    spark.range(1, n + 1).select(F.col("id").alias("p_partkey"), (F.col("id") % 90).cast("double").alias("p_retailprice")).write.parquet(f"{tmp_path}/part.parquet")
+    for name in ("sort_docs_all", "sort_proxy_all", "sort_pprime_all", "tournament_full_sort_all_parts"):
+        assert sorted(r["rank"] for r in catalog.QUERIES[name](spark, str(tmp_path)).collect()) == list(range(1, n + 1)), name
+
+
 def test_elo_follows_a_consistent_comparator(spark):
     pool = spark.createDataFrame([(0, i, float(i)) for i in range(30)], "scope long, id long, score double")
     rows = baselines.elo_rank(baselines.all_pairs(pool)).orderBy("gold_rank").collect()
