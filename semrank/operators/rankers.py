@@ -193,13 +193,15 @@ def parse_score(text: str | None, top: float) -> tuple[float, bool]:
 
 @dataclass
 class HttpRanker(Ranker):
-    """A ranking service: POSTs a batch as JSON, retries, and remembers answers by query and ids."""
+    """A ranking service: POSTs a batch as JSON, retries, and remembers answers by query and ids.
+
+    Texts go out whole; ``max_chars`` clips them for a service that can't take long ones."""
 
     url: str
     model: str
     timeout: float = 60.0
     retries: int = 3
-    max_chars: int = 4000
+    max_chars: int | None = None
     _known: dict = field(default_factory=dict, repr=False)
 
     def _post(self, body: bytes) -> dict:

@@ -617,6 +617,12 @@ def listwise_prompt(s, d):
     return x.select(F.col("doc_id").alias("id"), prompts.prompt_column(F.lit("x"), F.array(prompts.clip_payload(F.col("text"), 50), F.coalesce("lang", F.lit("")))).alias("prompt"))
 
 
+@query("SELECT doc_id AS id, 'Order the passages by relevance to: x' || chr(10) || '[1] ' || text || chr(10) || '[2] ' || coalesce(lang, '') || chr(10) || 'Answer with all numbers, most relevant first.' AS prompt FROM documents")
+def listwise_prompt_whole(s, d):
+    x = load(s, d, "documents")
+    return x.select(F.col("doc_id").alias("id"), prompts.prompt_column(F.lit("x"), F.array(F.col("text"), F.coalesce("lang", F.lit("")))).alias("prompt"))
+
+
 @query("SELECT bin, count(*) AS n, min(o_orderkey) AS least FROM (SELECT o_orderkey, (row_number() OVER (ORDER BY md5('42:0:' || o_orderkey), o_orderkey) - 1) // 20 AS bin FROM orders) GROUP BY bin")
 def bins_exact(s, d):
     return binning.assign_bins(order_items(s, d), 20, 42, 0).groupBy("bin").agg(F.count("*").alias("n"), F.min("id").alias("least"))

@@ -1,5 +1,6 @@
 """Worked examples, invariants under a perfect ranker, costs, errata and the planner."""
 
+import json
 import math
 import random
 import statistics
@@ -9,7 +10,7 @@ import pytest
 
 from semrank.operators.engine import Doc, Judge, bin_filter, pivot_select, pivot_sort, refine_top, tournament_topk
 from semrank.operators.prompts import build_listwise_prompt, buckets_from_response, parse_ranking, repair_ranking
-from semrank.operators.rankers import BrokenRanker, CachingRanker, ColumnRanker, ContradictingRanker, LexicalRanker, ListRequest, NoisyRanker, PointScorer, VectorRanker, parse_score
+from semrank.operators.rankers import BrokenRanker, CachingRanker, ColumnRanker, ContradictingRanker, HttpRanker, LexicalRanker, ListRequest, NoisyRanker, PointScorer, VectorRanker, parse_score
 from semrank.plans import cost, planner, simulate
 from semrank.schema import RankParams
 
@@ -191,3 +192,17 @@ def test_bad_parameters():
     for bad in ({"pivots": 20}, {"pivots": 4, "pivot_group": 5}, {"survivors": 20}, {"pivot_mode": "x"}):
         with pytest.raises(ValueError):
             RankParams(**bad)
+
+
+def test_http_ranker_sends_whole_texts():
+    sent = []
+
+    class Service(HttpRanker):
+        def _post(self, body):
+            sent.extend(json.loads(body)["prompts"])
+            return {"responses": ["[2] > [1]"]}
+
+    request = ListRequest("q", [1, 2], ["a" * 9000 + "end of a", "b"], [0.0, 0.0])
+    assert Service("http://none", "m").rank([request]) == [[1, 0]] and "a" * 9000 + "end of a" in sent[0]
+    Service("http://none", "m", max_chars=10).rank([request])
+    assert "a" * 11 not in sent[1]
