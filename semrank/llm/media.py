@@ -185,6 +185,11 @@ def describe(data: bytes | None) -> str:
     return "|".join(out) or "codec=none"
 
 
+def keyframe_ranges(data: bytes | None) -> list[tuple[int, int]]:
+    """(offset, length) of every keyframe range, track by track."""
+    return [(a, n) for t in tracks(data or b"") for a, n in t.keyframes()]
+
+
 def stored_samples(data: bytes) -> bytes:
     """The bytes of the first track's samples, cut out by its chunk table."""
     return b"".join(data[a : a + n] for a, n, _ in tracks(data)[0].chunk_ranges())
@@ -201,17 +206,17 @@ def media_column(docs: DataFrame) -> DataFrame:
 
 
 def media_features(media: DataFrame) -> DataFrame:
-    """doc_id, n_bytes and what the stored containers hold."""
+    """doc_id, n_bytes and what the stored containers hold; all keyframe ranges as arrays of offsets and lengths."""
 
     def make(batch: pa.RecordBatch) -> dict:
-        out: dict = {n: [] for n in ("payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature")}
+        out: dict = {n: [] for n in ("payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature", "keyframe_offsets", "keyframe_lengths")}
         for data in batch.column(2).to_pylist():
-            payload = stored_samples(data)
-            for name, value in zip(out, (len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-BLOCK:]), len(data), hashlib.sha256(data).hexdigest(), describe(data)), strict=True):
+            payload, ranges = stored_samples(data), keyframe_ranges(data)
+            for name, value in zip(out, (len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-BLOCK:]), len(data), hashlib.sha256(data).hexdigest(), describe(data), [a for a, _ in ranges], [n for _, n in ranges]), strict=True):
                 out[name].append(value)
         return {"doc_id": batch.column(0), "n_bytes": batch.column(1), **out}
 
-    return per_batch(media, make, "doc_id bigint, n_bytes bigint, payload_bytes bigint, payload_sha256 string, tail_crc32 bigint, media_bytes bigint, media_sha256 string, feature string")
+    return per_batch(media, make, "doc_id bigint, n_bytes bigint, payload_bytes bigint, payload_sha256 string, tail_crc32 bigint, media_bytes bigint, media_sha256 string, feature string, keyframe_offsets array<bigint>, keyframe_lengths array<bigint>")
 
 
 def media_round_trip(docs: DataFrame) -> DataFrame:

@@ -2,6 +2,7 @@
 
 import hashlib
 import re
+import struct
 import zlib
 
 import numpy as np
@@ -148,6 +149,19 @@ def test_media(spark, sf_dir):
     assert media.media_round_trip(frame(spark).filter("false")).count() == 0
 
 
+def test_media_keeps_every_keyframe_range(spark):
+    data = bytearray(media.encode(b"x" * 100))
+    at = data.index(b"stsc") - 4
+    box = struct.pack(">I4sII", 16 + 24, b"stss", 0, 6) + struct.pack(">6I", 1, 20, 40, 60, 80, 100)
+    for parent in (b"moov", b"trak", b"mdia", b"minf", b"stbl"):
+        i = data.index(parent) - 4
+        data[i : i + 4] = struct.pack(">I", struct.unpack_from(">I", data, i)[0] + len(box))
+    data[at:at] = box
+    row = media.media_features(spark.createDataFrame([(1, 100, data)], "doc_id long, n_bytes long, media binary")).first()
+    assert "keyframes=6;" in row["feature"] and row["keyframe_lengths"] == [1] * 6
+    assert [a - row["keyframe_offsets"][0] for a in row["keyframe_offsets"]] == [0, 19, 39, 59, 79, 99]
+
+
 def test_media_sync_samples():
     t = media.Track(chunk_runs=[(1, 2), (2, 3)], n_samples=5, sizes=(10, 20, 30, 40, 50), chunks=(100, 1000), sync=(1, 4))
     assert t.chunk_ranges() == [(100, 30, 2), (1000, 120, 3)]
