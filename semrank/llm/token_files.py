@@ -114,14 +114,25 @@ def _forget() -> None:
 
 
 def train_dictionary(docs: DataFrame, tokenizer: str, end_id: int) -> bytes:
-    """A dictionary over the ids of the SAMPLE_DOCS documents with the smallest hashes of doc_id. Only sizes depend on it."""
-    chosen = docs.select("doc_id").filter("doc_id is not null").orderBy(F.xxhash64("doc_id"), "doc_id").limit(SAMPLE_DOCS).distinct()
-    sample = docs.join(F.broadcast(chosen), "doc_id").select("text").toLocalIterator()
-    arrays = Codec.of(tokenizer, end_id).encode([r["text"] for r in islice(sample, SAMPLE_DOCS)])
+    """A dictionary over the ids of the documents with the smallest hashes of doc_id, as many as training asks for. Only sizes depend on it.
+
+    From SAMPLE_DOCS documents on, four times as many are taken until their ids suffice for DICT_BYTES or all are taken;
+    then the dictionary is as small as its sample asks for, or the sample itself if that is too little to train on."""
+    codec, n = Codec.of(tokenizer, end_id), SAMPLE_DOCS
+    while True:
+        chosen = docs.select("doc_id").filter("doc_id is not null").orderBy(F.xxhash64("doc_id"), "doc_id").limit(n).distinct()
+        sample = docs.join(F.broadcast(chosen), "doc_id").select("text").toLocalIterator()
+        arrays = codec.encode([r["text"] for r in islice(sample, n)])
+        total = sum(map(len, arrays))
+        if total > 4 * DICT_BYTES or len(arrays) < n:
+            break
+        n *= 4
     try:
-        return zstandard.train_dictionary(DICT_BYTES, arrays).as_bytes() if sum(map(len, arrays)) > 4 * DICT_BYTES else b""
+        return zstandard.train_dictionary(min(DICT_BYTES, max(total // 4, 1024)), arrays).as_bytes()
     except zstandard.ZstdError:
-        return b""
+        # too few or too like documents to train on: their ids themselves
+        content = b"".join(arrays)[-DICT_BYTES:]
+        return content if len(content) >= 8 else b""
 
 
 def _dictionary(data: bytes) -> zstandard.ZstdCompressionDict | None:

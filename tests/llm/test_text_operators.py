@@ -10,7 +10,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from semrank.llm import decontaminate, license_scan, line_dedup, media, near_dedup, token_files
-from semrank.llm.common import alnum_words, blank_words, table
+from semrank.llm.common import alnum_words, blank_words, new_path, table
 from semrank.llm.fm_index import FMIndex
 
 ALNUM, BLANK = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", r"[^\x20\x09-\x0D]+"
@@ -250,3 +250,19 @@ def test_license_scan(spark, sf_dir):
     assert sorted(((r["doc_id"], r["n_words"], r["n_base"], r["first_word"], r["last_word"], r["base_labels"]) for r in got.collect()), key=repr) == brute_phrases(rows)
     assert "mit" in got.filter("doc_id = 30").first()["labels"]
     assert license_scan.scan(frame(spark).filter("false")).count() == 0
+
+
+@pytest.mark.parametrize("n", [5, 2000])
+def test_short_documents_get_a_dictionary(spark, n):
+    """Far below 256 ids a document, and even of few documents."""
+    import public_tokenizers
+    from pyarrow import fs
+
+    rows = [(i, f"short note {i % 97} about thing {i % 13}") for i in range(n)]
+    path = new_path(spark, "short")
+    shards = token_files.write_shards(frame(spark, rows), path, public_tokenizers.path("byte_bpe_50k.json"))
+    where, root = token_files.file_system(path)
+    names = [f for f in where.get_file_info(fs.FileSelector(root)) if f.path.endswith(".zdict")]
+    assert len(names) == 1 and names[0].size > 0 and sum(docs for _, docs, _ in shards) == n
+    got = token_files.token_round_trip(frame(spark, rows))
+    assert got.count() == n
