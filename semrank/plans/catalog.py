@@ -644,27 +644,27 @@ def win_lag_edges(s, d):
 
 @query()
 def simulate_select(s, d):
-    return simulate.compare_theory(s, "select", [{"n": 1000, "k": k, "size": 20, "p": p} for k in (1, 10, 100, 500) for p in (1, 2, 4, 6, 10)], 300)
+    return simulate.compare_theory(s, "select", [{"n": 1000, "k": k, "size": 20, "p": p} for k in (1, 10, 100, 500) for p in (1, 2, 4, 6, 10)], simulate.TRIALS)
 
 
 @query()
 def simulate_sort(s, d):
-    return simulate.compare_theory(s, "sort", [{"n": 1000, "size": 20, "p": p} for p in (1, 2, 4, 6, 8, 12, 16)], 200)
+    return simulate.compare_theory(s, "sort", [{"n": 1000, "size": 20, "p": p} for p in (1, 2, 4, 6, 8, 12, 16)], simulate.TRIALS)
 
 
 @query()
 def simulate_filter(s, d):
-    return simulate.simulate_grid(s, "filter", [{"n": 5183, "k": k, "size": 20, "s": x} for k in (10, 50) for x in (1, 2)], 300)
+    return simulate.simulate_grid(s, "filter", [{"n": 5183, "k": k, "size": 20, "s": x} for k in (10, 50) for x in (1, 2)], simulate.TRIALS)
 
 
 @query()
 def simulate_tournament(s, d):
-    return simulate.simulate_grid(s, "tournament", [{"n": 1000, "k": k, "size": 20} for k in (1, 10)], 8)
+    return simulate.simulate_grid(s, "tournament", [{"n": 1000, "k": k, "size": 20} for k in (1, 10)], simulate.TRIALS)
 
 
 @query()
 def simulate_pivot_groups(s, d):
-    return simulate.simulate_grid(s, "select", [{"n": 5183, "k": 10, "size": 20, "p": p, "group": g, "early_stop": e} for p, g, e in ((4, 4, False), (4, 2, True), (8, 2, True), (16, 2, True), (16, 2, False), (16, 16, False))], 100)
+    return simulate.simulate_grid(s, "select", [{"n": 5183, "k": 10, "size": 20, "p": p, "group": g, "early_stop": e} for p, g, e in ((4, 4, False), (4, 2, True), (8, 2, True), (16, 2, True), (16, 2, False), (16, 16, False))], simulate.TRIALS)
 
 
 # ---- experiments -------------------------------------------------------------------------------------------------
@@ -702,17 +702,17 @@ def w_review_sort_conversations(s, d):
 
 @query()
 def w_list_size(s, d):
-    return experiments.sweep_list_size(experiments.claim_items(s, d, 10))
+    return experiments.sweep_list_size(experiments.claim_items(s, d))
 
 
 @query()
 def w_k(s, d):
-    return experiments.sweep_k(experiments.claim_items(s, d, 10))
+    return experiments.sweep_k(experiments.claim_items(s, d))
 
 
 @query()
 def w_pivots(s, d):
-    return experiments.sweep_p(experiments.claim_items(s, d, 10))
+    return experiments.sweep_p(experiments.claim_items(s, d))
 
 
 @query()

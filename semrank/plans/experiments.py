@@ -163,10 +163,10 @@ def sweep_sort(spark: SparkSession, sf_dir: str) -> DataFrame:
     """NDCG of a full sort against the number of documents (flat) and the list size (falling)."""
     out = []
     for n in (50, 100, 200):
-        items = claim_items(spark, sf_dir, 10, n)
+        items = claim_items(spark, sf_dir, n_docs=n)
         out.append(measured("n", topk.sort(items, fine(), RankParams(pivots=6), SEED), items).withColumn("value", F.lit(float(n))))
+    items = claim_items(spark, sf_dir)
     for size in (5, 20, 64, 128):
-        items = claim_items(spark, sf_dir, 10, 200)
         out.append(measured("list_size", topk.sort(items, PairNoiseByListSize(ColumnRanker(), FINE, SEED, knee=16), RankParams(list_size=size, pivots=min(6, size - 2)), SEED), items).withColumn("value", F.lit(float(size))))
     return _all(out).select(F.col("label").alias("parameter"), "value", "calls", "ndcg")
 
@@ -222,7 +222,7 @@ def filter_recall(items: DataFrame, survivors: Iterable[int], ks: Iterable[int],
     return ranked.withColumn("c", F.explode(cells)).filter("rank <= c.k").groupBy("scope", F.col("c.s").alias("s"), F.col("c.k").alias("k")).agg((F.sum(F.when(F.col("place") <= F.col("c.s"), 1).otherwise(0)) / F.count("*")).alias("recall"))
 
 
-def tuning_gain(spark: SparkSession, trials: int = 200) -> DataFrame:
+def tuning_gain(spark: SparkSession, trials: int = simulate.TRIALS) -> DataFrame:
     """(algo, worst, best, gain): calls saved by the best number of pivots against the others tried."""
     grids = {"select": [{"n": 1000, "k": 10, "size": 20, "p": p} for p in (1, 2, 4, 6, 8)], "sort": [{"n": 1000, "size": 20, "p": p} for p in (1, 2, 4, 6, 8, 12)]}
     return _all(simulate.simulate_grid(spark, a, g, trials).agg(F.max("value").alias("worst"), F.min("value").alias("best")).select(F.lit(a).alias("algo"), "worst", "best", (1 - F.col("best") / F.col("worst")).alias("gain")) for a, g in grids.items())
@@ -236,7 +236,7 @@ def reduced_corpus(spark: SparkSession, sf_dir: str) -> DataFrame:
     return method_table(near)
 
 
-def judge_workload(spark: SparkSession, sf_dir: str, n_queries: int = 5) -> DataFrame:
+def judge_workload(spark: SparkSession, sf_dir: str, n_queries: int = QUERIES) -> DataFrame:
     """Against judge labels: a pooled, Elo-ranked gold of ten a query."""
     q, docs = queries(spark, sf_dir, n_queries), corpus(spark, sf_dir)
     gold = materialise(baselines.judge_gold(q, docs), "judge")

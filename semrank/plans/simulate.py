@@ -74,6 +74,8 @@ def tournament_calls(rng, n: int, k: int, size: int) -> int:
     return len(judge.calls)
 
 
+#: Trials of a point, as published.
+TRIALS = 5_000
 _ONE = {"select": select_calls, "sort": sort_calls, "filter": filter_recall, "tournament": tournament_calls}
 
 
@@ -106,7 +108,7 @@ def compare_theory(spark: SparkSession, algo: str, grid: list[dict], trials: int
     return out.select("config", "p", "k", F.col("value").alias("simulated"), "theory", (F.col("theory") / F.col("value") - 1).alias("gap"))
 
 
-def fit_sort_coefficient(spark: SparkSession, size: int = 20, p: int = 6, ns: tuple[int, ...] = (100, 1_000, 10_000), trials: int = 20) -> float:
+def fit_sort_coefficient(spark: SparkSession, size: int = 20, p: int = 6, ns: tuple[int, ...] = (100, 1_000, 10_000, 100_000), trials: int = 20) -> float:
     """Least squares of the linear term: simulated calls less the log-linear part, over n."""
     rows = simulate_grid(spark, "sort", [{"n": n, "size": size, "p": p} for n in ns], trials).collect()
     xy = [(ns[r["config"]], r["value"] - cost.cost_sort(ns[r["config"]], size, p, 0.0)) for r in rows]

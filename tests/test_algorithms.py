@@ -206,3 +206,18 @@ def test_http_ranker_sends_whole_texts():
     assert Service("http://none", "m").rank([request]) == [[1, 0]] and "a" * 9000 + "end of a" in sent[0]
     Service("http://none", "m", max_chars=10).rank([request])
     assert "a" * 11 not in sent[1]
+
+
+def test_workloads_have_their_published_size(monkeypatch):
+    """25 queries over the whole corpus, 5,000 trials a point."""
+    from semrank.plans import catalog, experiments
+
+    asked, trials = [], []
+    monkeypatch.setattr(experiments, "claim_items", lambda s, d, n_queries=experiments.QUERIES, n_docs=None: asked.append((n_queries, n_docs)))
+    for name in ("sweep_list_size", "sweep_k", "sweep_p"):
+        monkeypatch.setattr(experiments, name, lambda items: None)
+    monkeypatch.setattr(simulate, "compare_theory", lambda s, algo, grid, n: trials.append(n))
+    monkeypatch.setattr(simulate, "simulate_grid", lambda s, algo, grid, n: trials.append(n))
+    for name in ("w_list_size", "w_k", "w_pivots", "simulate_select", "simulate_sort", "simulate_filter", "simulate_tournament", "simulate_pivot_groups"):
+        catalog.QUERIES[name](None, "")
+    assert asked == [(25, None)] * 3 and trials == [5_000] * 5
