@@ -160,10 +160,56 @@ def test_warc_push_down_skips_payloads(spark):
     plan = read.filter("record_type = 'revisit' and target_uri like 'http://b%'")._jdf.queryExecution().toString()
     assert read.filter("record_type = 'revisit' and target_uri like 'http://b%'").first()["page_id"] == 2
     assert read.filter("page_id in (4, 6)").count() == 2 and "semrank_warc" in plan
-    where, root = warc.file_system(path)
-    name = next(x.path for x in where.get_file_info(__import__("pyarrow").fs.FileSelector(root)) if x.base_name.endswith(".gz"))
-    data = where.open_input_stream(name, compression=None).read()
-    assert [p for _, _, p in warc.records(data, warc.Rules(frozenset({"revisit"})), False)] == [None] * len([1 for _ in warc.records(data, warc.Rules(frozenset({"revisit"})), True)])
+    lean = warc.read_archives(spark, path, ["page_id", "record_type", "content_length"])
+    assert lean.columns == ["page_id", "record_type", "content_length"] and lean.filter("record_type = 'response'").agg(F.max("content_length")).first()[0] == 1_400_000
+
+
+def opened(data):
+    import pyarrow as pa
+
+    return warc.Ranges(pa.BufferReader(data), len(data))
+
+
+def test_warc_unwanted_payloads_stay_packed():
+    """Bytes inflated for records that no rule admits, or of which no payload is asked for: headers only."""
+    big = np.random.default_rng(2).integers(0, 256, 3_000_000, dtype=np.uint8).tobytes()
+    data = b"".join(warc.encode_record(i, f"http://x/{i}", big, "d", None if i % 2 else 1) for i in range(1, 7))
+    for rules, payloads, kept in ((warc.Rules(page_ids=frozenset({3})), True, 1), (warc.Rules(), False, 6)):
+        before = warc._Member.inflated
+        got = list(warc.records(opened(data), rules, payloads))
+        used = warc._Member.inflated - before
+        assert len(got) == kept and all((p == big) if payloads else p is None for _, _, p in got)
+        assert used < (len(big) + 30_000 if payloads else 0) + 6 * 2_000
+    assert [h["x-page-id"] for _, h, _ in warc.records(opened(data), warc.Rules(frozenset({"revisit"})), True)] == ["2", "4", "6"]
+
+
+def test_warc_members_of_other_writers():
+    """Without skip lengths; a number that isn't one; a cut-off file."""
+    import gzip
+
+    first = gzip.compress(b"WARC/1.0\r\nWARC-Type: response\r\nX-Page-ID: abc\r\nContent-Length: 70000\r\n\r\n" + b"y" * 70_000 + b"\r\n\r\n")
+    data = first + warc.encode_record(5, None, b"z" * 10, "d", None)
+    for payloads in (True, False):
+        got = list(warc.records(opened(data), warc.Rules(), payloads))
+        assert [(at, h["warc-type"], p if p is None else len(p)) for at, h, p in got] == [(0, "response", 70_000 if payloads else None), (len(first), "response", 10 if payloads else None)]
+    assert [h["x-page-id"] for _, h, _ in warc.records(opened(data), warc.Rules(page_ids=frozenset({5})), False)] == ["5"]
+    with pytest.raises(ValueError, match="cut off"):
+        list(warc.records(opened(first[: len(first) // 2]), warc.Rules(), False))
+    assert gzip.decompress(warc.gzip_member(b"abc" * 1000)) == b"abc" * 1000
+
+
+def test_warc_repeated_page_ids_clashing_columns_and_rolled_files(spark):
+    rows = [(1, "x" * 200), (1, "y" * 300), (2, "x" * 200), (3, "y" * 300), (3, "y" * 300), (1, "x" * 200), (4, "long " * 400_000)]
+    pages = spark.createDataFrame([(i, "http://u", h, "own", 7, b"p") for i, h in rows], "page_id long, url string, html string, payload_digest string, refers_to int, payload binary").repartition(1)
+    got = sorted(tuple(r) for r in warc.round_trip(pages).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to").collect())
+    digest = {h: warc.payload_digest(h.encode()) for _, h in rows}
+    want = [(i, len(h), digest[h], "response" if i in (1, 4) else "revisit", None if i in (1, 4) else 1) for i, h in rows]
+    assert sorted(want) == got
+    path = new_path(spark, "warc-roll")
+    warc.write_archives(pages, path, roll_bytes=1)
+    assert warc.read_archives(spark, path).select("file").distinct().count() == len(rows)
+    bare = warc.round_trip(pages.select("page_id", "html"))
+    assert bare.count() == len(rows)
 
 
 def fill(children, budget):
