@@ -137,26 +137,91 @@ def test_decontamination_in_several_blocks(spark, monkeypatch):
     assert sorted((r["doc_id"], r["n_words"], r["n_hit"], r["n_items"], decontaminate.digest(r["items"])) for r in got.collect()) == brute_leaks(ODD, items)
 
 
+def brute_boxes(data, start=0, end=None):
+    """Nested (type, body, children) by another walk: a plain recursive reading of sizes."""
+    out, at, end = [], start, len(data) if end is None else end
+    while at < end:
+        size, kind = int.from_bytes(data[at : at + 4], "big"), data[at + 4 : at + 8]
+        body = at + 8
+        if size == 1:
+            size, body = int.from_bytes(data[at + 8 : at + 16], "big"), at + 16
+        nested = kind in (b"moov", b"trak", b"mdia", b"minf", b"stbl", b"dinf")
+        out.append((kind, data[body : at + size], brute_boxes(data, body, at + size) if nested else []))
+        at += size
+    return out
+
+
+def brute_media(data):
+    """Payload, duration, samples and sync ranges of a container of this writer, table by table."""
+    def find(tree, *path):
+        for kind, body, sub in tree:
+            if kind == path[0]:
+                return body if len(path) == 1 else find(sub, *path[1:])
+
+    number = lambda raw, at, n=4: int.from_bytes(raw[at : at + n], "big")
+    tree = brute_boxes(data)
+    stbl = lambda kind: find(tree, b"moov", b"trak", b"mdia", b"minf", b"stbl", kind)
+    mdhd = find(tree, b"moov", b"trak", b"mdia", b"mdhd")
+    samples, offsets = number(stbl(b"stsz"), 8), [number(stbl(b"co64"), 8 + 8 * i, 8) for i in range(number(stbl(b"co64"), 4))]
+    runs = [(number(stbl(b"stsc"), 8 + 12 * i), number(stbl(b"stsc"), 12 + 12 * i)) for i in range(number(stbl(b"stsc"), 4))]
+    places = []
+    for i, offset in enumerate(offsets, 1):
+        places += [offset + j for j in range([n for first, n in runs if first <= i][-1])]
+    sync = [number(stbl(b"stss"), 8 + 4 * i) for i in range(number(stbl(b"stss"), 4))]
+    assert len(places) == samples
+    return bytes(data[p] for p in places), number(mdhd, 16) * 1000 // number(mdhd, 12), samples, [places[k - 1] for k in sync]
+
+
 def test_media(spark, sf_dir):
     rows = all_docs(spark, sf_dir)
-    got = sorted((r["doc_id"], r["n_bytes"], r["payload_bytes"], r["payload_sha256"], r["tail_crc32"]) for r in media.media_round_trip(frame(spark, rows)).collect())
+    got = sorted((tuple(r) for r in media.media_round_trip(frame(spark, rows)).collect()), key=repr)
     want = []
     for i, t in rows:
         raw = (t or "").encode()
         full = raw + bytes(-len(raw) % 64 if raw else 64)
-        want.append((i, len(raw), len(full), hashlib.sha256(full).hexdigest(), zlib.crc32(full[-64:])))
-    assert got == sorted(want)
+        data = media.encode(full)
+        payload, ms, samples, keys = brute_media(data)
+        assert payload == full and keys[0] == data.index(full, len(data) - len(full)) and len(keys) == -(-len(full) // 4096)
+        feature = f"codec=raw;handler=soun;ms={ms};samples={samples};keyframes={len(keys)};ranges=" + ",".join(f"{k}+1" for k in keys)
+        want.append((i, len(raw), len(full), hashlib.sha256(full).hexdigest(), zlib.crc32(full[-64:]), len(data), hashlib.sha256(data).hexdigest(), feature, "raw", "soun", ms, samples, 1, [0] * len(keys), keys, [1] * len(keys), False))
+    assert got == sorted(want, key=repr)
     assert media.media_round_trip(frame(spark).filter("false")).count() == 0
 
 
+def test_media_of_broken_and_foreign_columns(spark):
+    """Null, no container, tables that claim too much, offsets beyond the file, cut-off files: a defined row each, no crash."""
+    good = media.encode(b"q" * 10_000)
+
+    def with_count(kind, at, n, data=good):
+        i = data.index(kind) + at
+        return data[:i] + struct.pack(">I", n) + data[i + 4 :]
+
+    sized = with_count(b"stsz", 8, 0)  # sizes of their own: the table claims 10,000 of them and holds none
+    rows = [None, b"", b"no container at all", good[:200], good[: len(good) - 5_000], sized, *(with_count(k, 8, 4_000_000_000) for k in (b"co64", b"stsc", b"stss", b"stts")), with_count(b"co64", 12, 77_777), with_count(b"moov", -4, 2**32 - 1)]
+    rows += [b"\0\0\0\x08moov" * 3, struct.pack(">I4s", 8 * 40, b"moov") + b"".join(struct.pack(">I4s", 8 * (39 - i), b"trak") for i in range(39))]
+    got = media.media_features(spark.createDataFrame([(i, 0, None if d is None else bytearray(d), "own") for i, d in enumerate(rows)], "doc_id long, n_bytes long, media binary, codec string")).orderBy("doc_id").collect()
+    for i in (0, 1, 2):
+        r = got[i]
+        assert (r["codec"], r["duration_ms"], r["keyframe_offsets"], r["payload_bytes"], r["broken"]) == ("none", None, [], 0, False)
+    assert got[4]["broken"] and got[4]["codec"] == "raw" and len(got[4]["keyframe_offsets"]) == 2
+    assert got[5]["broken"] and got[5]["n_samples"] == 0 and got[5]["payload_bytes"] == 0
+    assert all(r["broken"] for r in got[6:11])
+    rng = np.random.default_rng(1)
+    for _ in range(300):  # any byte may be anything
+        data = bytearray(good[:900])
+        for at in rng.integers(0, len(data), 6):
+            data[at] = rng.integers(0, 256)
+        assert isinstance(media.describe(bytes(data)), str) and media.described(bytes(data))["n_tracks"] >= 0
+
+
 def test_media_keeps_every_keyframe_range(spark):
     data = bytearray(media.encode(b"x" * 100))
-    at = data.index(b"stsc") - 4
+    at = data.index(b"stss") - 4
     box = struct.pack(">I4sII", 16 + 24, b"stss", 0, 6) + struct.pack(">6I", 1, 20, 40, 60, 80, 100)
     for parent in (b"moov", b"trak", b"mdia", b"minf", b"stbl"):
         i = data.index(parent) - 4
-        data[i : i + 4] = struct.pack(">I", struct.unpack_from(">I", data, i)[0] + len(box))
-    data[at:at] = box
+        data[i : i + 4] = struct.pack(">I", struct.unpack_from(">I", data, i)[0] + len(box) - 20)
+    data[at : at + 20] = box
     row = media.media_features(spark.createDataFrame([(1, 100, data)], "doc_id long, n_bytes long, media binary")).first()
     assert "keyframes=6;" in row["feature"] and row["keyframe_lengths"] == [1] * 6
     assert [a - row["keyframe_offsets"][0] for a in row["keyframe_offsets"]] == [0, 19, 39, 59, 79, 99]
