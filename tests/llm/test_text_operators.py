@@ -309,11 +309,69 @@ def brute_phrases(rows):
     return sorted(out, key=repr)
 
 
+def brute_scan(text):
+    """labels and best score of a text: for every diagonal, the longest rising run of hits within the drift."""
+    w, labels, best = words(ALNUM, text), set(), 0.0
+    for _, label, base, size, drift, must, template in license_scan.template_rows():
+        found = sorted((a, -p) for p in range(size - 1) for a in range(len(w) - 1) if w[a : a + 2] == template[p : p + 2])
+        for d in sorted({a + p for a, p in found}):
+            own = [(a, -p) for a, p in found if 0 <= a + p - d <= drift]
+            longest = []
+            for i, (a, p) in enumerate(own):
+                longest.append(1 + max((longest[j] for j, (b, q) in enumerate(own[:i]) if b < a and q < p), default=0))
+            n = max(longest)
+            enough = n == size - 1 if base else n >= license_scan.COVER * (size - 1) - 1e-9
+            if enough and set(must) <= {p for _, p in own}:
+                labels.add(label)
+                best = max(best, n / (size - 1))
+    return ",".join(sorted(labels)), best
+
+
+def licence_texts():
+    rng = np.random.default_rng(4)
+    by_label = {label: text for label, text, _ in license_scan.TEMPLATES}
+    mit, bsl = by_label["mit-notice"].split(" "), by_label["bsl-1.0"].split(" ")
+    filler = lambda n: [f"filler{i}" for i in rng.integers(0, 50, n)]
+    out = [by_label[label] for label in by_label]
+    out.append(" ".join(x for i in range(0, len(mit), 2) for x in [*mit[i : i + 2], "xx", "yy"]))  # pairs with words between them
+    out.append(" ".join(x for i in range(0, len(mit), 8) for x in [*mit[i : i + 8], "xx"]))  # a word every eight
+    shuffled = [mit[i : i + 2] for i in range(0, len(mit), 2)]
+    rng.shuffle(shuffled)
+    out.append(" ".join(x for pair in shuffled for x in pair))
+    out.append(" ".join(mit[len(mit) // 2 :] + mit[: len(mit) // 2]))  # halves the wrong way round
+    out += [" ".join(mit[:n]) for n in (10, 20, 23, 25)]
+    out += [" ".join([*filler(40), *bsl[:n], *filler(m), *bsl[n:], *filler(5), *mit]) for n, m in ((10, 3), (20, 12), (30, 30))]
+    out.append("either version 3 of the license " + by_label["gpl-2.0"].replace("version 2", "version 4"))
+    out.append("of the software " * 60 + by_label["mit"] + " the software is" * 40)
+    out.append(" ".join(mit + filler(3) + mit))
+    for _ in range(15):  # damaged copies
+        w = by_label[list(by_label)[rng.integers(0, len(by_label))]].split(" ")
+        for at in rng.integers(0, len(w), rng.integers(0, 1 + len(w) // 6)):
+            w[at] = str(rng.choice(["the", "software", "x", ""]))
+        out.append(" ".join(w))
+    return out
+
+
+def test_license_labels_and_scores(spark):
+    """Whole, interleaved, shuffled, partial, damaged and repeated copies, versions of one license."""
+    rows = list(enumerate(licence_texts()))
+    got = {r["doc_id"]: (r["labels"], r["score"]) for r in license_scan.scan(frame(spark, rows)).collect()}
+    for i, text in rows:
+        labels, best = brute_scan(text)
+        assert got[i][0] == labels and abs(got[i][1] - best) < 1e-12, (i, text[:80], got[i], labels, best)
+    whole = dict(enumerate(label for label, _, _ in license_scan.TEMPLATES))
+    assert all(whole[i] in got[i][0].split(",") for i in whole)
+    n = len(whole)
+    assert got[n][0] == got[n + 2][0] == got[n + 3][0] == "" and got[n + 1][0] == "mit-notice"
+    assert "gpl-3.0-or-later" not in got[list(whole.values()).index("gpl-2.0")][0]
+
+
 def test_license_scan(spark, sf_dir):
     rows = all_docs(spark, sf_dir) + [(30, "x Permission is hereby granted, free of charge, to any person obtaining a copy of this great software and associated documentation files (the Software), to deal in the Software without restriction.")]
     got = license_scan.scan(frame(spark, rows))
     assert sorted(((r["doc_id"], r["n_words"], r["n_base"], r["first_word"], r["last_word"], r["base_labels"]) for r in got.collect()), key=repr) == brute_phrases(rows)
-    assert "mit" in got.filter("doc_id = 30").first()["labels"]
+    assert sorted((r["doc_id"], r["labels"]) for r in got.collect() if len(r["labels"])) == sorted((i, brute_scan(t)[0]) for i, t in rows if brute_scan(t)[0])
+    assert "mit-notice" in got.filter("doc_id = 30").first()["labels"]
     assert license_scan.scan(frame(spark).filter("false")).count() == 0
 
 
