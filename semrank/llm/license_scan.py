@@ -126,20 +126,22 @@ def template_rows() -> list[tuple]:
     return out
 
 
-def template_grams(spark: SparkSession) -> DataFrame:
-    """(template, label, base, size, drift, must, place, a, b, hash): one row per pair of consecutive words. A fixed, small table."""
-    rows = [(*t, i, words[i], words[i + 1]) for *t, words in template_rows() for i in range(len(words) - 1)]
-    grams = spark.createDataFrame(rows, "template int, label string, base boolean, size int, drift double, must array<int>, place int, t_a string, t_b string")
-    return grams.withColumn("hash", F.xxhash64("t_a", "t_b"))
+def templates(spark: SparkSession) -> DataFrame:
+    """(template, label, base, size, drift, must): one row per phrase and template. A fixed, small table."""
+    return spark.createDataFrame([t for *t, _ in template_rows()], "template int, label string, base boolean, size int, drift double, must array<int>")
 
 
-_TEMPLATE = ["template", "label", "base", "size", "drift", "must"]
+def template_grams(spark: SparkSession) -> DataFrame:
+    """(template, place, t_a, t_b, hash): one row per pair of consecutive words. A fixed, small table."""
+    rows = [(number, i, words[i], words[i + 1]) for number, *_, words in template_rows() for i in range(len(words) - 1)]
+    grams = spark.createDataFrame(rows, "template int, place int, t_a string, t_b string")
+    return grams.withColumn("hash", F.xxhash64("t_a", "t_b"))
 
 
 def hits(docs: DataFrame) -> DataFrame:
-    """(row, doc_id, n_words, template columns, place, pos): every place where a template's pair of words stands.
+    """(row, template, place, pos, doc_id, n_words): every place where a template's pair of words stands.
 
-    Each row of ``docs`` also gives one row without a template, which carries its number of words.
+    Each row of ``docs`` also gives one row without a template; that alone carries its doc_id and number of words.
     """
     firsts = sorted({w for *_, words in template_rows() for w in words[:-1]})
     seconds = sorted({w for *_, words in template_rows() for w in words[1:]})
@@ -149,8 +151,8 @@ def hits(docs: DataFrame) -> DataFrame:
     pairs = F.transform(places, lambda i: F.struct(i.alias("pos"), F.get("words", i).alias("a"), F.get("words", i + 1).alias("b")))
     none = F.array(F.struct(F.lit(None).cast("int").alias("pos"), F.lit(None).cast("string").alias("a"), F.lit(None).cast("string").alias("b")))
     grams = rows.select("row", "doc_id", F.size("words").cast("long").alias("n_words"), F.inline(F.concat(none, pairs))).withColumn("hash", F.xxhash64("a", "b"))
-    joined = grams.join(F.broadcast(template_grams(docs.sparkSession)), "hash", "left")
-    return joined.filter("pos is null or (a = t_a and b = t_b)").select("row", "doc_id", "n_words", *_TEMPLATE, "place", "pos")
+    joined = grams.join(F.broadcast(template_grams(docs.sparkSession)), "hash", "left").filter("pos is null or (a = t_a and b = t_b)")
+    return joined.select("row", "template", "place", "pos", *(F.when(F.col("pos").isNull(), F.col(c)).alias(c) for c in ("doc_id", "n_words")))
 
 
 def rising(found: Column) -> Column:
@@ -167,31 +169,38 @@ def spans(docs: DataFrame) -> DataFrame:
     """(row, doc_id, n_words, label, base, first_word, last_word, score) of every verified span; words count from 0.
 
     A row of ``docs`` without spans gives one row without a label. Of neighbouring candidates the best stands for all.
+    Hits are dealt by rows of ``docs`` once; everything after that happens where they are.
     """
-    keys = ["row", "doc_id", "n_words"]
+    spark = docs.sparkSession
+    dealt = hits(only(docs, "doc_id", "text")).repartition("row")
     votes = (
-        hits(only(docs, "doc_id", "text")).withColumn("diagonal", F.col("pos") - F.col("place"))
-        .groupBy(*keys, *_TEMPLATE, "diagonal").agg(F.sort_array(F.collect_list("place")).alias("places"))
+        dealt.groupBy("row", "template", (F.col("pos") - F.col("place")).alias("diagonal"))
+        .agg(F.sort_array(F.collect_list("place")).alias("places"), F.max("doc_id").alias("doc_id"), F.max("n_words").alias("n_words"))
+        .join(F.broadcast(templates(spark)), "template", "left")
     )
+    # one order for all templates of a row: a template's drift is 1,000 steps, and templates lie far apart
+    votes = votes.withColumn("at", F.coalesce(F.col("template") * F.lit(1 << 40) + F.floor(F.col("diagonal") * 1000.0 / F.col("drift")), F.lit(-(1 << 40))))
+    along = W.partitionBy("row").orderBy("at")
+    ahead, behind = along.rangeBetween(0, 1001), along.rangeBetween(-1001, 0)
     # a candidate is a diagonal and those that follow it within the drift; only where their votes suffice are the hits brought together
-    along = W.partitionBy("row", "template").orderBy(F.floor(F.col("diagonal") * 1e6 / F.col("drift")))
-    reach = along.rangeBetween(0, 1_000_001)
     need = F.when(F.col("base"), F.col("size") - 1).otherwise(F.ceil((F.col("size") - 1) * COVER - F.lit(1e-9)))
-    hopeful = votes.withColumn("enough", F.sum(F.size("places")).over(reach) >= need)
-    hopeful = hopeful.withColumn("some", F.max("enough").over(W.partitionBy("row", "template"))).filter(F.col("template").isNull() | F.col("some"))
+    hopeful = votes.withColumn("enough", F.coalesce(F.sum(F.size("places")).over(ahead) >= need, F.lit(True)))
+    hopeful = hopeful.withColumn("near", F.max("enough").over(behind)).filter("near")
     own = F.transform("places", lambda p: F.struct((p + F.col("diagonal")).alias("pos"), (-p).alias("fall"), p.alias("place")))
-    found = hopeful.withColumn("found", F.when(F.col("base"), own).otherwise(F.array_sort(F.flatten(F.collect_list(own).over(reach))))).filter(F.col("template").isNull() | F.col("enough"))
+    found = hopeful.withColumn("found", F.when(F.col("base"), own).otherwise(F.array_sort(F.flatten(F.collect_list(own).over(ahead))))).filter("enough")
     placed = F.transform("found", lambda h: h["place"])
     # a phrase has all its votes on one diagonal, where places rise anyway
     run = F.when(F.col("base"), F.size("found")).when(F.size(F.array_distinct(placed)) >= need, rising(F.col("found")))
     scored = found.withColumn("n", F.when(F.col("template").isNotNull() & (F.size(F.array_except("must", placed)) == 0), run))
     good = scored.filter(F.col("template").isNull() | (F.col("n") >= need)).withColumn("score", F.col("n") / (F.col("size") - 1))
     good = good.withColumns({"first_word": F.try_element_at("found", F.lit(1))["pos"], "last_word": F.try_element_at("found", F.lit(-1))["pos"] + 1})
-    # verified neighbours are one span
-    apart = F.coalesce(F.col("base"), F.lit(True)) | F.coalesce(F.col("diagonal") - F.lag("diagonal").over(W.partitionBy("row", "template").orderBy("diagonal")) > F.col("drift"), F.lit(True))
-    numbered = good.withColumn("new", apart.cast("int")).withColumn("span", F.sum("new").over(W.partitionBy("row", "template").orderBy("diagonal")))
-    best = numbered.groupBy(*keys, "template", "label", "base", "span").agg(F.max(F.struct("score", (-F.col("first_word")).alias("neg"), "last_word")).alias("m"))
-    return best.select(*keys, "label", "base", (-F.col("m.neg")).alias("first_word"), F.col("m.last_word").alias("last_word"), F.col("m.score").alias("score"))
+    # verified neighbours are one span; a row's own doc_id and number of words stand on its row without a template
+    before = F.when(F.lag("template").over(along) == F.col("template"), F.lag("diagonal").over(along))
+    apart = F.coalesce(F.col("base"), F.lit(True)) | F.coalesce(F.col("diagonal") - before > F.col("drift"), F.lit(True))
+    whole = W.partitionBy("row").orderBy("at").rowsBetween(W.unboundedPreceding, W.unboundedFollowing)
+    numbered = good.withColumns({"new": apart.cast("int"), "doc_id": F.max("doc_id").over(whole), "n_words": F.max("n_words").over(whole)}).withColumn("span", F.sum("new").over(along))
+    best = numbered.groupBy("row", "doc_id", "n_words", "template", "label", "base", "span").agg(F.max(F.struct("score", (-F.col("first_word")).alias("neg"), "last_word")).alias("m"))
+    return best.select("row", "doc_id", "n_words", "label", "base", (-F.col("m.neg")).alias("first_word"), F.col("m.last_word").alias("last_word"), F.col("m.score").alias("score"))
 
 
 def scan(docs: DataFrame) -> DataFrame:
