@@ -6,13 +6,16 @@ Because a child's limit is that of its whole subtree, what a group of siblings c
 parent's siblings, and so on up. A leaf whose budget is b takes whole epochs of its documents and then the shortest
 prefix of one seeded order that fills the rest; the last document may pass the budget.
 
-Prefixes are found by digits of the hash that orders the documents: token sums by leaf and first byte say in which
-byte the cut lies, sums by the second byte narrow it, and only that sliver is sorted. No leaf, however large, is
-sorted or held by one task.
+Prefixes are found by digits of the hash that orders the documents (of seed, doc_id and text): token sums by leaf and
+first byte say in which byte the cut lies, sums by the second byte narrow it, and only that sliver is sorted, after rows
+that are equal in all of it have been added up. No leaf, however large, is sorted or held by one task, nor are rows that
+share a null or repeated doc_id. Texts never move: what is decided is a row per leaf and the sliver's rows, and every
+document looks itself up.
 
 Cases: a null or wordless text has 0 tokens and is never needed to fill a budget; null lang or source are branches of
-their own; rows with equal order keys are taken in order of doc_id, then text hash, rows equal in all of it together;
-no weights mean equal weights; a weight that is null, zero or negative gives its branch nothing; an empty table gives an empty result.
+their own; rows equal in doc_id, text, lang and source are taken together or not at all; no weights mean equal weights;
+a weight that is null, zero or negative gives its branch nothing; other columns are ignored or, where documents are
+returned, kept; a number of any length may end a source; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -30,9 +33,9 @@ LANG_WEIGHTS = {"en": 5.0, "de": 2.0, "fr": 2.0, "es": 1.0}
 
 
 def domain_of(source: Column) -> Column:
-    """Sources belong to one of four domains by their number; a source without a number to a domain of its own."""
-    number = F.regexp_extract(source, "([0-9]+)$", 1)
-    return F.when(F.coalesce(number, F.lit("")) == "", F.lit("dx")).otherwise(F.concat(F.lit("d"), F.pmod(number.cast("decimal(20,0)"), F.lit(4)).cast("int").cast("string")))
+    """Sources belong to one of four domains by their number, of which the last two digits decide; a source without a number to a domain of its own."""
+    number = F.regexp_extract(source, "([0-9]{1,2})$", 1)
+    return F.when(F.coalesce(number, F.lit("")) == "", F.lit("dx")).otherwise(F.concat(F.lit("d"), F.pmod(number.cast("int"), F.lit(4)).cast("string")))
 
 
 def token_count(text: Column) -> Column:
@@ -81,16 +84,22 @@ def budgets(leaves: DataFrame, total: Column, max_epochs: int, domain_weights=No
     return out.join(sizes, [out[c].eqNullSafe(sizes[f"p_{c}"]) for c in up]).select(*up, "tokens", "capacity", "budget")
 
 
-def mixed(docs: DataFrame, total: Column, max_epochs: int = 2, seed: int = 42, domain_weights=None, lang_weights=None, source_weights=None) -> DataFrame:
-    """(doc_id, row_hash, domain, lang, source, n_tokens, epochs) of the documents taken; epochs is how often each is taken.
+_KEYS = ("doc_id", *LEVELS, "n_tokens", "row_hash", "order_key", "b1", "b2")
 
-    total: a column over the leaves' aggregate, such as F.lit(1e9) or 0.5 * F.sum("tokens").
-    """
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), domain_of(F.col("source").cast("string")).alias("domain"), F.col("lang").cast("string").alias("lang"), F.col("source").cast("string").alias("source"), F.col("text").cast("string").alias("text"))
-    rows = rows.select("doc_id", *LEVELS, token_count(F.col("text")).alias("n_tokens"), F.md5(F.coalesce("text", F.lit("")).cast("binary")).alias("row_hash"))
-    # rows that are equal in all of this stand for one another
-    rows = rows.filter("n_tokens > 0").withColumn("order_key", F.md5(F.concat_ws(":", F.lit(str(seed)), F.coalesce(F.col("doc_id").cast("string"), F.lit("null"))).cast("binary")))
-    rows = stored(rows.withColumns({"b1": F.substring("order_key", 1, 2), "b2": F.substring("order_key", 3, 2)}), "mixing")
+
+def _keyed(docs: DataFrame, seed: int, name) -> DataFrame:
+    """``docs`` with the columns of _KEYS under the names that ``name`` gives them."""
+    x = docs.withColumns({
+        name("doc_id"): F.col("doc_id").cast("long"), name("domain"): domain_of(F.col("source").cast("string")), name("lang"): F.col("lang").cast("string"), name("source"): F.col("source").cast("string"),
+        name("n_tokens"): token_count(F.col("text").cast("string")), name("row_hash"): F.md5(F.coalesce(F.col("text").cast("string"), F.lit("")).cast("binary")),
+    })
+    key = F.md5(F.concat_ws(":", F.lit(str(seed)), F.coalesce(F.col(name("doc_id")).cast("string"), F.lit("null")), F.col(name("row_hash"))).cast("binary"))
+    x = x.withColumn(name("order_key"), key)
+    return x.withColumns({name("b1"): F.substring(name("order_key"), 1, 2), name("b2"): F.substring(name("order_key"), 3, 2)})
+
+
+def _decided(rows: DataFrame, total: Column, max_epochs: int, domain_weights, lang_weights, source_weights) -> tuple[DataFrame, DataFrame]:
+    """(leaf, whole, c1, c2): a row per leaf; (leaf, order key, doc_id, row_hash) of the sliver's rows that are taken."""
     first = rows.groupBy(*LEVELS, "b1").agg(F.sum("n_tokens").alias("t"))
     leaves = first.groupBy(*LEVELS).agg(F.sum("t").alias("tokens"))
     plan = budgets(leaves, total, max_epochs, domain_weights, lang_weights, source_weights)
@@ -109,27 +118,51 @@ def mixed(docs: DataFrame, total: Column, max_epochs: int = 2, seed: int = 42, d
     w = W.partitionBy(*LEVELS).orderBy("b2").rowsBetween(W.unboundedPreceding, -1)
     cut2 = second.withColumn("at", F.col("before") + F.coalesce(F.sum("t").over(w), F.lit(0))).filter((F.col("at") < F.col("rest")) & (F.col("at") + F.col("t") >= F.col("rest")))
     cut2 = stored(cut2.select(*(F.col(c).alias(f"p_{c}") for c in LEVELS), "c1", F.col("b2").alias("c2"), F.col("at").alias("before"), "rest"), "mixing-cut")
-    w = W.partitionBy(*LEVELS).orderBy("order_key", F.col("doc_id").asc_nulls_first(), "row_hash").rangeBetween(W.unboundedPreceding, W.currentRow)
+    # rows equal in all of it stand for one another and are one here
     sliver = of_leaf(rows, cut2).filter((F.col("b1") == F.col("c1")) & (F.col("b2") == F.col("c2")))
-    sliver = sliver.withColumn("prefix", F.lit(True)).select("*", (F.sum("n_tokens").over(w.rowsBetween(W.unboundedPreceding, 0)) - F.col("n_tokens") + F.col("before")).alias("at"))
-    last = sliver.groupBy(*LEVELS, "order_key", "doc_id", "row_hash").agg(F.min("at").alias("at"), F.max("rest").alias("rest")).filter("at < rest")
-    last = last.select(*(F.col(c).alias(f"l_{c}") for c in LEVELS), F.col("order_key").alias("l_key"), F.col("doc_id").alias("l_id"), F.col("row_hash").alias("l_hash"))
+    sliver = sliver.groupBy(*LEVELS, "order_key", "doc_id", "row_hash").agg(F.sum("n_tokens").alias("t"), F.max("before").alias("before"), F.max("rest").alias("rest"))
+    w = W.partitionBy(*LEVELS).orderBy("order_key", F.col("doc_id").asc_nulls_first(), "row_hash").rowsBetween(W.unboundedPreceding, -1)
+    last = sliver.withColumn("at", F.col("before") + F.coalesce(F.sum("t").over(w), F.lit(0))).filter("at < rest")
+    last = stored(last.select(*(F.col(c).alias(f"l_{c}") for c in LEVELS), F.col("order_key").alias("l_key"), F.col("doc_id").alias("l_id"), F.col("row_hash").alias("l_hash")), "mixing-last")
+    cuts = cut2.select(*(F.col(f"p_{c}").alias(f"c_{c}") for c in LEVELS), "c1", "c2")
+    known = plan.join(cuts, [plan[f"p_{c}"].eqNullSafe(cuts[f"c_{c}"]) for c in LEVELS], "left").select(*(f"p_{c}" for c in LEVELS), "whole", "c1", "c2")
+    return stored(known, "mixing-leaves"), last
+
+
+def _epochs(keyed: DataFrame, name, known: DataFrame, last: DataFrame, out: str) -> DataFrame:
+    """``keyed`` and column ``out``: how often each row is taken. Both tables are small beside the corpus; Spark broadcasts them if they are small at all."""
+    known = known.select(*(F.col(c).alias(name(c)) for c in known.columns))
+    last = last.select(*(F.col(c).alias(name(c)) for c in last.columns))
+    x = keyed.join(known, [keyed[name(c)].eqNullSafe(known[name(f"p_{c}")]) for c in LEVELS])
+    match = [keyed[name(c)].eqNullSafe(last[name(f"l_{c}")]) for c in LEVELS]
+    x = x.join(last, [*match, keyed[name("order_key")] == last[name("l_key")], keyed[name("doc_id")].eqNullSafe(last[name("l_id")]), keyed[name("row_hash")] == last[name("l_hash")]], "left")
+    b1, b2, c1, c2 = (F.col(name(c)) for c in ("b1", "b2", "c1", "c2"))
+    in_prefix = c1.isNotNull() & ((b1 < c1) | ((b1 == c1) & (b2 < c2)) | F.col(name("l_key")).isNotNull())
+    return x.withColumn(out, F.col(name("whole")) + F.when(in_prefix, F.lit(1)).otherwise(F.lit(0)))
 
-    parts = rows.join(plan, [rows[c].eqNullSafe(plan[f"p_{c}"]) for c in LEVELS]).drop(*(f"p_{c}" for c in LEVELS))
-    parts = of_leaf(parts, cut2.drop("rest", "before"), "left").drop(*(f"p_{c}" for c in LEVELS))
-    taken = parts.join(last, [parts[c].eqNullSafe(last[f"l_{c}"]) for c in LEVELS] + [parts["order_key"] == last["l_key"], parts["doc_id"].eqNullSafe(last["l_id"]), parts["row_hash"] == last["l_hash"]], "left")
-    ahead = (F.col("b1") < F.col("c1")) | ((F.col("b1") == F.col("c1")) & (F.col("b2") < F.col("c2")))
-    in_prefix = F.col("c1").isNotNull() & (ahead | F.col("l_key").isNotNull())
-    epochs = F.col("whole") + F.when(in_prefix, F.lit(1)).otherwise(F.lit(0))
-    return taken.withColumn("epochs", epochs).filter("epochs > 0").select("doc_id", "row_hash", *LEVELS, "n_tokens", "epochs")
+
+def mixed(docs: DataFrame, total: Column, max_epochs: int = 2, seed: int = 42, domain_weights=None, lang_weights=None, source_weights=None) -> DataFrame:
+    """(doc_id, row_hash, domain, lang, source, n_tokens, epochs) of the documents taken; epochs is how often each is taken.
+
+    total: a column over the leaves' aggregate, such as F.lit(1e9) or 0.5 * F.sum("tokens").
+    """
+    same = lambda c: c
+    rows = stored(_keyed(docs.select("doc_id", "lang", "source", "text"), seed, same).filter("n_tokens > 0").select(*_KEYS), "mixing")
+    known, last = _decided(rows, total, max_epochs, domain_weights, lang_weights, source_weights)
+    return _epochs(rows, same, known, last, "epochs").filter("epochs > 0").select("doc_id", "row_hash", *LEVELS, "n_tokens", "epochs")
 
 
-def mixed_documents(docs: DataFrame, total: Column, **options) -> DataFrame:
-    """The rows of ``docs`` that are taken, all columns, once each (``max_epochs`` = 1)."""
-    chosen = mixed(docs, total, max_epochs=1, **options).select(F.col("doc_id").alias("m_id"), F.col("row_hash").alias("m_hash"), F.col("lang").alias("m_lang"), F.col("source").alias("m_source")).distinct()
-    x = docs.withColumn("m_text", F.md5(F.coalesce(F.col("text").cast("string"), F.lit("")).cast("binary")))
-    match = x["doc_id"].eqNullSafe(chosen["m_id"]) & (x["m_text"] == chosen["m_hash"]) & x["lang"].eqNullSafe(chosen["m_lang"]) & x["source"].eqNullSafe(chosen["m_source"])
-    return x.join(chosen, match, "left_semi").drop("m_text")
+def mixed_documents(docs: DataFrame, total: Column, seed: int = 42, domain_weights=None, lang_weights=None, source_weights=None) -> DataFrame:
+    """The rows of ``docs`` that are taken, all columns, once each (at most one epoch). A text isn't exchanged."""
+    same = lambda c: c
+    rows = stored(_keyed(docs.select("doc_id", "lang", "source", "text"), seed, same).filter("n_tokens > 0").select(*_KEYS), "mixing")
+    known, last = _decided(rows, total, 1, domain_weights, lang_weights, source_weights)
+    prefix = "mix_"
+    while any(c.lower().startswith(prefix) for c in docs.columns):
+        prefix = "_" + prefix
+    name = lambda c: prefix + c
+    keyed = _keyed(docs, seed, name).filter(F.col(name("n_tokens")) > 0)
+    return _epochs(keyed, name, known, last, name("epochs")).filter(F.col(name("epochs")) > 0).select(*(F.col(f"`{c}`") for c in docs.columns))
 
 
 def mixing_sql(share: float, max_epochs: int, seed: int) -> str:
@@ -145,8 +178,8 @@ def mixing_sql(share: float, max_epochs: int, seed: int) -> str:
  {name}_l AS (SELECT *, (parent_budget - coalesce(sum(capacity) OVER (w ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)) / sum(weight) OVER (w ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS level FROM {name}_w WINDOW w AS ({part} ORDER BY ratio, {last} NULLS FIRST)),
  {name} AS (SELECT {keys}, round(CASE WHEN ratio <= level THEN capacity ELSE max(CASE WHEN ratio > level THEN level END) OVER ({part}) * weight END, 3) AS budget FROM {name}_l)"""
 
-    return f"""WITH rows_ AS (SELECT doc_id, CASE WHEN regexp_extract(source, '([0-9]+)$', 1) = '' OR source IS NULL THEN 'dx' ELSE 'd' || (CAST(regexp_extract(source, '([0-9]+)$', 1) AS BIGINT) % 4) END AS domain, lang, source,
-  len(regexp_extract_all(text, '[^\\x20\\x09-\\x0D]+')) AS n_tokens, md5(coalesce(text, '')) AS row_hash, md5('{seed}:' || doc_id) AS order_key FROM documents),
+    return f"""WITH rows_ AS (SELECT doc_id, CASE WHEN regexp_extract(source, '([0-9]+)$', 1) = '' OR source IS NULL THEN 'dx' ELSE 'd' || (CAST(right(regexp_extract(source, '([0-9]+)$', 1), 2) AS BIGINT) % 4) END AS domain, lang, source,
+  len(regexp_extract_all(text, '[^\\x20\\x09-\\x0D]+')) AS n_tokens, md5(coalesce(text, '')) AS row_hash, md5('{seed}:' || coalesce(CAST(doc_id AS VARCHAR), 'null') || ':' || md5(coalesce(text, ''))) AS order_key FROM documents),
  docs_ AS (SELECT * FROM rows_ WHERE n_tokens > 0),
  leaves AS (SELECT domain, lang, source, sum(n_tokens) AS tokens, CAST(sum(n_tokens) * {max_epochs} AS DOUBLE) AS capacity FROM docs_ GROUP BY ALL),
  total AS (SELECT least(CAST({share} * sum(tokens) AS DOUBLE), sum(capacity)) AS parent_budget FROM leaves),

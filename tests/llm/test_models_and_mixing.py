@@ -1,5 +1,6 @@
 """Classifier, language models, WARC archives, budgets and the pipeline."""
 
+import hashlib
 import math
 import zlib
 from collections import Counter
@@ -260,6 +261,44 @@ def test_mixing_against_rounds(spark, sf_dir):
     assert once.columns == ["doc_id", "text", "lang", "source"] and 0 < once.count() < len(rows)
 
 
+def brute_prefix(rows, share, seed):
+    """Without weights and with one epoch: in each leaf, the shortest prefix of the seeded order that reaches its budget."""
+    leaf = lambda s, lang: (f"d{int(s[-2:] if s[-2:].isdigit() else s[-1]) % 4}" if s and s[-1].isdigit() else "dx", lang, s)
+    md5 = lambda x: hashlib.md5(x.encode()).hexdigest()
+    own = {}
+    for i, t, lang, s in rows:
+        if n := len((t or "").split()):
+            own.setdefault(leaf(s, lang), []).append((md5(f"{seed}:{'null' if i is None else i}:{md5(t)}"), -1 if i is None else i, md5(t), n))
+    caps = lambda depth, of: {p: sum(r[3] for k, v in own.items() for r in v if k[: depth + 1] == p) for p in {k[: depth + 1] for k in own if k[:depth] == of}}
+    level = {(): share * sum(r[3] for v in own.values() for r in v)}
+    for depth in range(3):
+        level = {p: b for up, budget in level.items() for p, b in fill({p: (c, 1.0) for p, c in caps(depth, up).items()}, round(budget, 3)).items()}
+    out = []
+    for k, budget in level.items():
+        at, budget = 0, round(budget, 3)
+        for key in sorted({r[:3] for r in own[k]}):
+            if at < budget - 1e-9:
+                out += [key[1:]] * sum(r[:3] == key for r in own[k])
+            at += sum(r[3] for r in own[k] if r[:3] == key)
+    return sorted(out)
+
+
+def test_mixing_of_long_numbers_null_ids_and_repeated_rows(spark):
+    rng = np.random.default_rng(8)
+    rows = [(int(i), " ".join(["w"] * int(n)), str(rng.choice(["en", "de"])), str(rng.choice(["src1", "src2", "s" + "9" * 40, "other"]))) for i, n in enumerate(rng.integers(1, 30, 200))]
+    rows += [(None, f"text {i}", "en", "src1") for i in range(150)] + [(7, "the same row", "en", "src1")] * 80 + [(7, f"own text {i}", "en", "src1") for i in range(40)] + [(None, None, None, None), (None, "x", None, None)]
+    frame = docs(spark, rows).withColumns({"epochs": F.lit("own"), "mix_whole": F.lit(3), "n_tokens": F.lit(1)})
+    md5 = lambda x: hashlib.md5(x.encode()).hexdigest()
+    for share in (0.1, 0.5, 0.93):
+        once = mixing.mixed_documents(frame, F.sum("tokens") * share)
+        assert once.columns == frame.columns
+        assert sorted((-1 if r["doc_id"] is None else r["doc_id"], md5(r["text"])) for r in once.collect()) == brute_prefix(rows, share, 42)
+    got = mixing.mixed(frame, F.sum("tokens") * 0.5, 1).collect()
+    assert sorted((-1 if r["doc_id"] is None else r["doc_id"], r["row_hash"]) for r in got) == brute_prefix(rows, 0.5, 42)
+    assert {r["domain"] for r in got if r["source"] and r["source"].startswith("s99")} == {"d3"}
+    assert mixing.mixed_documents(frame.filter("false"), F.sum("tokens") * 0.5).count() == 0
+
+
 def test_pipeline(spark, sf_dir):
     stages = dict(corpus_pipeline.STAGES)
     own = table(spark, sf_dir, "documents")
