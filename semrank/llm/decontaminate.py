@@ -3,11 +3,16 @@
 Each task cuts its documents into shards of a few million bytes, maps words to the test vocabulary, keeps the
 runs of test words (any other word can't be part of a match) and builds an FM-index over them. All test windows
 of a block are searched backwards at once; occurrences are located through sampled suffix positions and merged
-into removal spans per document. Documents never move, so there is no exchange at all. The windows are the
-query set: they are held in blocks of a bounded number of bytes, and more blocks mean more passes.
+into removal spans per document. Documents never move, so there is no exchange at all.
+
+The windows are the query set. They are held in blocks of ``BLOCK_BYTES`` of benchmark text as arrays (some nine bytes
+for a byte of text), and only one block exists at a time, on the driver as on a worker: a benchmark of more than one
+block takes a pass over the documents for each, written and read again in between.
 
 Cases: a null or wordless text has no words and is clean; an item without words is never found; equal items
-count each; rows are handled one by one, so repeated rows give repeated results; an empty benchmark finds nothing.
+count each; an item without an id is named "null"; rows are handled one by one, so repeated rows give repeated results;
+an empty benchmark finds nothing; columns of ``docs`` that have the names of the result's are replaced, unless ``prefix``
+gives the result's other names; an item longer than a block is a block of its own.
 """
 
 from __future__ import annotations
@@ -19,33 +24,47 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
-from .common import alnum_words, as_bytes, bounded_batches, enter, pa_schema
+from .common import alnum_words, as_bytes, bounded_batches, enter, pa_schema, stored
 from .fm_index import FMIndex
 
 #: Bytes of text in a shard, and of benchmark text in a block that is sent to the tasks.
-SHARD_BYTES, BLOCK_BYTES = 6_000_000, 32_000_000
+SHARD_BYTES, BLOCK_BYTES = 6_000_000, 4_000_000
 FOUND = "n_words bigint, n_hit bigint, n_items bigint, items array<string>, starts array<bigint>, ends array<bigint>"
 
 
 class Windows:
-    """The test windows of a block of items: symbols, lengths and the items that each distinct window belongs to."""
+    """The test windows of a block of items: distinct windows as rows of symbols, and the items that each belongs to."""
 
     def __init__(self, items: list[tuple[object, bytes | None]], width: int):
         self.vocabulary: dict[bytes, int] = {}
-        owners: dict[tuple, set] = {}
-        self.runs: set[tuple] = set()
+        self.names = sorted({"null" if item is None else str(item) for item, _ in items})
+        number = {name: i for i, name in enumerate(self.names)}
+        rows, owners = [], []
         for item, text in items:
-            ids = tuple(self.vocabulary.setdefault(w, len(self.vocabulary) + 1) for w in alnum_words(text))
-            for i in range(max(1, len(ids) - width + 1) if ids else 0):
-                owners.setdefault(ids[i : i + width], set()).add(str(item))
-        self.owners = [sorted(v) for v in owners.values()]
-        self.lengths = np.array([len(k) for k in owners], dtype=np.int64)
-        self.phrases = np.full((len(owners), width), -1, dtype=np.int64)
-        for row, key in enumerate(owners):
-            self.phrases[row, : len(key)] = key
+            ids = np.array([self.vocabulary.setdefault(w, len(self.vocabulary) + 1) for w in alnum_words(text)], dtype=np.int32)
+            if len(ids):
+                own = np.lib.stride_tricks.sliding_window_view(ids, width) if len(ids) >= width else np.pad(ids, (0, width - len(ids)), constant_values=-1)[None, :]
+                rows.append(own)
+                owners.append(np.full(len(own), number["null" if item is None else str(item)], dtype=np.int32))
+        every = np.ascontiguousarray(np.concatenate(rows) if rows else np.zeros((0, width), dtype=np.int32))
+        owner = np.concatenate(owners) if owners else np.zeros(0, dtype=np.int32)
+        # rows by their bytes: equal windows stand together, and each keeps its items once
+        order = np.lexsort((owner, *every.T)) if len(every) else np.zeros(0, dtype=np.int64)
+        every, owner = every[order], owner[order]
+        new = np.concatenate(([True], (every[1:] != every[:-1]).any(axis=1))) if len(every) else np.zeros(0, dtype=bool)
+        once = new | np.concatenate(([True], owner[1:] != owner[:-1])) if len(every) else new
+        self.phrases, self.owner = every[new], owner[once]
+        self.first = np.append(np.flatnonzero(new[once]), len(self.owner)).astype(np.int64)
+        self.lengths = (self.phrases >= 0).sum(axis=1)
         self.shortest = int(self.lengths.min(initial=width))
 
+    def items_of(self, windows: np.ndarray) -> list[str]:
+        """The items of some windows, sorted as strings."""
+        own = np.unique(windows)
+        return [self.names[i] for i in np.unique(np.concatenate([self.owner[self.first[w] : self.first[w + 1]] for w in own]))]
+
     def search(self, texts: list[bytes | None]) -> list[tuple]:
         """(n_words, n_hit, n_items, items, span starts, span ends) of each text; spans are of words, ends excluded."""
         symbols, counts = [], []
@@ -69,14 +88,14 @@ class Windows:
                 out.append((n, 0, 0, [], [], []))
                 continue
             starts, ends = self._merged(begin[a:b] - offsets[d], self.lengths[owner[a:b]])
-            items = sorted({x for o in set(owner[a:b].tolist()) for x in self.owners[o]})
+            items = self.items_of(owner[a:b])
             out.append((n, int((ends - starts).sum()), len(items), items, starts.tolist(), ends.tolist()))
         return out
 
     def _occurrences(self, whole: np.ndarray):
         """Places of every window in the sequence, as (row, start, window)."""
         none = np.zeros(0, dtype=np.int64)
-        if not len(self.owners):
+        if not len(self.phrases):
             return none, none, none
         edge = np.flatnonzero(np.diff(np.concatenate(([0], (whole > 0).astype(np.int8), [0]))))
         starts, ends = edge[::2], edge[1::2]
@@ -105,41 +124,53 @@ class Windows:
         return starts[at], reach[np.concatenate((at[1:], [len(starts)])) - 1]
 
 
-def _blocks(benchmark: DataFrame, id_col: str) -> list[list[tuple]]:
-    """The items in blocks of bounded size. The benchmark is the query set: it is as large as its tests, not as the corpus,
-    and every worker holds it; a block bounds one vocabulary and one broadcast."""
-    blocks, now, size = [], [], 0
+def _blocks(benchmark: DataFrame, id_col: str) -> Iterator[list[tuple]]:
+    """The items in blocks of bounded size, one at a time; at least one block."""
+    now, size, any_block = [], 0, False
     for item, text in benchmark.select(id_col, F.col("text").cast("binary")).orderBy(id_col).toLocalIterator():
+        if now and size + len(text or b"") > BLOCK_BYTES:
+            yield now
+            now, size, any_block = [], 0, True
         now.append((item, None if text is None else bytes(text)))
         size += len(text or b"")
-        if size >= BLOCK_BYTES:
-            blocks.append(now)
-            now, size = [], 0
-    return [*blocks, now] if now or not blocks else blocks
+    if now or not any_block:
+        yield now
 
 
-def find_leaks(docs: DataFrame, benchmark: DataFrame, width: int = 10, id_col: str = "item_id") -> DataFrame:
-    """All columns of ``docs`` and FOUND: word counts, items with occurrences, merged spans of words to remove."""
-    spark = docs.sparkSession
-    tables = [spark.sparkContext.broadcast(Windows(items, width)) for items in _blocks(benchmark, id_col)]
-    kept = [f for f in docs.schema.fields if f.name not in {x.split(" ")[0] for x in FOUND.split(", ")}]
-    from pyspark.sql.types import StructType
-
-    out = StructType([*kept, *StructType.fromDDL(FOUND).fields])
-    docs = docs.select(*(f"`{f.name}`" for f in kept))
-    names = [f.name for f in pa_schema(FOUND)]
-
-    def together(parts: list[tuple]) -> tuple:
-        if len(parts) == 1:
-            return parts[0]
-        spans = sorted((s, e) for p in parts for s, e in zip(p[4], p[5], strict=True))
-        items = sorted({x for p in parts for x in p[3]})
-        if not spans:
-            return (parts[0][0], 0, 0, [], [], [])
-        s, e = Windows._merged(np.array([x[0] for x in spans]), np.array([x[1] - x[0] for x in spans]))
-        return (parts[0][0], int((e - s).sum()), len(items), items, s.tolist(), e.tolist())
+def _together(old: tuple, new: tuple) -> tuple:
+    """What two blocks found in one document."""
+    if not old[1] or not new[1]:
+        return old if old[1] else new
+    spans = sorted((s, e) for p in (old, new) for s, e in zip(p[4], p[5], strict=True))
+    s, e = Windows._merged(np.array([x[0] for x in spans]), np.array([x[1] - x[0] for x in spans]))
+    items = sorted({*old[3], *new[3]})
+    return (new[0], int((e - s).sum()), len(items), items, s.tolist(), e.tolist())
 
+
+def find_leaks(docs: DataFrame, benchmark: DataFrame, width: int = 10, id_col: str = "item_id", prefix: str = "") -> DataFrame:
+    """All columns of ``docs`` and those of FOUND (named with ``prefix``): word counts, items with occurrences, merged spans of words to remove."""
+    spark = docs.sparkSession
     bounded_batches(spark)
+    fields = StructType.fromDDL(", ".join(prefix + x for x in FOUND.split(", "))).fields
+    names = [f.name for f in fields]
+    taken = {n.lower() for n in names}
+    plain = StructType([f for f in docs.schema.fields if f.name.lower() not in taken])
+    docs, out = docs.select(*(F.col(f"`{f.name}`") for f in plain)), StructType([*plain.fields, *fields])
+    blocks = _blocks(benchmark, id_col)
+    block, number = next(blocks), 0
+    while block is not None:
+        tables, following = spark.sparkContext.broadcast(Windows(block, width)), next(blocks, None)
+        docs = docs.mapInArrow(_searcher(tables, len(plain), out.names, names, number > 0), out)
+        if following is not None:
+            docs = stored(docs, "leaks")
+            tables.destroy()
+        block, number = following, number + 1
+    return docs
+
+
+def _searcher(tables, n_plain: int, out_names: list[str], names: list[str], again: bool):
+    """Searches one block's windows in batches of documents; ``again``: the batches hold what earlier blocks found."""
+    kinds = [f.type for f in pa_schema(FOUND)]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enter("leaks")
@@ -150,13 +181,16 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, width: int = 10, id_col: s
                 while end < len(texts) and (end == at or size + len(texts[end] or b"") <= SHARD_BYTES):
                     size += len(texts[end] or b"")
                     end += 1
-                found = [together(list(x)) for x in zip(*(t.value.search(texts[at:end]) for t in tables), strict=True)]
-                columns = [batch.column(i).slice(at, end - at) for i in range(batch.num_columns)]
-                columns += [pa.array([f[i] for f in found], type=pa_schema(FOUND).field(i).type) for i in range(len(names))]
-                yield pa.RecordBatch.from_arrays(columns, names=[*batch.schema.names, *names])
+                found = tables.value.search(texts[at:end])
+                if again:
+                    before = zip(*(batch.column(n_plain + i).slice(at, end - at).to_pylist() for i in range(len(names))), strict=True)
+                    found = [_together(x, y) for x, y in zip(before, found, strict=True)]
+                columns = [batch.column(i).slice(at, end - at) for i in range(n_plain)]
+                columns += [pa.array([f[i] for f in found], type=kinds[i]) for i in range(len(names))]
+                yield pa.RecordBatch.from_arrays(columns, names=out_names)
                 at = end
 
-    return docs.mapInArrow(run, out)
+    return run
 
 
 def items_digest(items) -> str:
