@@ -5,12 +5,14 @@ squared change of the score when identity terms in a labelled text are swapped f
 without identity terms is paired with two copies that mention one group each. So a neutral mention of a group
 earns no score of its own, and swapped texts score alike.
 
-The labelled rows are a bounded sample: of each class the ``PER_CLASS`` rows with the smallest hash of doc_id.
+The labelled rows are a bounded sample: of each class the ``PER_CLASS`` rows with the smallest hash of doc_id, and of
+these as many, in order of the hash, as have ``SAMPLE_BYTES`` of text between them (the first one in any case).
 Features are chosen by how much more often toxic texts of the sample have them. Every document is scored, whole.
 
 Cases: a null, empty or wordless text scores as a text without any known feature; no labelled rows of either class
 give every text the same score, the share of toxic rows (0 without labels); labels of unknown documents, null labels
-and labels other than 0 and 1 are ignored; a doc_id labelled both ways counts once with each; rows are scored one by one.
+and labels other than 0 and 1 are ignored; a doc_id labelled both ways counts once with each; of rows that share a doc_id the
+smallest text is learnt from; rows are scored one by one; ``with_scores`` replaces a column that has the score's name.
 """
 
 from __future__ import annotations
@@ -27,8 +29,8 @@ from pyspark.sql import types as T
 
 from .common import alnum_words, as_bytes, bounded_batches, enter, only, per_batch
 
-#: Labelled rows of each class that are learnt from, features kept, and the score from which a text is toxic.
-PER_CLASS, FEATURES, THRESHOLD = 2_500, 4_096, 0.3
+#: Labelled rows of each class that are learnt from, bytes of their texts, features kept, and the score from which a text is toxic.
+PER_CLASS, SAMPLE_BYTES, FEATURES, THRESHOLD = 2_500, 64 << 20, 4_096, 0.3
 #: Names of groups of people, one tuple per kind; a term is swapped within its kind.
 IDENTITY = (
     ("women", "men", "girls", "boys", "frauen", "männer", "femmes", "hommes", "mujeres", "hombres"),
@@ -164,27 +166,35 @@ def held_out(doc_id):
     return F.coalesce(F.pmod(F.crc32(F.col(doc_id).cast("string").cast("binary")), F.lit(4)) == 2, F.lit(False))
 
 
-def learn(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS, counterfactual: float = 1.0) -> Classifier:
+def learn(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS, counterfactual: float = 1.0, sample_bytes: int = SAMPLE_BYTES) -> Classifier:
     rows = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("toxic").cast("int").alias("toxic")).filter("toxic in (0, 1) and doc_id is not null").filter(~held_out("doc_id")).distinct()
     picks = [rows.filter(F.col("toxic") == t).orderBy(F.xxhash64("doc_id"), "doc_id").limit(per_class) for t in (0, 1)]
     sample = picks[0].union(picks[1])
-    texts = only(docs, "doc_id", "text").join(F.broadcast(sample), "doc_id").select("doc_id", "text", "toxic").toArrow().sort_by([("doc_id", "ascending"), ("toxic", "ascending"), ("text", "ascending")])
-    return fit([None if t is None else t.encode() for t in texts.column("text").to_pylist()], texts.column("toxic").to_pylist(), counterfactual)
-
-
-def with_scores(docs: DataFrame, model: Classifier) -> DataFrame:
-    """All columns of ``docs`` and toxic_score."""
+    texts = only(docs, "doc_id", "text").join(F.broadcast(sample), "doc_id").groupBy("doc_id", "toxic").agg(F.min("text").alias("text"))
+    own, size = [], 0
+    for r in texts.orderBy(F.xxhash64("doc_id"), "doc_id", "toxic").toLocalIterator():
+        raw = None if r["text"] is None else r["text"].encode()
+        size += len(raw or b"")
+        if own and size > sample_bytes:
+            break
+        own.append((r["doc_id"], r["toxic"], raw))
+    own.sort(key=lambda x: x[:2])
+    return fit([x[2] for x in own], [x[1] for x in own], counterfactual)
+
+
+def with_scores(docs: DataFrame, model: Classifier, name: str = "toxic_score") -> DataFrame:
+    """All columns of ``docs`` and the score, named ``name``."""
     bounded_batches(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(model)
-    docs = docs.drop("toxic_score")
+    docs = docs.drop(name)
 
     def run(batches):
         enter("toxicity", _forget)
         for batch in batches:
             scores = pa.array(shared.value.scores(as_bytes(batch)), type=pa.float64())
-            yield pa.RecordBatch.from_arrays([*batch.columns, scores], names=[*batch.schema.names, "toxic_score"])
+            yield pa.RecordBatch.from_arrays([*batch.columns, scores], names=[*batch.schema.names, name])
 
-    return docs.mapInArrow(run, T.StructType([*docs.schema.fields, T.StructField("toxic_score", T.DoubleType())]))
+    return docs.mapInArrow(run, T.StructType([*docs.schema.fields, T.StructField(name, T.DoubleType())]))
 
 
 def score_documents(docs: DataFrame, labels: DataFrame) -> DataFrame:
