@@ -10,7 +10,8 @@ frames; per document doc_id (i64, with a flag byte for null), frame offset (u64)
 offset of the index (u64, u64); magic again.
 
 Pieces of the tokenizer's own split are encoded once and remembered, which gives the ids that encoding the whole text
-gives; texts that spell a special token go to the library whole.
+gives; texts that spell a special token go to the library whole, and so do all texts where the tokenizer's file says that
+it splits, normalises, prepends or truncates in another way than the one known here (``known_split``).
 
 Cases: a null or empty text has only the end id; repeated rows are written as often as they occur, ties of doc_id in
 order of text; null doc_ids come first; an empty table gives a dictionary without training and no shard.
@@ -21,6 +22,7 @@ from __future__ import annotations
 import array
 import gc
 import hashlib
+import json
 import os
 import re
 import struct
@@ -52,6 +54,16 @@ _INDEX = np.dtype([("doc_id", "<i8"), ("null", "u1"), ("offset", "<u8"), ("n", "
 _codecs: dict[tuple, Codec] = {}
 
 
+def known_split(path: str) -> bool:
+    """Whether the file's tokenizer cuts a text by SPLIT and handles each piece by itself."""
+    with open(path, encoding="utf-8") as f:
+        told = json.load(f)
+    before = told.get("pre_tokenizer") or {}
+    plain = before.get("type") == "ByteLevel" and before.get("use_regex", True) and not before.get("add_prefix_space", True)
+    model = told.get("model") or {}
+    return plain and not any(told.get(x) for x in ("normalizer", "truncation", "padding")) and model.get("type") == "BPE" and not model.get("dropout")
+
+
 class _Memo(dict):
     """Serialized ids by piece. A piece not seen lately comes from the generation before, or is encoded by the library."""
 
@@ -76,7 +88,7 @@ class Codec:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.special = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
+        self.special, self.by_pieces = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()], known_split(path)
         self.any_split, self.plain_split, self.plain = regex.compile(SPLIT).findall, re.compile(PLAIN_SPLIT).findall, re.compile(PLAIN).fullmatch
         self.width = 2 if max(self.tokenizer.get_vocab_size(), end_id + 1) <= 65_536 else 4
         self.end = end_id.to_bytes(self.width, "little")
@@ -95,7 +107,7 @@ class Codec:
         """The tokenizer's own pieces; None for a text that only the library as a whole handles."""
         if not text:
             return []
-        if any(s in text for s in self.special):
+        if not self.by_pieces or any(s in text for s in self.special):
             return None
         return (self.plain_split if self.plain(text) else self.any_split)(text)
 
@@ -158,21 +170,22 @@ def write_shards(docs: DataFrame, path: str, tokenizer: str, end_id: int = END_I
         name, out, at, index, ids = f"{root}/shard-{number:06}-{uuid.uuid4().hex}.tok", None, 0, [], 0
         enter("tokens", _forget)
         gc.disable()  # nothing here is cyclic, and the remembered pieces would be walked again and again
-        for batch in batches:
-            for start in range(0, batch.num_rows, 256):
-                part = batch.slice(start, 256)
-                for doc_id, data in zip(part.column(0).to_pylist(), codec.encode(part.column(1).to_pylist()), strict=True):
-                    if out is None:
-                        out = where.open_output_stream(name)
-                        at = out.write(MAGIC + digest + struct.pack("<I", codec.width))
-                    index.append((doc_id or 0, doc_id is None, at, len(data) // codec.width))
-                    at += out.write(pack.compress(data))
-                    ids += len(data) // codec.width
+        try:
+            for batch in batches:
+                for start in range(0, batch.num_rows, 256):
+                    part = batch.slice(start, 256)
+                    for doc_id, data in zip(part.column(0).to_pylist(), codec.encode(part.column(1).to_pylist()), strict=True):
+                        if out is None:
+                            out = where.open_output_stream(name)
+                            at = out.write(MAGIC + digest + struct.pack("<I", codec.width))
+                        index.append((doc_id or 0, doc_id is None, at, len(data) // codec.width))
+                        at += out.write(pack.compress(data))
+                        ids += len(data) // codec.width
+        finally:
+            gc.enable()
         if out is not None:
             out.write(np.array(index, dtype=_INDEX).tobytes() + struct.pack("<QQ", len(index), at) + MAGIC)
             out.close()
-        gc.enable()
-        if out is not None:
             yield pa.RecordBatch.from_pydict({"shard": [number], "file": [name], "docs": [len(index)], "ids": [ids]}, schema=pa_schema("shard int, file string, docs bigint, ids bigint"))
 
     dealt = docs.repartitionByRange("doc_id").sortWithinPartitions("doc_id", "text")
