@@ -22,11 +22,14 @@ BLANKS = b" \t\n\x0b\x0c\r"
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: ``spark.checkpoint.dir``, a local one only where that is unset."""
+    """The folder that driver and executors share: ``spark.checkpoint.dir``. Where that is unset and everything runs on one
+    machine, a local folder; a cluster without a shared folder is an error, since executors don't see the driver's disk."""
     known = spark.sparkContext.getConf().get("spark.checkpoint.dir", None) or spark.conf.get("spark.checkpoint.dir", None)
     if known:
         return known.rstrip("/")
     if spark.sparkContext._jsc.sc().getCheckpointDir().isEmpty():
+        if not spark.sparkContext.master.split("[")[0] == "local":
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         spark.sparkContext.setCheckpointDir("file://" + tempfile.mkdtemp(prefix="semrank-"))
     return spark.sparkContext._jsc.sc().getCheckpointDir().get().rstrip("/")
 
@@ -118,6 +121,6 @@ def pa_schema(schema: str) -> pa.Schema:
 
 
 def only(df: DataFrame, *names: str) -> DataFrame:
-    """The named columns, with a defined type each, whatever else the table has."""
+    """The named columns, with a defined type each, whatever else the table has. Ids are whole numbers; a text that spells none stops the job."""
     kinds = {"text": T.StringType(), "doc_id": T.LongType(), "page_id": T.LongType(), "html": T.StringType()}
     return df.select(*(df[n].cast(kinds[n]).alias(n) if n in kinds else df[n] for n in names))

@@ -25,8 +25,8 @@ from pyspark.sql import functions as F
 
 from .common import BLANKS, as_bytes, only, per_batch, stored
 
-#: Keys per shard and probes per part of a shard aimed at.
-SHARD_KEYS, PART_PROBES = 32_768, 65_536
+#: Keys per shard and probes per part of a shard aimed at; shards whose numbers of parts (12 bytes each) may be broadcast.
+SHARD_KEYS, PART_PROBES, SENT_SHARDS = 32_768, 65_536, 1 << 20
 _MIX1, _MIX2 = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 
 
@@ -155,13 +155,13 @@ def dropped_lines(docs: DataFrame, min_chars: int = 20, min_docs: int = 3) -> Da
     shards = max(32, 2 ** int(np.ceil(np.log2(max(1, n_keys / SHARD_KEYS, n_probes / PART_PROBES)))))
     known = known.withColumn("shard", F.pmod(F.shiftright("h1", 20), F.lit(shards)).cast("int"))
     built = known.groupBy("shard").applyInPandas(_build_shard, "shard int, seeds binary, prints binary, counts binary, lasts binary, spare binary")
-    # parts of a shard: as many as the documents that hold its lines ask for; one row per shard, so small at any size
+    # parts of a shard: as many as the documents that hold its lines ask for; one row per shard, sent along while these are few
     share = max(256, min(PART_PROBES, n_probes // shards))
     parts = known.groupBy("shard").agg(F.ceil(F.sum("n_docs") / F.lit(share)).cast("int").alias("parts"))
     spread = built.join(parts, "shard").select("*", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"))
     asked = (
         lines.withColumn("shard", F.pmod(F.shiftright("h1", 20), F.lit(shards)).cast("int"))
-        .join(F.broadcast(parts), "shard")
+        .join(F.broadcast(parts) if shards <= SENT_SHARDS else parts, "shard")
         .withColumn("part", F.pmod(F.xxhash64("row", "pos"), F.col("parts")).cast("int"))
         .select("shard", "part", "doc_id", "row", "pos", "h1", "h2")
     )

@@ -258,5 +258,8 @@ def near_groups(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame
 
 def one_per_group(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
     """The rows of ``docs`` whose document is kept, all columns; rows that share a kept doc_id all stay."""
-    gone = near_groups(docs, width, percent).filter(~F.col("kept")).select(F.col("doc_id").alias("gone")).distinct()
-    return docs.join(gone, F.col("doc_id") == F.col("gone"), "left_anti")
+    name = "gone"
+    while name in {c.lower() for c in docs.columns}:
+        name = "_" + name
+    gone = near_groups(docs, width, percent).filter(~F.col("kept")).select(F.col("doc_id").alias(name)).distinct()
+    return docs.join(gone, docs["doc_id"].cast("long") == gone[name], "left_anti")

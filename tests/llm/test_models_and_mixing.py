@@ -2,6 +2,7 @@
 
 import hashlib
 import math
+import re
 import zlib
 from collections import Counter
 
@@ -64,6 +65,44 @@ def test_toxicity_odd_rows(spark, labelled):
     assert toxicity.score_documents(texts.filter("false"), labels).count() == 0
 
 
+def brute_scores(model, rows):
+    """Scores from the weights alone: words by a pattern, their beginnings, a sum and a logistic function."""
+    out = []
+    for i, text in rows:
+        words = set(re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", (text or "").translate({c: c + 32 for c in range(65, 91)})))
+        found = {f for w in words for f in ("=" + w, *("^" + w[:n] for n in (4, 5, 6) if len(w) > n))}
+        z = model.bias + sum(v for f, v in model.weights.items() if f.decode() in found)
+        out.append((i, 1 / (1 + math.exp(-z))))
+    return out
+
+
+def test_toxicity_scores_against_the_weights(spark, sf_dir, labelled):
+    texts, labels, _ = labelled
+    rows = [(r["doc_id"], r["text"]) for r in texts.collect()] + [(r["doc_id"] + 10_000, r["text"]) for r in table(spark, sf_dir, "documents").collect()]
+    rows += [(5000, None), (5001, ""), (5002, "GRUMBLO! Straße \u212a snarklings"), (5002, "grumblo"), (None, "muslim")]
+    full = docs(spark, [(i, t, "en", "src1") for i, t in rows]).withColumns({"toxic_score": F.lit("own"), "score": F.lit(1)})
+    model = toxicity.learn(full, labels)
+    want = brute_scores(model, rows)
+    got = toxicity.with_scores(full, model, "s").select("doc_id", "s", "toxic_score").collect()
+    assert all(r["toxic_score"] == "own" for r in got)
+    key = lambda x: (-1 if x[0] is None else x[0], x[1])
+    for (i, a), (j, b) in zip(sorted(((r["doc_id"], r["s"]) for r in got), key=key), sorted(want, key=key), strict=True):
+        assert i == j and abs(a - b) < 1e-8
+    scored = toxicity.score_documents(full, labels)
+    for (i, a), (j, b) in zip(sorted(((r["doc_id"], r["score"]) for r in scored.collect()), key=key), sorted(want, key=key), strict=True):
+        assert i == j and abs(a - b) < 1e-8
+    assert all(r["predicted"] == (r["score"] >= 0.3) for r in scored.collect())
+
+
+def test_toxicity_sample_is_bounded(spark, labelled):
+    """Rows that share a labelled doc_id, and a bound in bytes."""
+    texts, labels, truth = labelled
+    again = texts.union(texts.withColumn("text", F.concat("text", F.lit(" zzz")))).union(texts)
+    assert toxicity.learn(again, labels).weights == toxicity.learn(texts, labels).weights
+    few = toxicity.learn(texts, labels, sample_bytes=2_000)
+    assert few.constant is not None or 0 < len(few.weights) < len(toxicity.learn(texts, labels).weights)
+
+
 def brute_lm(rows, targets, size, bits):
     tokens = {i: (t or "").encode().lower().split() for i, t in rows}
     total = Counter(w for v in tokens.values() for w in v)

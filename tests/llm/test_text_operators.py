@@ -98,7 +98,7 @@ def test_fm_index_against_search():
             assert sorted(index.locate(np.arange(low[i], high[i])).tolist()) == want
 
 
-def brute_leaks(rows, items, width=10):
+def brute_leaks(rows, items, width=10, plain=False, ids=None):
     windows = {}
     for item, text in items:
         w = tuple(words(ALNUM, text))
@@ -114,7 +114,7 @@ def brute_leaks(rows, items, width=10):
                     hit |= set(range(a, a + n))
                     found |= own
         out.append((i, len(w), len(hit), len(found), hashlib.sha256(",".join(sorted(found)).encode()).hexdigest()))
-    return sorted(out)
+    return [(i, *r[1:]) for i, r in zip(ids, out, strict=True)] if plain else sorted(out)
 
 
 def test_decontamination(spark, sf_dir):
@@ -132,9 +132,27 @@ def test_decontamination(spark, sf_dir):
 
 def test_decontamination_in_several_blocks(spark, monkeypatch):
     monkeypatch.setattr(decontaminate, "BLOCK_BYTES", 10)
-    items = [(1, "one two"), (2, "two three"), (3, "general public")]
-    got = decontaminate.find_leaks(frame(spark), spark.createDataFrame(items, "item_id long, text string"))
-    assert sorted((r["doc_id"], r["n_words"], r["n_hit"], r["n_items"], decontaminate.digest(r["items"])) for r in got.collect()) == brute_leaks(ODD, items)
+    items = [(1, "one two"), (2, "two three"), (3, "general public"), (None, "public license"), (4, None)]
+    rows = [*ODD, (40, "x one two three y general public license one two"), (None, "one two"), (None, "one two")]
+    bench = spark.createDataFrame(items, "item_id long, text string")
+    got = decontaminate.find_leaks(frame(spark, rows), bench)
+    assert sorted(((r["doc_id"], r["n_words"], r["n_hit"], r["n_items"], decontaminate.digest(r["items"])) for r in got.collect()), key=repr) == sorted(brute_leaks([(str(i), t) for i, t in rows], [("null" if i is None else i, t) for i, t in items], plain=True, ids=[i for i, _ in rows]), key=repr)
+
+
+def test_decontamination_keeps_clashing_columns_under_a_prefix(spark):
+    docs = frame(spark, [(1, "one two three")]).withColumns({"n_words": F.lit("own"), "items": F.lit(7)})
+    bench = spark.createDataFrame([(1, "one two")], "item_id long, text string")
+    row = decontaminate.find_leaks(docs, bench, prefix="leak_").first()
+    assert (row["n_words"], row["items"], row["leak_n_words"], row["leak_n_hit"], row["leak_items"]) == ("own", 7, 3, 2, ["1"])
+    assert decontaminate.find_leaks(docs, bench).first()["n_words"] == 3
+
+
+def test_windows_are_compact():
+    """Some ten bytes of arrays for a byte of benchmark, apart from the vocabulary."""
+    rng = np.random.default_rng(0)
+    items = [(i, " ".join(f"word{x}" for x in rng.integers(0, 3000, 200)).encode()) for i in range(500)]
+    w = decontaminate.Windows(items, 10)
+    assert w.phrases.nbytes + w.owner.nbytes + w.first.nbytes + w.lengths.nbytes < 10 * sum(len(t) for _, t in items)
 
 
 def brute_boxes(data, start=0, end=None):
@@ -389,3 +407,25 @@ def test_short_documents_get_a_dictionary(spark, n):
     assert len(names) == 1 and names[0].size > 0 and sum(docs for _, docs, _ in shards) == n
     got = token_files.token_round_trip(frame(spark, rows))
     assert got.count() == n
+
+
+def test_other_tokenizers_encode_whole_texts(spark):
+    """Every tokenizer file that there is: the ids are the library's, whichever way it splits."""
+    import glob
+    import os
+
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    folder = os.path.dirname(public_tokenizers.path("byte_bpe_50k.json"))
+    for path in sorted(glob.glob(f"{folder}/*.json")):
+        try:
+            tok = Tokenizer.from_file(path)
+        except Exception:  # another kind of file
+            continue
+        codec = token_files.Codec(path, 2)
+        texts = [t for _, t in ODD if t is None or len(t) < 10_000] + ["Hello  world's\n\n end ", " leading", "ÀÉ ñ 日本", "a\u00a0b"]
+        want = [np.array(tok.encode(t or "", add_special_tokens=False).ids + [2]) for t in texts]
+        got = [np.frombuffer(x, dtype=f"<u{codec.width}") for x in codec.encode(texts)]
+        assert all((a == b).all() and len(a) == len(b) for a, b in zip(got, want, strict=True)), path
+    assert token_files.known_split(public_tokenizers.path("byte_bpe_50k.json"))
