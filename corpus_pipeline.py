@@ -5,6 +5,12 @@
 3. decontamination: documents with a passage of the benchmark go;
 4. mixing: domains, languages and sources to target weights, each document at most once;
 5. token ids: written in the shard format in ascending doc_id order and read back.
+
+Cases, of every stage but the last: all columns of ``docs`` come back, whatever their names. Null, empty and wordless
+texts pass the first three stages (they score like a text without known words, link with nothing, hold no passage) and
+have no tokens, so mixing leaves them out. Rows that share a doc_id are judged one by one for toxicity and passages, and
+are one document among near-duplicates; equal rows are mixed in together or not at all. A null doc_id is kept. Empty
+tables, no labels or no benchmark drop nothing; an empty table of documents gives an empty result.
 """
 
 from __future__ import annotations
@@ -19,10 +25,18 @@ from semrank.llm.common import new_path, table
 MIX_SHARE, MIX_SEED = 0.8, 42
 
 
+def _free(docs: DataFrame, name: str) -> str:
+    """A beginning of names that no column of ``docs`` has."""
+    while any(c.lower().startswith(name) for c in docs.columns):
+        name = "_" + name
+    return name
+
+
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Learns from the labelled documents that reach this stage; keeps those that score below the threshold."""
     model = toxicity.learn(docs, table(spark, sf_dir, "labels"))
-    return toxicity.with_scores(docs, model).filter(F.col("toxic_score") < toxicity.THRESHOLD).drop("toxic_score")
+    score = _free(docs, "toxic_score")
+    return toxicity.with_scores(docs, model, score).filter(F.col(score) < toxicity.THRESHOLD).drop(score)
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -30,8 +44,9 @@ def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    found = decontaminate.find_leaks(docs, table(spark, sf_dir, "benchmark"))
-    return found.filter("n_hit = 0").select(*docs.columns)
+    leak = _free(docs, "leak_")
+    found = decontaminate.find_leaks(docs, table(spark, sf_dir, "benchmark"), prefix=leak)
+    return found.filter(F.col(f"{leak}n_hit") == 0).select(*(F.col(f"`{c}`") for c in docs.columns))
 
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
