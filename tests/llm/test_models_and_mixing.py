@@ -300,8 +300,8 @@ def test_mixing_against_rounds(spark, sf_dir):
     assert once.columns == ["doc_id", "text", "lang", "source"] and 0 < once.count() < len(rows)
 
 
-def brute_prefix(rows, share, seed):
-    """Without weights and with one epoch: in each leaf, the shortest prefix of the seeded order that reaches its budget."""
+def brute_prefix(rows, share, seed, weights=({}, {}, {})):
+    """With one epoch: in each leaf, the shortest prefix of the seeded order that reaches its budget."""
     leaf = lambda s, lang: (f"d{int(s[-2:] if s[-2:].isdigit() else s[-1]) % 4}" if s and s[-1].isdigit() else "dx", lang, s)
     md5 = lambda x: hashlib.md5(x.encode()).hexdigest()
     own = {}
@@ -311,7 +311,7 @@ def brute_prefix(rows, share, seed):
     caps = lambda depth, of: {p: sum(r[3] for k, v in own.items() for r in v if k[: depth + 1] == p) for p in {k[: depth + 1] for k in own if k[:depth] == of}}
     level = {(): share * sum(r[3] for v in own.values() for r in v)}
     for depth in range(3):
-        level = {p: b for up, budget in level.items() for p, b in fill({p: (c, 1.0) for p, c in caps(depth, up).items()}, round(budget, 3)).items()}
+        level = {p: b for up, budget in level.items() for p, b in fill({p: (c, weights[depth].get(p[depth], 1.0)) for p, c in caps(depth, up).items()}, round(budget, 3)).items()}
     out = []
     for k, budget in level.items():
         at, budget = 0, round(budget, 3)
@@ -338,6 +338,78 @@ def test_mixing_of_long_numbers_null_ids_and_repeated_rows(spark):
     assert mixing.mixed_documents(frame.filter("false"), F.sum("tokens") * 0.5).count() == 0
 
 
+def brute_pipeline(spark, rows, labels, items):
+    """Each stage by itself on plain rows (doc_id, text, lang, source): what the pipeline must give, stage by stage."""
+    from test_text_operators import brute_leaks, brute_near
+
+    frame = docs(spark, rows)
+    model = toxicity.learn(frame, labels)
+    scores = brute_scores(model, [(r[0], r[1]) for r in rows]) if model.constant is None else [(r[0], model.constant) for r in rows]
+    stages = [[r for r, (_, s) in zip(rows, scores, strict=True) if s < 0.3]]
+    groups = {i: kept for i, _, _, kept in brute_near([(r[0], r[1]) for r in stages[-1]], 5, 80)}
+    stages.append([r for r in stages[-1] if groups[r[0]]])
+    hit = {i: n for i, _, n, *_ in brute_leaks([(r[0], r[1]) for r in stages[-1]], items)}
+    stages.append([r for r in stages[-1] if not hit[r[0]]])
+    taken = Counter(brute_prefix(stages[-1], corpus_pipeline.MIX_SHARE, corpus_pipeline.MIX_SEED, (mixing.DOMAIN_WEIGHTS, mixing.LANG_WEIGHTS, {})))
+    stages.append([r for r in stages[-1] if r[1] and (r[0], hashlib.md5(r[1].encode()).hexdigest()) in taken])
+    return stages
+
+
+def test_pipeline_against_brute_force(spark, sf_dir):
+    """Every stage of the whole run, and the ids of the last."""
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    own = table(spark, sf_dir, "documents")
+    rows = [(r["doc_id"], r["text"], r["lang"], r["source"]) for r in own.collect()]
+    items = [(r["item_id"], r["text"]) for r in table(spark, sf_dir, "benchmark").collect()]
+    want = brute_pipeline(spark, rows, table(spark, sf_dir, "labels"), items)
+    now = own
+    for (name, stage), kept in zip(corpus_pipeline.STAGES[:4], want, strict=True):
+        now = stage(spark, now, sf_dir)
+        assert sorted(r["doc_id"] for r in now.collect()) == sorted(r[0] for r in kept), name
+    tok = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
+    ids, start = [], 0
+    for i, text, _, _ in sorted(want[-1], key=lambda r: r[:2]):
+        own_ids = np.array(tok.encode(text, add_special_tokens=False).ids + [2], dtype="<u4")
+        ids.append((i, start, len(own_ids), zlib.crc32(own_ids.tobytes())))
+        start += len(own_ids)
+    got = corpus_pipeline.run(spark, sf_dir)
+    assert got.columns == ["doc_id", "start", "n_tokens", "ids_crc32"]
+    assert sorted(tuple(r) for r in got.collect()) == sorted(ids)
+
+
+@pytest.fixture
+def folder(spark, sf_dir):
+    """Writes tables of its own as a data folder; those not given come empty."""
+
+    def make(**tables):
+        path = new_path(spark, "tables")
+        for name in ("documents", "labels", "benchmark"):
+            (tables[name] if name in tables else table(spark, sf_dir, name).limit(0)).write.parquet(f"{path}/{name}.parquet")
+        return path
+
+    return make
+
+
+def test_pipeline_of_odd_tables(spark, sf_dir, folder):
+    assert corpus_pipeline.run(spark, folder()).count() == 0
+    odd = [(1, None, None, None), (2, "", "en", "src1"), (3, " \n ", "en", "src1"), (4, "one two three four five six", "en", "s" + "7" * 30), (4, "one two three four five six", "en", "s" + "7" * 30), (4, "another text of this id", "en", "src2"),
+           (None, "no id here but words", None, None), (None, "no id here but words", None, None), (9, "w " * 200_000, "de", "src3"), (10, "w " * 200_000, "de", "src3")]
+    clashing = {c: F.lit("own") for c in ("toxic_score", "gone", "n_words", "leak_n_hit", "items", "mix_epochs", "tokens", "b1", "n_tokens")}
+    path = folder(documents=docs(spark, odd).withColumns(clashing))
+    now = table(spark, path, "documents")
+    for name, stage in corpus_pipeline.STAGES[:4]:
+        now = stage(spark, now, path)
+        assert now.columns == ["doc_id", "text", "lang", "source", *clashing], name
+        assert all(r[c] == "own" for r in now.select(*clashing).distinct().collect() for c in clashing)
+        n = now.count()
+        assert n == (10 if name == "toxicity" else 9 if name in ("near_dedup", "decontaminate") else n), name
+    done = corpus_pipeline.run(spark, path)
+    # all that have words at 80 % of the tokens: whole prefixes of each leaf, null and repeated ids among them
+    assert 0 < done.count() <= 6 and done.filter("n_tokens < 2").count() == 0
+
+
 def test_pipeline(spark, sf_dir):
     stages = dict(corpus_pipeline.STAGES)
     own = table(spark, sf_dir, "documents")
