@@ -10,7 +10,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..operators.rankers import LexicalRanker, Ranker
-from ..operators.topk import TAIL
+from ..operators.topk import TAIL, turned
 from ..plans.planner import choose_plan, execute_plan
 from ..schema import RankParams
 from ..sources.tables import assert_unique_id, items_of, payload_of
@@ -26,11 +26,13 @@ def attach(df: DataFrame, rows: DataFrame, id_col: str) -> DataFrame:
     return df.join(rows.select(F.col("id").alias("_id"), "rank"), F.col(id_col) == F.col("_id")).drop("_id")
 
 
-def semantic_topk(df: DataFrame, id_col: str, k: int | None, ranker: Ranker, text_cols: str | list[str] | None = None, score: Column | None = None, list_size: int = 20, recall_target: float = 1.0, n: int | None = None, seed: int = 42, refine: int = 0, override: RankParams | None = None, check_ids: bool = True, tail: int = TAIL) -> DataFrame:
-    """``df``'s first k rows (all for k None) by the ranker, with ``rank`` from 1. n: a row count from statistics saves the count."""
+def semantic_topk(df: DataFrame, id_col: str, k: int | None, ranker: Ranker, text_cols: str | list[str] | None = None, score: Column | None = None, list_size: int = 20, recall_target: float = 1.0, n: int | None = None, seed: int = 42, refine: int = 0, override: RankParams | None = None, check_ids: bool = True, tail: int = TAIL, ascending: bool = False) -> DataFrame:
+    """``df``'s first k rows (all for k None) by the ranker, with ``rank`` from 1; ascending: the last, the least relevant first. n: a row count from statistics saves the count."""
     items = prepare_items(df, id_col, text_cols, score)
     if check_ids:
         assert_unique_id(items)
+    if ascending:
+        items, ranker = turned(items, ranker)
     n = df.count() if n is None else n
     if n == 0 or k == 0:
         return df.limit(0).withColumn("rank", F.lit(None).cast("long"))

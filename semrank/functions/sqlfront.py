@@ -53,6 +53,4 @@ def semantic_sql(spark: SparkSession, sql: str, id_col: str = "doc_id", text_col
     q = parse(sql)
     if q is None:
         return spark.sql(sql)
-    if q.ascending:
-        raise NotImplementedError("ascending semantic order isn't supported by rankers that list the most relevant first")
-    return sem_order_by(spark.sql(q.inner), q.column or text_col, q.criterion, id_col, q.limit, **options)
+    return sem_order_by(spark.sql(q.inner), q.column or text_col, q.criterion, id_col, q.limit, ascending=q.ascending, **options)

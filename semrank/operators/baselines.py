@@ -145,6 +145,28 @@ def judge_gold(queries: DataFrame, docs: DataFrame, pool: int = 50, top: int = 1
     return elo_rank(all_pairs(pooled)).filter(F.col("gold_rank") <= top).select("scope", "id", "gold_rank")
 
 
+#: Words of a run that a passage and a document must share.
+RUN = 5
+
+
+def _run_keys(text: Column) -> Column:
+    """Hashes of the runs of RUN words of a text, each once."""
+    words = F.regexp_extract_all(text, F.lit("[A-Za-z0-9]+"), F.lit(0))
+    starts = F.when(F.size(words) >= RUN, F.sequence(F.lit(1), F.size(words) - RUN + 1)).otherwise(F.array().cast("array<int>"))
+    return F.array_distinct(F.transform(starts, lambda i: F.xxhash64(F.array_join(F.slice(words, i, RUN), " "))))
+
+
 def sparse_gold(queries: DataFrame, docs: DataFrame) -> DataFrame:
-    """(scope, id, rel): documents that hold a query's passage. Queries are the smaller, stated side; Spark broadcasts them if they are small."""
-    return docs.join(queries, F.contains("payload", "query") & (F.length("query") > 0)).select("scope", "id", F.lit(1).alias("rel"))
+    """(scope, id, rel): documents that hold a query's passage.
+
+    A document that holds a passage holds the run of words after the passage's first word (which, like its last, may be
+    cut from a longer one), so passages of RUN + 2 words or more meet documents by one hash each and are looked for in
+    those only; shorter passages, a few words each, are looked for in every document.
+    """
+    asked = queries.filter(F.length("query") > 0).select("scope", "query", F.regexp_extract_all("query", F.lit("[A-Za-z0-9]+"), F.lit(0)).alias("_w"))
+    long = asked.filter(F.size("_w") >= RUN + 2).select("scope", "query", F.xxhash64(F.array_join(F.slice("_w", 2, RUN), " ")).alias("_key"))
+    near = docs.select("id", F.explode(_run_keys(F.col("payload"))).alias("_key")).join(long, "_key").select("scope", "query", "id")
+    found = near.join(docs.select("id", "payload"), "id").filter(F.contains("payload", "query")).select("scope", "id")
+    short = asked.filter(F.size("_w") < RUN + 2).select("scope", "query")
+    others = docs.join(short, F.contains("payload", "query")).select("scope", "id")
+    return found.unionByName(others).withColumn("rel", F.lit(1))

@@ -10,12 +10,15 @@ import hashlib
 import json
 import math
 import re
+import time
 import urllib.request
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 
 import numpy as np
 
 _TOKEN = re.compile(r"[a-z]+")
+#: A response that is a number: decimal digits, no names such as nan or inf.
+_NUMBER = re.compile(r"[+-]?(?:[0-9]+\.?[0-9]*|\.[0-9]+)(?:[eE][+-]?[0-9]{1,2})?")
 
 
 @dataclass
@@ -157,6 +160,20 @@ class ContradictingRanker(Ranker):
         return out
 
 
+@dataclass
+class ReversedRanker(Ranker):
+    """Another ranker's order turned round: the least relevant first. Pivots come to it worst first, so they go to the other best first."""
+
+    base: Ranker
+
+    def rank(self, requests):
+        asked = [replace(r, ids=r.ids[: r.pivots][::-1] + r.ids[r.pivots :], payloads=r.payloads[: r.pivots][::-1] + r.payloads[r.pivots :], scores=r.scores[: r.pivots][::-1] + r.scores[r.pivots :]) for r in requests]
+        out = []
+        for r, order in zip(requests, self.base.rank(asked), strict=True):
+            out.append([r.pivots - 1 - p if p < r.pivots else p for p in reversed(order)])
+        return out
+
+
 @dataclass
 class BrokenRanker(Ranker):
     """Drops, repeats and invents documents."""
@@ -185,23 +202,25 @@ class PointScorer:
 
 def parse_score(text: str | None, top: float) -> tuple[float, bool]:
     """A response as a number; what isn't one becomes half of the largest score. Second: whether it was valid."""
-    try:
-        return float((text or "").strip()), True
-    except ValueError:
-        return top / 2, False
+    got = _NUMBER.fullmatch((text or "").strip())
+    return (float(got[0]), True) if got else (top / 2, False)
 
 
 @dataclass
 class HttpRanker(Ranker):
-    """A ranking service: POSTs a batch as JSON, retries, and remembers answers by query and ids.
+    """A ranking service: POSTs a batch as JSON, tries again after a growing pause, and remembers its last answers.
 
-    Texts go out whole; ``max_chars`` clips them for a service that can't take long ones."""
+    Settled pivots go first in the prompt, which says that their order is known. Texts go out whole; ``max_chars`` clips
+    them for a service that can't take long ones. Answers are known by model, query, ids and number of pivots.
+    """
 
     url: str
     model: str
     timeout: float = 60.0
     retries: int = 3
     max_chars: int | None = None
+    pause: float = 0.5
+    remember: int = 10_000
     _known: dict = field(default_factory=dict, repr=False)
 
     def _post(self, body: bytes) -> dict:
@@ -212,18 +231,24 @@ class HttpRanker(Ranker):
             except OSError:
                 if attempt + 1 == self.retries:
                     raise
+                time.sleep(self.pause * 2**attempt)
         raise AssertionError
 
     def rank(self, requests):
         from .prompts import build_listwise_prompt, parse_ranking, repair_ranking
 
-        key = lambda r: hashlib.sha256(json.dumps([r.query, r.ids]).encode()).hexdigest()
-        todo = [r for r in requests if key(r) not in self._known]
+        key = lambda r: hashlib.sha256(json.dumps([self.model, r.query, r.ids, r.pivots]).encode()).hexdigest()
+        now = {k: self._known[k] for r in requests if (k := key(r)) in self._known}
+        todo = [r for r in requests if key(r) not in now]
         if todo:
-            prompts = [build_listwise_prompt(r.query, [(p or "")[: self.max_chars] for p in r.payloads]) for r in todo]
+            texts = [[(p or "")[: self.max_chars] for p in r.payloads] for r in todo]
+            prompts = [build_listwise_prompt(r.query, t[r.pivots :], t[: r.pivots]) for r, t in zip(todo, texts, strict=True)]
             answers = self._post(json.dumps({"model": self.model, "prompts": prompts}).encode())["responses"]
-            self._known |= {key(r): repair_ranking(parse_ranking(a), len(r.ids))[0] for r, a in zip(todo, answers, strict=True)}
-        return [[p - 1 for p in self._known[key(r)]] for r in requests]
+            now |= {key(r): repair_ranking(parse_ranking(a), len(r.ids))[0] for r, a in zip(todo, answers, strict=True)}
+        self._known |= now
+        for old in list(self._known)[: max(0, len(self._known) - self.remember)]:
+            del self._known[old]
+        return [[p - 1 for p in now[key(r)]] for r in requests]
 
 
 @dataclass

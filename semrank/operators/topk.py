@@ -1,7 +1,8 @@
 """Distributed tournament, multi-pivot select and sort, and bin filter.
 
-Each runs level by level over all scopes at once. Once what is left of a scope is small (``tail`` rows), one task
-per scope finishes it with the local engine. Every level's calls are materialised once.
+Each runs level by level over all scopes at once. Once what is left of a scope (or of a segment of a sort) is small,
+one task finishes it with the local engine: at most ``tail`` rows and ``TAIL_BYTES`` of text. That says where calls are
+made, not which: results and ledger are the same for any ``tail``. Every level's calls are materialised once.
 """
 
 from __future__ import annotations
@@ -10,31 +11,31 @@ import uuid
 from functools import reduce
 
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..schema import CALLS, RankParams
 from ..sources.tables import materialise
 from .binning import assign_bins, shuffle_key
-from .engine import Doc, Judge, pivot_select, pivot_sort, refine_top, tournament_topk
-from .kernel import Ranked, ledger_of, lists_of, rank_lists
-from .rankers import ColumnRanker, Ranker
+from .engine import SPREAD_SAMPLE, Doc, Judge, pairwise, pivot_select, pivot_sort, refine_top, tournament_topk
+from .kernel import Ranked, ledger_of, lists_of, named, rank_lists
+from .rankers import ColumnRanker, Ranker, ReversedRanker
 
-#: Rows of a scope that one task takes over.
-TAIL = 20_000
+#: Rows and bytes of text that one task takes over.
+TAIL, TAIL_BYTES = 20_000, 256 << 20
 _CALL_FIELDS = [x.split(" ")[0] for x in CALLS.split(", ")]
-_OUT = "scope bigint, rank bigint, id bigint, " + ", ".join(x for x in CALLS.split(", ") if not x.startswith("scope"))
+_OUT = "scope bigint, seg bigint, rank bigint, id bigint, " + ", ".join(x for x in CALLS.split(", ") if not x.startswith("scope"))
 
 
-def _finish(algo: str, judge: Judge, ids: list[int], k: int, beaten: dict[int, set[int]]) -> tuple[list[int], bool]:
+def _finish(algo: str, judge: Judge, ids: list[int], k: int, beaten: dict[int, set[int]], turn: int, seg: int, step: int) -> tuple[list[int], bool]:
     """The local tail of an algorithm: ids and whether their order counts."""
     if algo == "tournament":
-        return tournament_topk(judge, ids, k, beaten=beaten), True
+        return tournament_topk(judge, ids, k, beaten=beaten, step=step), True
     if algo == "select":
-        return pivot_select(judge, ids, k), False
-    if algo == "sort":
-        return pivot_sort(judge, ids), True
+        return pivot_select(judge, ids, k, turn=turn), False
+    if algo in ("sort", "refine"):
+        return pivot_sort(judge, ids, turn=turn, seg=seg, phase=algo), True
     if algo == "pivot":
         return pivot_sort(judge, pivot_select(judge, ids, k)), True
     if algo == "all":
@@ -42,58 +43,64 @@ def _finish(algo: str, judge: Judge, ids: list[int], k: int, beaten: dict[int, s
     raise ValueError(algo)
 
 
-def run_local(items: DataFrame, algo: str, k: int, ranker: Ranker, params: RankParams, seed: int = 42, queries: DataFrame | None = None, edges: DataFrame | None = None, wanted: DataFrame | None = None, name: str | None = None, refine: int = 0, sort_pivots: int | None = None, votes: int = 1) -> Ranked:
-    """One task per scope. wanted: (scope, k) where scopes differ; edges: (scope, worse, better) of a bracket that ran already."""
+def run_local(items: DataFrame, algo: str, k: int, ranker: Ranker, params: RankParams, seed: int = 42, queries: DataFrame | None = None, refine: int = 0, sort_pivots: int | None = None, votes: int = 1, step: int = 0) -> Ranked:
+    """One task per scope and segment. items may also have: seg and turn (where a run goes on), k (where scopes differ),
+    better (the id known to be better, of a bracket that ran ``step`` levels). Ranks count from 1 in their segment."""
     run_id = uuid.uuid4().hex[:12]
-    x = items.select("scope", "id", "payload", "score", "proxy")
-    x = x.join(wanted.select("scope", F.col("k").alias("_k")), "scope") if wanted is not None else x.withColumn("_k", F.lit(k))
+
+    def own(name: str, other: Column) -> Column:
+        return F.col(name) if name in items.columns else other.alias(name)
+
+    zero, none = F.lit(0).cast("long"), F.lit(None).cast("long")
+    x = items.select("scope", own("seg", zero), own("turn", F.lit(0)), own("k", F.lit(k)), own("better", none), "id", "payload", "score", "proxy")
     x = x.join(queries.select("scope", F.col("query").alias("_q")), "scope", "left") if queries is not None else x.withColumn("_q", F.lit(""))
-    if edges is not None:
-        x = x.join(edges.groupBy("scope", F.col("worse").alias("id")).agg(F.collect_set("better").alias("_b")), ["scope", "id"], "left")
-    else:
-        x = x.withColumn("_b", F.lit(None).cast("array<bigint>"))
 
     def run(part: pd.DataFrame) -> pd.DataFrame:
-        scope = int(part["scope"].iloc[0])
+        scope, seg, turn, wanted = (int(part[c].iloc[0]) for c in ("scope", "seg", "turn", "k"))
         clean = part.astype(object).where(part.notna(), None)
         docs = {int(i): Doc(int(i), p, s, q) for i, p, s, q in zip(clean["id"], clean["payload"], clean["score"], clean["proxy"], strict=True)}
-        beaten = {int(i): {int(y) for y in b} for i, b in zip(clean["id"], clean["_b"], strict=True) if b is not None}
-        judge = Judge(docs, ranker, params, clean["_q"].iloc[0] or "", seed, scope, votes=votes)
-        wanted_k, ids = int(part["_k"].iloc[0]), sorted(docs)
+        beaten = {int(i): {int(b)} for i, b in zip(clean["id"], clean["better"], strict=True) if b is not None}
+        judge, ids = Judge(docs, ranker, params, clean["_q"].iloc[0] or "", seed, scope, votes=votes), sorted(docs)
         if algo == "pivot" and sort_pivots:
-            chosen = pivot_select(judge, ids, wanted_k)
-            judge.params = params.but(pivots=sort_pivots, pivot_group=None)
+            chosen = pivot_select(judge, ids, wanted)
+            judge.params = params.but(pivots=sort_pivots, pivot_group=None, early_stop=False)
             got, ordered = pivot_sort(judge, chosen), True
         else:
-            got, ordered = _finish(algo, judge, ids, wanted_k, beaten)
+            got, ordered = _finish(algo, judge, ids, wanted, beaten, turn, seg, step)
         if refine:
             got = refine_top(judge, got, refine)
-        out = [{"scope": scope, "rank": n if ordered else None, "id": i} for n, i in enumerate(got, 1)]
-        out += [c | {"run_id": run_id, "algo": name or algo} for c in judge.calls]
+        out = [{"scope": scope, "seg": seg, "rank": n if ordered else None, "id": i} for n, i in enumerate(got, 1)]
+        out += [c | {"run_id": run_id} for c in judge.calls]
         columns = [c.split(" ")[0] for c in _OUT.split(", ")]
         frame = pd.DataFrame(out, columns=columns)
         for c, kind in (y.split(" ") for y in _OUT.split(", ")):
             frame[c] = frame[c].astype({"bigint": "Int64", "int": "Int32", "boolean": "boolean", "string": "object"}[kind])
         return frame
 
-    done = materialise(x.groupBy("scope").applyInPandas(run, _OUT), "tail")
-    return Ranked(done.filter("call_id is null").select("scope", "rank", "id"), done.filter("call_id is not null").select(*_CALL_FIELDS))
+    done = materialise(x.groupBy("scope", "seg").applyInPandas(run, _OUT), "tail")
+    return Ranked(done.filter("call_id is null").select("scope", "seg", "rank", "id"), done.filter("call_id is not null").select(*_CALL_FIELDS))
 
 
 def _joined(parts: list[DataFrame]) -> DataFrame:
     return reduce(DataFrame.unionByName, parts)
 
 
-def _sizes(items: DataFrame) -> DataFrame:
-    return items.groupBy("scope").agg(F.count("*").alias("n"))
+def _sizes(items: DataFrame, *keys: str) -> DataFrame:
+    """(keys, n, bytes): rows and bytes of text."""
+    return items.groupBy(*(keys or ("scope",))).agg(F.count("*").alias("n"), F.coalesce(F.sum(F.octet_length("payload")), F.lit(0)).alias("bytes"))
+
 
+def _large(params: RankParams, tail: int) -> Column:
+    """Whether a scope of n documents and so many bytes is more than a task takes over; one list always fits."""
+    return (F.col("n") > params.list_size) & ((F.col("n") > tail) | (F.col("bytes") > TAIL_BYTES))
 
-def bin_filter(items: DataFrame, ranker: Ranker, params: RankParams, seed: int = 42, rounds: int = 1, queries: DataFrame | None = None, mode: str = "exact", least: int = 0) -> Ranked:
+
+def bin_filter(items: DataFrame, ranker: Ranker, params: RankParams, seed: int = 42, rounds: int = 1, queries: DataFrame | None = None, mode: str | None = None, least: int = 0, votes: int = 1) -> Ranked:
     """The best S of every bin of L, ``rounds`` times. ``least``: survivors that a scope with that many documents must keep."""
     run_id, calls = uuid.uuid4().hex[:12], []
     for turn in range(rounds):
-        lists = lists_of(assign_bins(items, params.list_size, seed, turn, mode=mode), ["scope"], "bin")
-        done = materialise(rank_lists(lists, ranker, queries), "filter")
+        lists = named(lists_of(assign_bins(items, params.list_size, seed, turn, mode=mode or params.binning), ["scope"], "bin"), "bin_filter", turn, F.col("bin"))
+        done = materialise(rank_lists(lists, ranker, queries, params, seed, votes), "filter")
         calls.append(ledger_of(done, run_id, "bin_filter", turn))
         kept = done.select("scope", F.explode(F.slice("ranked", 1, params.survivors)).alias("d")).select("scope", F.col("d.id").alias("id"))
         items = items.join(kept, ["scope", "id"], "left_semi")
@@ -108,25 +115,59 @@ def survivor_count(n: int, size: int, s: int) -> int:
     return s * (n // size) + min(s, n % size)
 
 
-def tournament(items: DataFrame, k: int, ranker: Ranker, params: RankParams | None = None, seed: int = 42, queries: DataFrame | None = None, tail: int = TAIL, mode: str = "exact") -> Ranked:
-    """Ordered top k. The first bracket's early levels are distributed; documents with k known betters are let go."""
+def tournament(items: DataFrame, k: int, ranker: Ranker, params: RankParams | None = None, seed: int = 42, queries: DataFrame | None = None, tail: int = TAIL, mode: str | None = None, votes: int = 1) -> Ranked:
+    """Ordered top k. The first bracket's early levels are distributed; documents with k known betters are let go.
+
+    What is left for one task are the documents with fewer than k known betters. Where that is still too much, since k is
+    large, groups of documents hold tournaments of their own and their winners another one: the same result from a
+    consistent ranker, for more calls. A k that even a group can't hold is refused: winners follow one another, so a
+    tournament of that length belongs to ``sort`` or ``select``.
+    """
     params = params or RankParams()
-    run_id, calls, edges, level = uuid.uuid4().hex[:12], [], [], 0
-    live = items
-    heads = items.select("scope", "id")
-    while heads.groupBy("scope").count().filter(F.col("count") > tail).take(1):
-        binned = assign_bins(live.join(heads, ["scope", "id"], "left_semi"), params.list_size, seed, f"0.{level}", mode=mode)
-        done = materialise(rank_lists(lists_of(binned, ["scope"], "bin"), ranker, queries), "bracket")
-        calls.append(ledger_of(done, run_id, "tournament", level))
-        placed = done.select("scope", F.posexplode(F.slice("ranked", 1, k)).alias("p", "d"), F.col("ranked.id").alias("ids")).select("scope", F.col("d.id").alias("id"), "p", F.expr("if(p > 0, get(ids, p - 1), null)").alias("better"))
-        placed = materialise(placed, "placed")
-        edges.append(placed.filter("p > 0").select("scope", F.col("id").alias("worse"), "better"))
-        heads = placed.filter("p = 0").select("scope", "id")
-        # what fell out of its bin's first k has k betters; what stood behind it falls with it when its head does
-        live = live.join(heads.unionByName(_joined(edges).select("scope", F.col("worse").alias("id"))).distinct(), ["scope", "id"], "left_semi")
+    run_id, calls, level, items = uuid.uuid4().hex[:12], [], 0, items.select("scope", "id", "payload", "score", "proxy")
+    live, tree = items, None
+    # tree: (scope, id, root, depth, better) of the documents with fewer than k known betters; a head is its own root
+    while True:
+        sizes = _sizes(live)
+        heads = sizes.select("scope", F.col("n").alias("heads")) if tree is None else tree.filter("depth = 0").groupBy("scope").agg(F.count("*").alias("heads"))
+        most = sizes.join(heads, "scope").filter(_large(params, tail) & (F.col("heads") > 1)).agg(F.max("heads")).first()[0]
+        if not most:
+            break
+        # few heads that lie in many partitions would never meet inside them
+        how = "exact" if level and most <= tail else mode or params.binning
+        field_ = live if tree is None else live.join(tree.filter("depth = 0").select("scope", "id"), ["scope", "id"], "left_semi")
+        binned = assign_bins(field_, params.list_size, seed, f"0.{level}", mode=how)
+        lists = named(lists_of(binned, ["scope"], "bin"), "tournament", 0, F.concat(F.lit(f"{level}."), F.col("bin").cast("string")))
+        done = materialise(rank_lists(lists, ranker, queries, params, seed, votes), "bracket")
+        calls.append(ledger_of(done, run_id, "tournament", 0))
+        placed = done.select("scope", F.posexplode(F.slice("ranked", 1, k)).alias("p", "d"), F.col("ranked.id").alias("ids"))
+        placed = placed.select("scope", F.col("d.id").alias("id"), F.col("ids")[0].alias("head"), "p", F.expr("if(p > 0, get(ids, p - 1), null)").alias("lost_to"))
+        if tree is None:
+            tree = placed.select("scope", "id", F.col("head").alias("root"), F.col("p").alias("depth"), F.col("lost_to").alias("better"))
+        else:
+            above = placed.withColumnRenamed("id", "root")
+            tree = tree.join(above, ["scope", "root"]).select("scope", "id", F.col("head").alias("root"), (F.col("depth") + F.col("p")).alias("depth"), F.coalesce("better", "lost_to").alias("better")).filter(F.col("depth") < k)
+        tree = materialise(tree, "tree")
+        live = items.join(tree.select("scope", "id"), ["scope", "id"], "left_semi")
         level += 1
-    rest = run_local(live, "tournament", k, ranker, params, seed, queries, _joined(edges) if edges else None)
-    return Ranked(rest.rows, _joined([*calls, rest.calls]))
+    rest = items if tree is None else items.join(tree.select("scope", "id", "better"), ["scope", "id"])
+    many = _sizes(rest).filter(_large(params, tail)).select("scope", "n")
+    if tree is not None and (most := many.agg(F.max("n")).first()[0]):
+        if 4 * k > tail:  # groups have a third of a tail at least, so that a quarter or more of the documents go each time
+            raise ValueError(f"a tournament for {k} winners needs a tail of {4 * k} rows or more; sort and select don't")
+        parts = many.select("scope", F.ceil(F.lit(2 * most) / F.lit(tail)).cast("long").alias("_parts"))
+        split = items.join(parts, "scope", "left").withColumn("seg", F.pmod(F.xxhash64("id"), F.coalesce("_parts", F.lit(1))))
+        names = split.select("scope", "seg").distinct().withColumn("_group", F.xxhash64("scope", "seg"))
+        grouped = split.join(names, ["scope", "seg"]).select(F.col("_group").alias("scope"), "id", "payload", "score", "proxy")
+        asks = None if queries is None else names.join(queries, "scope").select(F.col("_group").alias("scope"), "query")
+        first = tournament(grouped, k, ranker, params, seed, asks, tail, mode, votes)
+        back = names.select("scope", F.col("_group"))
+        first_calls = first.calls.withColumnRenamed("scope", "_group").join(back, "_group").select(*_CALL_FIELDS)
+        won = first.rows.withColumnRenamed("scope", "_group").join(back, "_group").select("scope", "id")
+        last = tournament(items.join(won, ["scope", "id"], "left_semi"), k, ranker, params, seed + 1, queries, tail, mode, votes)
+        return Ranked(last.rows, _joined([first_calls, last.calls]))
+    done = run_local(rest, "tournament", k, ranker, params, seed, queries, votes=votes, step=level)
+    return Ranked(done.rows.select("scope", "rank", "id"), _joined([*calls, done.calls]))
 
 
 def _lead(items: DataFrame, keys: list[str], order: list, most: int, alias: str = "ix") -> DataFrame:
@@ -134,26 +175,31 @@ def _lead(items: DataFrame, keys: list[str], order: list, most: int, alias: str
     return items.withColumn(alias, F.row_number().over(W.partitionBy(*keys).orderBy(*order))).filter(F.col(alias) <= most)
 
 
-def _deal(items: DataFrame, keys: list[str], ranker: Ranker, params: RankParams, seed: int, turn: int, k: int, run_id: str, algo: str, queries: DataFrame | None, wanted: DataFrame | None) -> tuple[DataFrame, DataFrame, DataFrame]:
+def _deal(items: DataFrame, keys: list[str], ranker: Ranker, params: RankParams, seed: int, turn: int, run_id: str, algo: str, queries: DataFrame | None, wanted: DataFrame | None, votes: int) -> tuple[DataFrame, DataFrame, DataFrame]:
     """One round over all keys: (bucket of every document, pivots in settled order, ledger).
 
-    wanted: (keys, remaining) for selection with early stop; the pivot groups are then asked one after the other.
+    wanted: (keys, remaining, n) for selection; with early stop the pivot groups are then asked one after the other.
     """
+    seg = F.col("seg") if "seg" in keys else None
+    plain, likely = [shuffle_key(seed, f"pivot{turn}"), "id"], [F.desc(F.coalesce("proxy", F.lit(0.0))), "id"]
     if params.pivot_mode == "random":
-        pivots = _lead(items, keys, [shuffle_key(seed, f"pivot{turn}"), "id"], params.pivots).drop("ix")
+        pivots = _lead(items, keys, plain, params.pivots).drop("ix")
     elif wanted is not None:
-        first = _lead(items, keys, [F.desc("proxy"), "id"], k + params.pivots).join(wanted, keys)
-        pivots = first.filter(F.col("ix").between(F.col("remaining"), F.col("remaining") + params.pivots - 1)).select(*items.columns)
+        most = int(wanted.agg(F.max("remaining")).first()[0] or 0)
+        first = F.greatest(F.lit(0), F.least(F.col("remaining") - 1, F.col("n") - params.pivots)) + 1
+        near = _lead(items, keys, likely, most + params.pivots).join(wanted, keys)
+        pivots = near.filter(F.col("ix").between(first, first + params.pivots - 1)).select(*items.columns)
     else:
-        cuts = items.groupBy(*keys).agg(F.percentile_approx("proxy", [(j + 1) / (params.pivots + 1) for j in range(params.pivots)], 10_000).alias("c"))
-        near = items.join(cuts.select(*keys, F.explode(F.array_distinct("c")).alias("proxy")), [*keys, "proxy"])
-        pivots = _lead(near, [*keys, "proxy"], ["id"], 1).select(*items.columns)
+        some = _lead(_lead(items, keys, plain, SPREAD_SAMPLE).drop("ix"), keys, likely, SPREAD_SAMPLE)
+        some = some.withColumn("_m", F.count("*").over(W.partitionBy(*keys)))
+        at = F.array(*(F.least(F.col("_m") - 1, F.floor(F.lit(j + 1) * F.col("_m") / F.lit(params.pivots + 1))) + 1 for j in range(params.pivots)))
+        pivots = some.filter(F.array_contains(at, F.col("ix").cast("long"))).select(*items.columns)
     doc = F.struct("id", "payload", "score")
     lists = pivots.groupBy(*keys).agg(F.array_sort(F.collect_list(doc)).alias("docs")).select(*keys, F.lit(-1).cast("long").alias("bin"), F.lit("pivots").alias("kind"), F.lit(0).alias("n_pivots"), "docs")
-    ordered = materialise(rank_lists(lists, ranker, queries), "pivots")
+    ordered = materialise(rank_lists(named(lists, algo, turn, F.lit(""), seg), ranker, queries, params, seed, votes), "pivots")
     calls = [ledger_of(ordered, run_id, algo, turn)]
-    settled = ordered.select(*keys, "ranked")
-    picked = settled.select(*keys, F.posexplode("ranked").alias("ix", "d")).select(*keys, "ix", F.col("d.id").alias("id"))
+    settled = ordered.select(*keys, F.col("ranked").alias("_settled"))
+    picked = settled.select(*keys, F.posexplode("_settled").alias("ix", "d")).select(*keys, "ix", F.col("d.id").alias("id"))
     rest = items.join(picked, [*keys, "id"], "left_anti")
     groups = -(-params.pivots // params.group)
     stop = params.early_stop and wanted is not None
@@ -161,17 +207,17 @@ def _deal(items: DataFrame, keys: list[str], ranker: Ranker, params: RankParams,
     asked, open_keys = rest, None
     for number in range(groups if stop else 1):
         own = asked if open_keys is None else asked.join(open_keys, keys, "left_semi")
-        binned = assign_bins(own, params.list_size - params.group, seed, f"deal{turn}", keys)
+        binned = assign_bins(own, params.list_size - params.group, seed, f"deal{turn}", keys, params.binning)
         dealt = lists_of(binned, keys, "bucket").join(settled, keys)
         if stop:
             dealt = dealt.withColumn("g", F.lit(number))
         else:
-            dealt = dealt.withColumn("g", F.explode(F.sequence(F.lit(0), F.ceil(F.size("ranked") / F.lit(params.group)).cast("int") - 1)))
-        dealt = dealt.withColumn("pv", F.expr(f"slice(ranked, g * {params.group} + 1, {params.group})")).filter(F.size("pv") > 0)
-        dealt = dealt.withColumn("docs", F.concat("pv", "docs")).withColumn("n_pivots", F.size("pv")).withColumn("settled", F.col("pv.id")).withColumn("bin", F.col("bin") * groups + F.col("g")).drop("ranked", "pv")
-        done = materialise(rank_lists(dealt, ranker, queries), "buckets")
-        shown = F.filter(F.col("ranked.id"), lambda i: F.array_contains("settled", i))
-        calls.append(ledger_of(done, run_id, algo, turn, shown != F.col("settled")))
+            dealt = dealt.withColumn("g", F.explode(F.sequence(F.lit(0), F.ceil(F.size("_settled") / F.lit(params.group)).cast("int") - 1)))
+        dealt = dealt.withColumn("pv", F.expr(f"slice(_settled, g * {params.group} + 1, {params.group})")).filter(F.size("pv") > 0)
+        dealt = named(dealt, algo, turn, F.concat_ws(".", F.col("g").cast("string"), F.col("bin").cast("string")), seg)
+        dealt = dealt.withColumn("docs", F.concat("pv", "docs")).withColumn("n_pivots", F.size("pv")).withColumn("settled", F.col("pv.id")).drop("_settled", "pv")
+        done = materialise(rank_lists(dealt, ranker, queries, params, seed, votes), "buckets")
+        calls.append(ledger_of(done, run_id, algo, turn))
         flags = done.select(*keys, "g", F.posexplode("ranked").alias("p", "d"), F.col("settled"), F.transform("ranked", lambda d: F.array_contains("settled", d["id"]).cast("int")).alias("f"))
         each = flags.filter(~F.array_contains("settled", F.col("d.id"))).select(*keys, "g", F.col("d.id").alias("id"), F.size("settled").alias("m"), F.expr("aggregate(slice(f, 1, p), 0, (a, x) -> a + x)").alias("b"))
         if not stop:
@@ -193,22 +239,23 @@ def _deal(items: DataFrame, keys: list[str], ranker: Ranker, params: RankParams,
     return materialise(_joined(buckets), "dealt"), picked, _joined(calls)
 
 
-def select(items: DataFrame, k: int, ranker: Ranker, params: RankParams | None = None, seed: int = 42, queries: DataFrame | None = None, tail: int = TAIL, ascending: bool = False) -> Ranked:
-    """The unordered top k of every scope (rank is null). ascending: the k worst, for a ranker on the score column."""
+def select(items: DataFrame, k: int, ranker: Ranker, params: RankParams | None = None, seed: int = 42, queries: DataFrame | None = None, tail: int = TAIL, ascending: bool = False, votes: int = 1) -> Ranked:
+    """The unordered top k of every scope (rank is null). ascending: the k worst, as the best under the ranker turned round."""
     params = params or RankParams()
     if ascending:
-        items = items.withColumn("score", -F.col("score")).withColumn("proxy", -F.col("proxy"))
+        items, ranker = turned(items, ranker)
     run_id, calls, taken, turn = uuid.uuid4().hex[:12], [], [], 0
     if k <= 0:
         return Ranked(items.select("scope", F.lit(None).cast("long").alias("rank"), "id").limit(0), items.sparkSession.createDataFrame([], CALLS))
-    state = materialise(_sizes(items).select("scope", F.least("n", F.lit(k)).alias("remaining"), "n"), "state")
-    cands = items
+    cands = items.select("scope", "id", "payload", "score", "proxy")
+    state = materialise(_sizes(cands).select("scope", F.least("n", F.lit(k)).alias("remaining"), "n", "bytes"), "state")
     small: list[DataFrame] = []
-    while state.filter(F.col("n") > tail).take(1):
-        big = state.filter((F.col("n") > tail) & (F.col("remaining") < F.col("n")))
-        small.append(cands.join(state.filter((F.col("n") <= tail) | (F.col("remaining") >= F.col("n"))).select("scope", F.col("remaining").alias("k")), "scope"))
+    large = _large(params, tail) & (F.col("remaining") < F.col("n"))
+    while state.filter(large).take(1):
+        big = state.filter(large)
+        small.append(cands.join(state.filter(~large).select("scope", F.col("remaining").alias("k")), "scope").withColumn("turn", F.lit(turn)))
         own = cands.join(big.select("scope"), "scope", "left_semi")
-        dealt, pivots, made = _deal(own, ["scope"], ranker, params, seed, turn, k, run_id, "select", queries, big.select("scope", "remaining"))
+        dealt, pivots, made = _deal(own, ["scope"], ranker, params, seed, turn, run_id, "select", queries, big.select("scope", "remaining", "n"), votes)
         calls.append(made)
         # places in order: bucket 0, pivot 0, bucket 1, ...; with early stop nothing below the groups that were asked matters
         reach = dealt.groupBy("scope").agg(F.max("groups").alias("g"))
@@ -221,58 +268,73 @@ def select(items: DataFrame, k: int, ranker: Ranker, params: RankParams | None =
         split = cut.filter("upto > remaining and upto - c < remaining").select("scope", "at", (F.col("remaining") - (F.col("upto") - F.col("c"))).alias("left"), "c")
         place = dealt.select("scope", "id", (F.col("bucket") * 2).alias("at")).unionByName(pivots.select("scope", "id", (F.col("ix") * 2 + 1).alias("at")))
         taken.append(materialise(place.join(whole, ["scope", "at"]).select("scope", "id"), "taken"))
+        # the split bucket goes on; pivots of groups that weren't asked lie in the last bucket
         inside = place.join(split, ["scope", "at"]).select("scope", "id")
+        if params.early_stop:
+            deep = split.join(reach, "scope").filter(F.col("at") == 2 * F.col("g") * params.group).select("scope")
+            inside = inside.unionByName(pivots.join(reach, "scope").filter(F.col("ix") >= F.col("g") * params.group).join(deep, "scope", "left_semi").select("scope", "id"))
         cands = materialise(own.join(inside, ["scope", "id"], "left_semi"), "cands")
-        state = materialise(split.select("scope", F.col("left").alias("remaining"), F.col("c").alias("n")), "state")
+        state = materialise(_sizes(cands).join(split.select("scope", F.col("left").alias("remaining")), "scope").select("scope", "remaining", "n", "bytes"), "state")
         turn += 1
-    small.append(cands.join(state.select("scope", F.col("remaining").alias("k")), "scope"))
-    final = _joined(small)
-    rest = run_local(final.drop("k"), "select", k, ranker, params, seed, queries, wanted=final.select("scope", "k").distinct(), name="select")
-    rows = _joined([x.select("scope", F.lit(None).cast("long").alias("rank"), "id") for x in taken] + [rest.rows])
+    small.append(cands.join(state.select("scope", F.col("remaining").alias("k")), "scope").withColumn("turn", F.lit(turn)))
+    rest = run_local(_joined(small), "select", k, ranker, params, seed, queries, votes=votes)
+    rows = _joined([x.select("scope", F.lit(None).cast("long").alias("rank"), "id") for x in taken] + [rest.rows.select("scope", "rank", "id")])
     return Ranked(rows, _joined([*calls, rest.calls]))
 
 
-def sort(items: DataFrame, ranker: Ranker, params: RankParams | None = None, seed: int = 42, queries: DataFrame | None = None, tail: int = TAIL) -> Ranked:
+def sort(items: DataFrame, ranker: Ranker, params: RankParams | None = None, seed: int = 42, queries: DataFrame | None = None, tail: int = TAIL, ascending: bool = False, votes: int = 1) -> Ranked:
     """All documents of every scope in order. Every segment of a level is dealt in the same job; positions come from counts."""
     params = params or RankParams(pivots=6)
+    if ascending:
+        items, ranker = turned(items, ranker)
     run_id, calls, turn = uuid.uuid4().hex[:12], [], 0
-    segs = items.withColumn("seg", F.lit(0).cast("long"))  # a segment is named by the number of documents before it
+    items = items.select("scope", "id", "payload", "score", "proxy")
+    # a segment is named by the number of documents before it, and has the turn at which it came to be
+    segs = items.withColumns({"seg": F.lit(0).cast("long"), "turn": F.lit(0)})
     while True:
-        sizes = segs.groupBy("scope", "seg").agg(F.count("*").alias("n"))
-        big = materialise(sizes.filter(F.col("n") > tail).select("scope", "seg"), "big")
+        big = materialise(_sizes(segs, "scope", "seg").filter(_large(params, tail)).select("scope", "seg"), "big")
         if not big.take(1):
             break
         own = segs.join(big, ["scope", "seg"], "left_semi")
-        dealt, pivots, made = _deal(own, ["scope", "seg"], ranker, params, seed, turn, 0, run_id, "sort", queries, None)
+        dealt, pivots, made = _deal(own.drop("turn"), ["scope", "seg"], ranker, params, seed, turn, run_id, "sort", queries, None, votes)
         calls.append(made)
         place = dealt.select("scope", "seg", "id", (F.col("bucket") * 2).alias("at")).unionByName(pivots.select("scope", "seg", "id", (F.col("ix") * 2 + 1).alias("at")))
         counts = place.groupBy("scope", "seg", "at").agg(F.count("*").alias("c"))
         w = W.partitionBy("scope", "seg").orderBy("at").rowsBetween(W.unboundedPreceding, -1)
         starts = counts.withColumn("start", F.col("seg") + F.coalesce(F.sum("c").over(w), F.lit(0))).drop("c")
         new = place.join(starts, ["scope", "seg", "at"]).select("scope", "id", F.col("start").alias("new"))
-        moved = segs.join(new, ["scope", "id"], "left").withColumn("seg", F.coalesce("new", "seg")).drop("new")
+        moved = segs.join(new, ["scope", "id"], "left").withColumns({"turn": F.when(F.col("new").isNull(), F.col("turn")).otherwise(F.lit(turn + 1)), "seg": F.coalesce("new", "seg")}).drop("new")
         segs = materialise(moved, "segments")
         turn += 1
-    keyed = segs.withColumn("_scope", F.xxhash64("scope", "seg")) if turn else segs.withColumn("_scope", F.col("scope"))
-    names = keyed.select("_scope", F.col("scope").alias("_real"), "seg").distinct()
-    asks = None if queries is None else names.join(queries.withColumnRenamed("scope", "_real"), "_real").select(F.col("_scope").alias("scope"), "query")
-    rest = run_local(keyed.withColumn("scope", F.col("_scope")), "sort", 0, ranker, params, seed, asks, name="sort")
-    back = names.withColumnRenamed("_scope", "scope")
-    rows = rest.rows.join(back, "scope").select(F.col("_real").alias("scope"), (F.col("rank") + F.col("seg")).alias("rank"), "id")
-    tailed = rest.calls.join(back, "scope").withColumn("scope", F.col("_real")).select(*_CALL_FIELDS)
-    return Ranked(rows, _joined([*calls, tailed]))
-
-
-def pivot_topk(items: DataFrame, k: int, ranker: Ranker, params: RankParams | None = None, seed: int = 42, queries: DataFrame | None = None, tail: int = TAIL, refine: int = 0, sort_pivots: int | None = None) -> Ranked:
-    """Select, then sort the k that were selected; ``refine``: re-rank the first so many by pairs."""
+    rest = run_local(segs, "sort", 0, ranker, params, seed, queries, votes=votes)
+    return Ranked(rest.rows.select("scope", (F.col("rank") + F.col("seg")).alias("rank"), "id"), _joined([*calls, rest.calls]))
+
+
+def pivot_topk(items: DataFrame, k: int, ranker: Ranker, params: RankParams | None = None, seed: int = 42, queries: DataFrame | None = None, tail: int = TAIL, refine: int = 0, sort_pivots: int | None = None, ascending: bool = False, votes: int = 1) -> Ranked:
+    """Select, then sort the k that were selected; ``refine``: re-rank the first so many by pairs. Both are distributed where k is large."""
     params = params or RankParams()
-    if _sizes(items).filter(F.col("n") > tail).take(1):
-        chosen = select(items, k, ranker, params, seed, queries, tail)
-        kept = items.join(chosen.rows.select("scope", "id"), ["scope", "id"], "left_semi")
-        plan = params.but(pivots=sort_pivots, pivot_group=None, early_stop=False) if sort_pivots else params
-        done = run_local(kept, "sort", k, ranker, plan, seed, queries, name="sort", refine=refine)
-        return Ranked(done.rows, chosen.calls.unionByName(done.calls))
-    return run_local(items, "pivot", k, ranker, params, seed, queries, refine=refine, sort_pivots=sort_pivots)
+    if ascending:
+        items, ranker = turned(items, ranker)
+    if not _sizes(items).filter(_large(params, tail)).take(1):
+        done = run_local(items, "pivot", k, ranker, params, seed, queries, refine=refine, sort_pivots=sort_pivots, votes=votes)
+        return Ranked(done.rows.select("scope", "rank", "id"), done.calls)
+    chosen = select(items, k, ranker, params, seed, queries, tail, votes=votes)
+    kept = items.join(chosen.rows.select("scope", "id"), ["scope", "id"], "left_semi")
+    plan = params.but(pivots=sort_pivots, pivot_group=None, early_stop=False) if sort_pivots else params
+    done = sort(kept, ranker, plan, seed, queries, tail, votes=votes)
+    rows, calls = done.rows, chosen.calls.unionByName(done.calls)
+    if refine:
+        head = rows.filter(F.col("rank") <= refine).select("scope", "id")
+        again = run_local(items.join(head, ["scope", "id"], "left_semi"), "refine", 0, ranker, pairwise(plan), seed, queries, votes=votes)
+        rows = rows.filter(F.col("rank") > refine).unionByName(again.rows.select("scope", "rank", "id"))
+        calls = calls.unionByName(again.calls)
+    return Ranked(rows, calls)
+
+
+def turned(items: DataFrame, ranker: Ranker) -> tuple[DataFrame, Ranker]:
+    """Items and ranker for the worst instead of the best: negated scores and proxies for a score column, turned responses otherwise."""
+    items = items.withColumns({"score": -F.col("score"), "proxy": -F.col("proxy")}) if ranker.native else items.withColumn("proxy", -F.col("proxy"))
+    return items, ranker if ranker.native else ReversedRanker(ranker)
 
 
 def exact_topk(items: DataFrame, k: int) -> DataFrame:

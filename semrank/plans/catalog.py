@@ -190,13 +190,6 @@ def select_per_lang_docs(s, d):
     return topk.select(items, 10, LexicalRanker(ASK)).rows.select("scope", "id")
 
 
-@query(f"SELECT item_id AS scope, doc_id AS id FROM (SELECT item_id, doc_id, row_number() OVER (PARTITION BY item_id ORDER BY {scores_sql('b.text', 'd.text')} DESC, doc_id) AS r FROM benchmark b, documents d WHERE item_id < 3) WHERE r <= 10")
-def select_multi_query(s, d):
-    q = load(s, d, "benchmark").filter("item_id < 3").select(F.col("item_id").alias("scope"), F.col("text").alias("query"))
-    items = text_items(s, d).drop("scope").crossJoin(F.broadcast(q.select("scope")))
-    return topk.select(items, 10, LexicalRanker(), queries=q).rows.select("scope", "id")
-
-
 @query(f"SELECT item_id AS scope, doc_id AS id FROM (SELECT item_id, doc_id, row_number() OVER (PARTITION BY item_id ORDER BY {scores_sql('b.text', 'd.text')} DESC, doc_id) AS r FROM benchmark b, documents d) WHERE r <= 10")
 def select_every_query(s, d):
     q = _bench(s, d)
@@ -450,12 +443,6 @@ def gold_sparse_qrels(s, d):
 
 
 _OVERLAP_ALL = "SELECT item_id AS scope, doc_id AS id, " + scores_sql("b.text", "d.text") + " AS overlap FROM benchmark b, documents d"
-_OVERLAP = "SELECT item_id AS scope, doc_id AS id, " + scores_sql("b.text", "d.text") + " AS overlap FROM benchmark b, documents d WHERE item_id < 10"
-
-
-@query(f"SELECT scope, id, overlap, r FROM (SELECT *, row_number() OVER (PARTITION BY scope ORDER BY overlap DESC, id) AS r FROM ({_OVERLAP}) WHERE overlap > 0) WHERE r <= 50")
-def gold_overlap_top50(s, d):
-    return _overlap_top50(s, d, "item_id < 10")
 
 
 @query(f"SELECT scope, id, overlap, r FROM (SELECT *, row_number() OVER (PARTITION BY scope ORDER BY overlap DESC, id) AS r FROM ({_OVERLAP_ALL}) WHERE overlap > 0) WHERE r <= 50")
@@ -480,10 +467,7 @@ def elo_top10(s, d):
     return baselines.judge_gold(_bench(s, d), experiments.corpus(s, d))
 
 
-_TOP10 = f"SELECT scope, id, r AS rank FROM (SELECT *, row_number() OVER (PARTITION BY scope ORDER BY overlap DESC, id) AS r FROM (SELECT item_id AS scope, doc_id AS id, {scores_sql('b.text', 'd.text')} AS overlap FROM benchmark b, documents d WHERE item_id < 20)) WHERE r <= 10"
-
-
-def _query_top10(s, d, where: str = "item_id < 20") -> DataFrame:
+def _query_top10(s, d, where: str = "true") -> DataFrame:
     q = _bench(s, d, where)
     docs = experiments.corpus(s, d)
     hits = baselines.token_overlap(q, docs)
@@ -491,33 +475,20 @@ def _query_top10(s, d, where: str = "item_id < 20") -> DataFrame:
     return topk.pivot_topk(items, 10, PERFECT).rows
 
 
-@query(f"WITH t AS ({_TOP10}), q AS (SELECT * FROM ({_QRELS}) WHERE scope < 20) SELECT q.scope, round(count(t.id) / CAST(count(*) AS DOUBLE), 9) AS recall FROM q LEFT JOIN t ON q.scope = t.scope AND q.id = t.id GROUP BY q.scope")
-def recall_at_10(s, d):
-    gold = baselines.sparse_gold(_bench(s, d, "item_id < 20"), experiments.corpus(s, d))
-    return metrics.recall_at_k(_query_top10(s, d), gold, 10).select("scope", F.round("recall", 9).alias("recall"))
-
-
-@query(f"""WITH t AS ({_TOP10}), q AS (SELECT *, row_number() OVER (PARTITION BY scope ORDER BY id) AS i FROM ({_QRELS}) WHERE scope < 20)
-SELECT q.scope, round(coalesce(sum(1 / log2(t.rank + 1)), 0) / sum(CASE WHEN i <= 10 THEN 1 / log2(i + 1) ELSE 0 END), 9) AS ndcg FROM q LEFT JOIN t ON q.scope = t.scope AND q.id = t.id GROUP BY q.scope""")
-def ndcg_at_10(s, d):
-    gold = baselines.sparse_gold(_bench(s, d, "item_id < 20"), experiments.corpus(s, d))
-    return metrics.ndcg_at_k(_query_top10(s, d), gold, 10).select("scope", F.round("ndcg", 9).alias("ndcg"))
-
-
 _TOP10_ALL = f"SELECT scope, id, r AS rank FROM (SELECT *, row_number() OVER (PARTITION BY scope ORDER BY overlap DESC, id) AS r FROM ({_OVERLAP_ALL})) WHERE r <= 10"
 
 
 @query(f"WITH t AS ({_TOP10_ALL}), q AS ({_QRELS}) SELECT q.scope, round(count(t.id) / CAST(count(*) AS DOUBLE), 9) AS recall FROM q LEFT JOIN t ON q.scope = t.scope AND q.id = t.id GROUP BY q.scope")
 def recall_at_10_all(s, d):
     gold = baselines.sparse_gold(_bench(s, d), experiments.corpus(s, d))
-    return metrics.recall_at_k(_query_top10(s, d, "true"), gold, 10).select("scope", F.round("recall", 9).alias("recall"))
+    return metrics.recall_at_k(_query_top10(s, d), gold, 10).select("scope", F.round("recall", 9).alias("recall"))
 
 
 @query(f"""WITH t AS ({_TOP10_ALL}), q AS (SELECT *, row_number() OVER (PARTITION BY scope ORDER BY id) AS i FROM ({_QRELS}))
 SELECT q.scope, round(coalesce(sum(1 / log2(t.rank + 1)), 0) / sum(CASE WHEN i <= 10 THEN 1 / log2(i + 1) ELSE 0 END), 9) AS ndcg FROM q LEFT JOIN t ON q.scope = t.scope AND q.id = t.id GROUP BY q.scope""")
 def ndcg_at_10_all(s, d):
     gold = baselines.sparse_gold(_bench(s, d), experiments.corpus(s, d))
-    return metrics.ndcg_at_k(_query_top10(s, d, "true"), gold, 10).select("scope", F.round("ndcg", 9).alias("ndcg"))
+    return metrics.ndcg_at_k(_query_top10(s, d), gold, 10).select("scope", F.round("ndcg", 9).alias("ndcg"))
 
 
 _MID = "rank() OVER (ORDER BY {0}) + (count(*) OVER (PARTITION BY {0}) - 1) / 2.0"
@@ -548,7 +519,7 @@ def calls_pointwise(s, d):
 @query("SELECT CAST(ceil(count(*) / 20.0) AS BIGINT) AS calls FROM orders")
 def calls_first_tournament_round(s, d):
     calls = topk.tournament(order_items(s, d), 1, PERFECT, tail=1_000).calls
-    return metrics.count_calls(calls.filter("round = 0 and call_id like '0:%:%:bin'")).select("calls")
+    return metrics.count_calls(calls.filter("call_id like '0:tournament:0:0:bin:0.%'")).select("calls")
 
 
 @query()

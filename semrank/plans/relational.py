@@ -68,8 +68,6 @@ both("join_merge_orders_lineitem", "SELECT /*+ MERGE(l) */ o_orderpriority, coun
 both("join_hash_customer_orders", "SELECT /*+ SHUFFLE_HASH(c) */ c_mktsegment, count(*) AS n FROM customer c JOIN orders o ON c_custkey = o_custkey GROUP BY c_mktsegment")
 both("join_semi_labelled", "SELECT doc_id, lang FROM documents d LEFT SEMI JOIN labels l USING (doc_id)", "SELECT doc_id, lang FROM documents d SEMI JOIN labels l USING (doc_id)")
 both("join_anti_unlabelled", "SELECT doc_id, lang FROM documents d LEFT ANTI JOIN labels l USING (doc_id)", "SELECT doc_id, lang FROM documents d ANTI JOIN labels l USING (doc_id)")
-both("join_cross_scopes", "SELECT b.item_id AS scope, d.doc_id AS id FROM benchmark b CROSS JOIN documents d WHERE b.item_id < 3 AND d.doc_id < 50")
-both("join_theta_pairs", "SELECT a.vec_id AS i, b.vec_id AS j FROM embeddings a JOIN embeddings b ON a.vec_id < b.vec_id AND a.label = b.label WHERE a.vec_id < 60 AND b.vec_id < 60")
 both("join_cross_scopes_all", "SELECT b.item_id AS scope, d.doc_id AS id FROM benchmark b CROSS JOIN documents d")
 both("join_theta_pairs_all", "SELECT a.vec_id AS i, b.vec_id AS j FROM embeddings a JOIN embeddings b ON a.vec_id < b.vec_id AND a.label = b.label")
 both("join_left_labels", "SELECT d.doc_id, l.quality, l.toxic FROM documents d LEFT JOIN labels l ON d.doc_id = l.doc_id")

@@ -12,7 +12,11 @@ PLAN = "use_filter boolean, s int, agg string, p_select int, p_sort int, n_after
 
 @dataclass(frozen=True)
 class RankParams:
-    """list_size is L, pivots P, pivot_group P', survivors S."""
+    """list_size is L, pivots P, pivot_group P', survivors S.
+
+    workers: at most so many lists are ranked at a time (one partition each), for a ranking service of that many
+    instances; None leaves it to Spark. binning: how documents are dealt to lists (``binning.assign_bins``).
+    """
 
     list_size: int = 20
     pivots: int = 4
@@ -20,8 +24,9 @@ class RankParams:
     early_stop: bool = False
     survivors: int = 1
     pivot_mode: str = "random"
-    workers: int = 8
+    workers: int | None = None
     slot_order: str = "hash"
+    binning: str = "exact"
 
     def __post_init__(self):
         if not 1 <= self.group <= self.pivots < self.list_size:
@@ -30,6 +35,8 @@ class RankParams:
             raise ValueError("survivors must be between 1 and list_size - 1")
         if self.pivot_mode not in ("random", "proxy"):
             raise ValueError("pivot_mode is random or proxy")
+        if self.slot_order not in ("hash", "input") or self.binning not in ("exact", "balanced", "local"):
+            raise ValueError("slot_order is hash or input, binning exact, balanced or local")
 
     @property
     def group(self) -> int:

@@ -22,10 +22,13 @@ def register_views(spark: SparkSession, sf_dir: str, names=NAMES) -> None:
 
 
 def work_path(spark: SparkSession, name: str) -> str:
-    """A new path in the folder that driver and executors share (spark.checkpoint.dir), a local one only where that is unset."""
+    """A new path in the folder that driver and executors share (spark.checkpoint.dir). Where that is unset and everything runs on
+    one machine, in a local one; a cluster without a shared folder is an error, since executors don't see the driver's disk."""
     known = spark.sparkContext.getConf().get("spark.checkpoint.dir", None)
     if not known:
         if spark.sparkContext._jsc.sc().getCheckpointDir().isEmpty():
+            if spark.sparkContext.master.split("[")[0] != "local":
+                raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
             spark.sparkContext.setCheckpointDir("file://" + tempfile.mkdtemp(prefix="semrank-"))
         known = spark.sparkContext._jsc.sc().getCheckpointDir().get()
     return f"{known.rstrip('/')}/{name}-{uuid.uuid4().hex}"

@@ -102,7 +102,7 @@ def test_contradictions_and_broken_responses():
 def test_prompts_and_scores():
     text = build_listwise_prompt("q", ["a", "b"], ["p"])
     assert "[1] p\n[2] a\n[3] b" in text
-    assert [parse_score(t, 100) for t in ("87", " 12.5 ", "n/a", "")] == [(87, True), (12.5, True), (50, False), (50, False)]
+    assert [parse_score(t, 100) for t in ("87", " 12.5 ", "n/a", "", "nan", "inf", "1_000", "1e2")] == [(87, True), (12.5, True), (50, False), (50, False), (50, False), (50, False), (50, False), (100, True)]
     r = ListRequest("c", [1, 2, 3], ["cat dog", "cat", "bird"], [1.0, 2.0, None], "dog cat")
     assert LexicalRanker().rank([r]) == [[0, 1, 2]] and ColumnRanker().rank([r]) == [[1, 0, 2]]
     v = ListRequest("c", [1, 2], ["[1, 0]", "[0, 1]"], [None, None])
@@ -208,6 +208,51 @@ def test_http_ranker_sends_whole_texts():
     assert "a" * 11 not in sent[1]
 
 
+def test_http_ranker_against_a_service():
+    """A local service that orders passages by length and fails at first: pivots in the prompt, retries, answers remembered and forgotten."""
+    import threading
+    from http.server import BaseHTTPRequestHandler, HTTPServer
+
+    seen = []
+
+    class Service(BaseHTTPRequestHandler):
+        def do_POST(self):  # noqa: N802
+            asked = json.loads(self.rfile.read(int(self.headers["Content-Length"])))
+            seen.append(asked)
+            if len(seen) == 1:
+                self.send_error(503)
+                return
+            answers = []
+            for prompt in asked["prompts"]:
+                lines = [x for x in prompt.split("\n") if x.startswith("[")]
+                answers.append(" > ".join(x.split("]")[0] + "]" for x in sorted(lines, key=len, reverse=True)))
+            body = json.dumps({"responses": answers}).encode()
+            self.send_response(200)
+            self.send_header("Content-Length", str(len(body)))
+            self.end_headers()
+            self.wfile.write(body)
+
+        def log_message(self, *_):
+            pass
+
+    server = HTTPServer(("127.0.0.1", 0), Service)
+    threading.Thread(target=server.serve_forever, daemon=True).start()
+    try:
+        ranker = HttpRanker(f"http://127.0.0.1:{server.server_port}", "m", pause=0.01, remember=2)
+        request = ListRequest("c", [5, 6, 7], ["a", "a" * 30, "a" * 9], [None] * 3, "q", 2)
+        assert ranker.rank([request]) == [[1, 2, 0]] and len(seen) == 2
+        assert "Passages 1 to 2 are already listed" in seen[1]["prompts"][0]
+        assert ranker.rank([request]) == [[1, 2, 0]] and len(seen) == 2
+        ranker.rank([ListRequest("d", [i, i + 1], ["b", "bb"], [None] * 2, "q") for i in (1, 2, 3)])
+        assert len(ranker._known) == 2
+        ranker.rank([request])
+        assert len(seen) == 4
+        j = Judge({i: Doc(i, "w" * (i + 1)) for i in range(60)}, ranker, RankParams(), "q")
+        assert set(pivot_select(j, list(range(60)), 7)) == set(range(53, 60))
+    finally:
+        server.shutdown()
+
+
 def test_workloads_have_their_published_size(monkeypatch):
     """25 queries over the whole corpus, 5,000 trials a point."""
     from semrank.plans import catalog, experiments

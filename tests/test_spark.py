@@ -47,7 +47,7 @@ def test_distributed_tournament_sort_and_plans(items):
 def test_calls_of_the_distributed_and_the_local_bracket_agree(items):
     one = items.filter("scope = 0")
     n = one.count()
-    calls = topk.tournament(one, 1, PERFECT, tail=20).calls.filter("call_id like '0:%bin'").count()
+    calls = topk.tournament(one, 1, PERFECT, tail=20).calls.filter("call_id like '0:tournament:0:0:bin:0.%'").count()
     assert calls == -(-n // 20)
 
 
@@ -87,6 +87,25 @@ def test_odd_inputs(spark, items):
     assert broken.rows.select("id").distinct().count() == items.filter("scope = 1").count()
 
 
+def test_passages_found_by_shared_word_runs(spark):
+    """The same pairs as looking for every passage in every document: words cut at a passage's ends, short passages, case, no words."""
+    text = "x The quick brown fox jumps over the lazy dog. And then some, café words go on"
+    docs = spark.createDataFrame([(1, text), (2, text.lower()), (3, None), (4, ""), (5, text.replace("fox", "cat")), (6, "pre" + text + text)], "id long, payload string")
+    asks = ["quick brown fox jumps over the lazy dog", "ick brown fox jumps over the lazy do", "fox jumps", "", "...", None, "dog. And then some, caf", "the lazy dog. And then some, café words go on and on"]
+    q = spark.createDataFrame(list(enumerate(asks)), "scope long, query string")
+    got = sorted((r["scope"], r["id"]) for r in baselines.sparse_gold(q, docs).collect())
+    assert got == sorted((n, d["id"]) for n, a in enumerate(asks) for d in docs.collect() if a and d["payload"] and a in d["payload"])
+
+
+def test_ascending_semantic_order(spark):
+    texts = spark.createDataFrame([(i, "dog " * (i % 2) + "cat " * (i % 3 > 0) + "bird") for i in range(40)], "doc_id long, text string")
+    texts.createOrReplaceTempView("ascending_texts")
+    up = sqlfront.semantic_sql(spark, "SELECT * FROM ascending_texts ORDER BY SEMANTIC('dog cat', text) ASC LIMIT 7").orderBy("rank").collect()
+    assert [r["text"] for r in up] == ["bird"] * 7 and len({r["doc_id"] for r in up}) == 7
+    down = sqlfront.semantic_sql(spark, "SELECT * FROM ascending_texts ORDER BY SEMANTIC('dog cat', text) LIMIT 7").collect()
+    assert all("dog" in r["text"] and "cat" in r["text"] for r in down)
+
+
 def test_payload_of_any_types(spark):
     df = spark.sql("SELECT 1L AS i, CAST(1.50 AS DECIMAL(5,2)) AS d, array(1, 2) AS a, map('k', 1) AS m, CAST(NULL AS STRING) AS n, TIMESTAMP '2024-01-02 03:04:05' AS t")
     assert df.select(payload_of(df.schema, ["d", "a", "m", "n", "t"])).first()[0] == '1.50 [1,2] {"k":1}  2024-01-02T03:04:05'
