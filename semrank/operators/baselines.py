@@ -149,11 +149,10 @@ def judge_gold(queries: DataFrame, docs: DataFrame, pool: int = 50, top: int = 1
 RUN = 5
 
 
-def _run_keys(text: Column) -> Column:
-    """Hashes of the runs of RUN words of a text, each once."""
-    words = F.regexp_extract_all(text, F.lit("[A-Za-z0-9]+"), F.lit(0))
+def _run_keys(words: Column) -> Column:
+    """Hashes of the runs of RUN words, each once. ``words`` is a column of a table, so that a text is split once."""
     starts = F.when(F.size(words) >= RUN, F.sequence(F.lit(1), F.size(words) - RUN + 1)).otherwise(F.array().cast("array<int>"))
-    return F.array_distinct(F.transform(starts, lambda i: F.xxhash64(F.array_join(F.slice(words, i, RUN), " "))))
+    return F.array_distinct(F.transform(starts, lambda i: F.xxhash64(*(F.get(words, i - 1 + j) for j in range(RUN)))))
 
 
 def sparse_gold(queries: DataFrame, docs: DataFrame) -> DataFrame:
@@ -164,8 +163,10 @@ def sparse_gold(queries: DataFrame, docs: DataFrame) -> DataFrame:
     those only; shorter passages, a few words each, are looked for in every document.
     """
     asked = queries.filter(F.length("query") > 0).select("scope", "query", F.regexp_extract_all("query", F.lit("[A-Za-z0-9]+"), F.lit(0)).alias("_w"))
-    long = asked.filter(F.size("_w") >= RUN + 2).select("scope", "query", F.xxhash64(F.array_join(F.slice("_w", 2, RUN), " ")).alias("_key"))
-    near = docs.select("id", F.explode(_run_keys(F.col("payload"))).alias("_key")).join(long, "_key").select("scope", "query", "id")
+    long = asked.filter(F.size("_w") >= RUN + 2).select("scope", "query", F.xxhash64(*(F.get("_w", F.lit(1 + j)) for j in range(RUN))).alias("_key"))
+    # the row number keeps Spark from writing the split into every place that reads it
+    split = docs.select("id", F.regexp_extract_all("payload", F.lit("[A-Za-z0-9]+"), F.lit(0)).alias("_w"), F.monotonically_increasing_id().alias("_row")).filter("_row >= 0")
+    near = split.select("id", F.explode(_run_keys(F.col("_w"))).alias("_key")).join(long, "_key").select("scope", "query", "id")
     found = near.join(docs.select("id", "payload"), "id").filter(F.contains("payload", "query")).select("scope", "id")
     short = asked.filter(F.size("_w") < RUN + 2).select("scope", "query")
     others = docs.join(short, F.contains("payload", "query")).select("scope", "id")

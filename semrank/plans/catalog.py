@@ -899,3 +899,21 @@ def calls_quality_rates(s, d):
     items = lexical_items(every_english(s, d))
     runs = (("broken", BrokenRanker(PERFECT)), ("contradicting", ContradictingRanker(PERFECT, 0.3)), ("perfect", PERFECT))
     return experiments._all(metrics.quality_rates(topk.sort(items, r, RankParams(pivots=6)).calls).withColumn("ranker", F.lit(n)) for n, r in runs)
+
+
+@query()
+def w_sparse_labels(s, d):
+    return experiments.sparse_labels(s, d)
+
+
+@query()
+def w_judge_methods(s, d):
+    return experiments.judge_labels(s, d)
+
+
+@query("SELECT true AS early_stop_is_cheaper, true AS like_measured")
+def planner_operating_point(s, d):
+    """The default operating point by simulation against the same pivots without early stop, and against 312 calls measured for a perfect ranker."""
+    own = planner.operating_point_calls(s, 5183, 10)
+    plain = planner.operating_point_calls(s, 5183, 10, RankParams(pivots=16, pivot_group=2))
+    return s.createDataFrame([(own < plain, abs(own - 313) < 13)], "early_stop_is_cheaper boolean, like_measured boolean")

@@ -61,6 +61,15 @@ def estimate_seconds(calls: float, list_seconds: float, workers: int = 1, rounds
     return max(rounds, calls / workers) * list_seconds
 
 
+def operating_point_calls(spark: SparkSession, n: int, k: int, params: RankParams | None = None, trials: int = 500) -> float:
+    """Mean calls of select, then sort, with pivot groups and early stop, for which there is no closed form: by simulation."""
+    from . import simulate
+
+    p = params or RankParams.default()
+    chosen = simulate.simulate_grid(spark, "select", [{"n": n, "k": min(k, n), "size": p.list_size, "p": p.pivots, "group": p.group, "early_stop": p.early_stop}], trials).first()["value"]
+    return chosen + cost.cost_sort(min(k, n), p.list_size, p.pivots) if k > p.list_size else chosen + 1.0 * (k > 1)
+
+
 def execute_plan(plan: Plan, items: DataFrame, k: int, ranker: Ranker, size: int = 20, seed: int = 42, queries: DataFrame | None = None, refine: int = 0, override: RankParams | None = None, tail: int = topk.TAIL) -> Ranked:
     """override: the pivots, groups and early stop of the experiments instead of the plan's."""
     base = override or RankParams(list_size=size, pivots=max(1, plan.p_select or plan.p_sort or 1), survivors=max(1, plan.s))

@@ -136,3 +136,16 @@ def vec_cosine_topk(s, d):
     v = load(s, d, "embeddings").select("vec_id", F.transform("embedding", lambda x: x.cast("double")).alias("e"))
     q = v.filter("vec_id = 0").select(F.col("e").alias("q"))
     return v.crossJoin(F.broadcast(q)).select("vec_id", cosine("e", "q").alias("cosine")).orderBy(F.desc("cosine"), "vec_id").limit(10)
+
+
+def salted_join(large: DataFrame, small: DataFrame, key: str, salts: int = 16) -> DataFrame:
+    """An inner join where one key may hold most rows of ``large``: its rows are dealt over ``salts`` parts, of which ``small`` has a copy each."""
+    dealt = large.withColumn("_salt", F.pmod(F.monotonically_increasing_id(), F.lit(salts)))
+    copies = small.withColumn("_salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(salts - 1).cast("long"))))
+    return dealt.join(copies.hint("merge"), [key, "_salt"]).drop("_salt")
+
+
+@query("SELECT e.event_id, e.event_type, c.n FROM events e JOIN (SELECT event_type, count(*) AS n FROM events GROUP BY event_type) c ON e.event_type = c.event_type")
+def join_skewed_salted(s, d):
+    e = load(s, d, "events").select("event_id", "event_type")
+    return salted_join(e, e.groupBy("event_type").agg(F.count("*").alias("n")), "event_type")

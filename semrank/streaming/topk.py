@@ -51,7 +51,7 @@ def windowed(stream: DataFrame, time: str, window: str, slide: str | None = None
 
 
 def windowed_topk(stream: DataFrame, k: int, key: str, time: str, id_col: str, value: str, window: str, slide: str | None = None, delay: str = "1 hour") -> DataFrame:
-    """(key, start, rank, id, value): the k best of each closed window. Only k rows a window stay in state, as an ordered array."""
+    """(key, start, rank, id, value): the k best of each closed window. Until it closes, a window's (value, id) pairs are in state, all of them."""
     marked, w = windowed(stream, time, window, slide, delay=delay)
     best = marked.groupBy(w.alias("w"), key).agg(F.expr(f"slice(sort_array(collect_list(struct(-{value} as neg, {id_col} as id))), 1, {k})").alias("best"))
     return best.select(key, F.col("w.start").alias("start"), F.posexplode("best").alias("p", "b")).select(key, "start", (F.col("p") + 1).cast("long").alias("rank"), F.col("b.id").alias("id"), (-F.col("b.neg")).alias("value"))
