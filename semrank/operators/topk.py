@@ -133,6 +133,8 @@ def tournament(items: DataFrame, k: int, ranker: Ranker, params: RankParams | No
         most = sizes.join(heads, "scope").filter(_large(params, tail) & (F.col("heads") > 1)).agg(F.max("heads")).first()[0]
         if not most:
             break
+        if tree is None:  # read at every level, so what made the items runs once
+            live = items = materialise(items, "items")
         # few heads that lie in many partitions would never meet inside them
         how = "exact" if level and most <= tail else mode or params.binning
         field_ = live if tree is None else live.join(tree.filter("depth = 0").select("scope", "id"), ["scope", "id"], "left_semi")
@@ -251,6 +253,8 @@ def select(items: DataFrame, k: int, ranker: Ranker, params: RankParams | None =
     state = materialise(_sizes(cands).select("scope", F.least("n", F.lit(k)).alias("remaining"), "n", "bytes"), "state")
     small: list[DataFrame] = []
     large = _large(params, tail) & (F.col("remaining") < F.col("n"))
+    if state.filter(large).take(1):
+        cands = materialise(cands, "items")  # read several times in a round
     while state.filter(large).take(1):
         big = state.filter(large)
         small.append(cands.join(state.filter(~large).select("scope", F.col("remaining").alias("k")), "scope").withColumn("turn", F.lit(turn)))
@@ -295,6 +299,7 @@ def sort(items: DataFrame, ranker: Ranker, params: RankParams | None = None, see
         big = materialise(_sizes(segs, "scope", "seg").filter(_large(params, tail)).select("scope", "seg"), "big")
         if not big.take(1):
             break
+        segs = segs if turn else materialise(segs, "segments")
         own = segs.join(big, ["scope", "seg"], "left_semi")
         dealt, pivots, made = _deal(own.drop("turn"), ["scope", "seg"], ranker, params, seed, turn, run_id, "sort", queries, None, votes)
         calls.append(made)
