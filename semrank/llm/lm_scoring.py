@@ -6,10 +6,11 @@ scaled to the target's number of tokens, so the models are matched and differ in
 its mean loss per token under the target model less that under the background model; lower is closer to the target.
 
 Documents lie in chunks of some megabytes. A chunk counts its own words and bigrams and sends the counts, sorted by key
-and cut into as many buckets as there are chunks, to the buckets; a bucket adds up what has the same key and sends the
-totals back in each chunk's order. So nothing of the corpus' size is on the driver or broadcast, and what is kept grows
-with the text. A key has 80 bits: among three billion different words and bigrams (some 30 GB) the chance that any two
-share one is about 4 in a million.
+and cut into as many buckets as there are chunks, to those buckets that have any; a bucket adds up what has the same key
+and sends the totals back in each chunk's order. So nothing of the corpus' size is on the driver or broadcast, and what is
+kept and sent grows with the text: a chunk's rows are never more than its different words and bigrams. Larger chunks
+(``chunk_bytes``) make fewer and longer rows where the corpus is very large, for more memory of a task. A key has 80 bits:
+among three billion different words and bigrams (some 30 GB) the chance that any two share one is about 4 in a million.
 ``size`` and ``bits`` ask for bounded models instead: the most frequent words and ``2**bits`` hashed cells of bigrams.
 
 Cases: a null or wordless text has no tokens and score 0; no target documents (or none with words) make all scores 0;
@@ -36,7 +37,8 @@ CHUNK_BYTES = 8 << 20
 #: Fixed values in place of words, which no word equals: what stands before a text's first word, and what marks a word's own count.
 BEGIN, ONE = b"", b" "
 _COUNTS = "chunk bigint, bucket bigint, n bigint, counts binary"
-_TOTALS = "chunk bigint, bucket bigint, n bigint, totals binary, own_tokens bigint, all_tokens bigint, words bigint"
+_TOTALS = "chunk bigint, bucket bigint, n bigint, totals binary"
+_SIZES = "own_tokens bigint, all_tokens bigint, words bigint"
 _ENTRY, _TOTAL = ("<u8", "<u2", "u1", "<i4", "<i4"), ("<i8", "<i8")
 _SCORES = "doc_id bigint, n_tokens bigint, loss_target double, loss_background double, score double"
 
@@ -117,20 +119,26 @@ class Model:
         return -np.log(np.minimum(p.astype(np.float64), 1.0))
 
 
-def packed(columns: list[np.ndarray], kinds: tuple[str, ...]) -> bytes:
-    """Columns by planes of bytes, which compress well: most counts are small."""
-    return b"".join(c.astype(k).view(np.uint8).reshape(len(c), np.dtype(k).itemsize).T.tobytes() for c, k in zip(columns, kinds, strict=True))
+def packed(columns: list[np.ndarray], kinds: tuple[str, ...], codec: pa.Codec) -> bytes:
+    """Columns by planes of bytes, compressed: most counts are small."""
+    planes = b"".join(c.astype(k).view(np.uint8).reshape(len(c), np.dtype(k).itemsize).T.tobytes() for c, k in zip(columns, kinds, strict=True))
+    return codec.compress(planes, asbytes=True)
 
 
-def unpacked(data: bytes, n: int, kinds: tuple[str, ...]) -> list[np.ndarray]:
+def unpacked(data: pa.Buffer, n: int, kinds: tuple[str, ...], codec: pa.Codec) -> list[np.ndarray]:
+    planes = codec.decompress(data, n * sum(np.dtype(k).itemsize for k in kinds))
     out, at = [], 0
     for k in kinds:
         size = np.dtype(k).itemsize
-        out.append(np.ascontiguousarray(np.frombuffer(data, np.uint8, n * size, at).reshape(size, n).T).view(k).reshape(n))
+        out.append(np.ascontiguousarray(np.frombuffer(planes, np.uint8, n * size, at).reshape(size, n).T).view(k).reshape(n))
         at += n * size
     return out
 
 
+def zstd() -> pa.Codec:
+    return pa.Codec("zstd", 1)
+
+
 def mixed(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     x = a * np.uint64(0x9E3779B97F4A7C15) + b
     x = (x ^ (x >> np.uint64(32))) * np.uint64(0xBF58476D1CE4E5B9)
@@ -180,37 +188,53 @@ def texts_of(docs: pa.Table) -> list[bytes | None]:
 
 
 def count_chunk(docs: pa.Table, targets: pa.Table, buckets: int) -> pa.Table:
-    """A row for every bucket, so that every bucket's totals come back."""
+    """A row for every bucket in which the chunk has an entry; BEGIN is an entry of every chunk."""
     types = pa_schema(_COUNTS)
     if not docs.num_rows:
         return types.empty_table()
-    own = Chunk(texts_of(docs))
+    own, codec = Chunk(texts_of(docs)), zstd()
     chosen = set(targets.column("doc_id").to_pylist())
     columns = [own.key, own.check, own.is_word, *own.counts(np.array([i is not None and i in chosen for i in docs.column("doc_id").to_pylist()], dtype=bool))]
     at = own.bucket_starts(buckets)
-    data = [packed([c[i:j] for c in columns], _ENTRY) for i, j in zip(at[:-1], at[1:], strict=True)]
-    chunk = np.full(buckets, docs.column("chunk")[0].as_py(), dtype=np.int64)
-    return pa.Table.from_arrays([pa.array(chunk), pa.array(np.arange(buckets)), pa.array(np.diff(at)), pa.array(data, pa.binary())], schema=types)
+    used = np.flatnonzero(np.diff(at))
+    data = [packed([c[at[i] : at[i + 1]] for c in columns], _ENTRY, codec) for i in used]
+    chunk = np.full(len(used), docs.column("chunk")[0].as_py(), dtype=np.int64)
+    return pa.Table.from_arrays([pa.array(chunk), pa.array(used), pa.array(np.diff(at)[used]), pa.array(data, pa.binary())], schema=types)
+
+
+def entries(rows: pa.Table) -> tuple[np.ndarray, ...]:
+    """The entries of a bucket's rows, one after the other: key, check, whether a word, counts (target, all)."""
+    codec = zstd()
+    parts = [unpacked(d.as_buffer(), n, _ENTRY, codec) for d, n in zip(rows.column("counts"), rows.column("n").to_pylist(), strict=True)]
+    return tuple(np.concatenate(c) for c in zip(*parts, strict=True))
+
+
+def first_of_each(key: np.ndarray, check: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """An order by key, and the places in it where a new key begins."""
+    order = np.lexsort((check, key))
+    return order, np.flatnonzero(np.concatenate(([True], (np.diff(key[order]) != 0) | (np.diff(check[order]) != 0))))
 
 
 def add_bucket(rows: pa.Table) -> pa.Table:
-    """Totals of a bucket's entries for each chunk, and the bucket's share of all tokens and words."""
+    """Totals of a bucket's entries for each of its chunks."""
     lengths = rows.column("n").to_numpy()
-    parts = [unpacked(d.as_buffer(), n, _ENTRY) for d, n in zip(rows.column("counts"), lengths.tolist(), strict=True)]
-    key, check, is_word, target, every = (np.concatenate(c) for c in zip(*parts, strict=True))
-    sums, words = np.zeros((2, len(key)), dtype=np.int64), np.zeros(3, dtype=np.int64)
-    if len(key):
-        order = np.lexsort((check, key))
-        new = np.flatnonzero(np.concatenate(([True], (np.diff(key[order]) != 0) | (np.diff(check[order]) != 0))))
-        for i, c in enumerate((target, every)):
-            total = np.add.reduceat(c[order].astype(np.int64), new)
-            words[i] = total[is_word[order][new] > 0].sum()
-            sums[i, order] = np.repeat(total, np.diff(np.append(new, len(key))))
-        words[2] = (is_word[order][new] > 0).sum()
-    ends = np.cumsum(lengths)
-    data = [packed([s[j - n : j] for s in sums], _TOTAL) for n, j in zip(lengths, ends, strict=True)]
-    alike = [pa.array(np.full(len(lengths), w)) for w in words]
-    return pa.Table.from_arrays([*(rows.column(c).combine_chunks() for c in ("chunk", "bucket", "n")), pa.array(data, pa.binary()), *alike], schema=pa_schema(_TOTALS))
+    key, check, _, target, every = entries(rows)
+    order, new = first_of_each(key, check)
+    sums = np.zeros((2, len(key)), dtype=np.int64)
+    for i, c in enumerate((target, every)):
+        sums[i, order] = np.repeat(np.add.reduceat(c[order].astype(np.int64), new), np.diff(np.append(new, len(key))))
+    ends, codec = np.cumsum(lengths), zstd()
+    data = [packed([s[j - n : j] for s in sums], _TOTAL, codec) for n, j in zip(lengths, ends, strict=True)]
+    return pa.Table.from_arrays([*(rows.column(c).combine_chunks() for c in ("chunk", "bucket", "n")), pa.array(data, pa.binary())], schema=pa_schema(_TOTALS))
+
+
+def bucket_sizes(rows: pa.Table) -> pa.Table:
+    """Target tokens, all tokens and different words among a bucket's entries."""
+    key, check, is_word, target, every = entries(rows)
+    words = is_word > 0
+    different = len(first_of_each(key[words], check[words])[1]) if words.any() else 0
+    sizes = (int(target[words].sum(dtype=np.int64)), int(every[words].sum(dtype=np.int64)), different)
+    return pa.Table.from_arrays([pa.array([x]) for x in sizes], schema=pa_schema(_SIZES))
 
 
 def score_chunk(docs: pa.Table, totals: pa.Table) -> pa.Table:
@@ -218,12 +242,12 @@ def score_chunk(docs: pa.Table, totals: pa.Table) -> pa.Table:
     types = pa_schema(_SCORES)
     if not docs.num_rows:
         return types.empty_table()
-    own = Chunk(texts_of(docs))
+    own, codec = Chunk(texts_of(docs)), zstd()
     totals = totals.sort_by("bucket")
-    parts = [unpacked(d.as_buffer(), n, _TOTAL) for d, n in zip(totals.column("totals"), totals.column("n").to_pylist(), strict=True)]
+    parts = [unpacked(d.as_buffer(), n, _TOTAL, codec) for d, n in zip(totals.column("totals"), totals.column("n").to_pylist(), strict=True)]
     sums = np.empty((2, len(own.order)))
     sums[:, own.order] = [np.concatenate(c) for c in zip(*parts, strict=True)]
-    own_tokens, all_tokens, n_words = (sum(totals.column(c).to_pylist()) for c in ("own_tokens", "all_tokens", "words"))
+    own_tokens, all_tokens, n_words = (totals.column(c)[0].as_py() for c in ("own_tokens", "all_tokens", "words"))
     # without target tokens both models are the background's
     models = ((sums[0], own_tokens, 1.0), (sums[1], all_tokens, own_tokens / all_tokens)) if own_tokens else ((sums[1], all_tokens, 1.0),) * 2
     losses, some = [], own.lengths > 0
@@ -260,7 +284,9 @@ def exact_scores(docs: DataFrame, targets: DataFrame, chunk_bytes: int) -> DataF
 
     # both uses of the chunks have the same plan, so that their exchange is made once
     counts = docs.groupBy("chunk").cogroup(chosen.groupBy("chunk")).applyInArrow(count, _COUNTS)
-    totals = counts.groupBy("bucket").applyInArrow(add_bucket, _TOTALS)
+    buckets = counts.groupBy("bucket")
+    sizes = buckets.applyInArrow(bucket_sizes, _SIZES).agg(F.struct(F.sum("own_tokens").alias("own_tokens"), F.sum("all_tokens").alias("all_tokens"), F.sum("words").alias("words")).alias("s"))
+    totals = buckets.applyInArrow(add_bucket, _TOTALS).withColumn("s", sizes.scalar()).select("chunk", "bucket", "n", "totals", "s.*")
     return docs.groupBy("chunk").cogroup(totals.groupBy("chunk")).applyInArrow(score_chunk, _SCORES)
 
 
