@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
+from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 from pyspark.sql.streaming.query import StreamingQuery
 
 from ..operators import topk
@@ -50,11 +51,39 @@ def windowed(stream: DataFrame, time: str, window: str, slide: str | None = None
     return stream.withWatermark(time, delay), F.session_window(time, gap) if gap else F.window(time, window, slide or window)
 
 
+def _best(rows: pd.DataFrame, k: int) -> pd.DataFrame:
+    return rows.sort_values(["value", "id"], ascending=[False, True], na_position="last").head(k)
+
+
 def windowed_topk(stream: DataFrame, k: int, key: str, time: str, id_col: str, value: str, window: str, slide: str | None = None, delay: str = "1 hour") -> DataFrame:
-    """(key, start, rank, id, value): the k best of each closed window. Until it closes, a window's (value, id) pairs are in state, all of them."""
+    """(key, start, rank, id, value): the k best of each closed window; ties by id, values that are null or NaN last.
+
+    Until a window closes its state is one row with at most k pairs of id and value. Rows count as late by their window's
+    end, as they do in an aggregation over windows.
+    """
     marked, w = windowed(stream, time, window, slide, delay=delay)
-    best = marked.groupBy(w.alias("w"), key).agg(F.expr(f"slice(sort_array(collect_list(struct(-{value} as neg, {id_col} as id))), 1, {k})").alias("best"))
-    return best.select(key, F.col("w.start").alias("start"), F.posexplode("best").alias("p", "b")).select(key, "start", (F.col("p") + 1).cast("long").alias("rank"), F.col("b.id").alias("id"), (-F.col("b.neg")).alias("value"))
+    kinds = {c: stream.schema[c].dataType.simpleString() for c in (key, id_col, value)}
+    rows = marked.select(F.col(key).alias("key"), w.alias("w"), F.col(id_col).alias("id"), F.col(value).alias("value")).select("key", F.unix_micros("w.start").alias("start"), F.unix_millis("w.end").alias("end"), F.window_time("w").alias("at"), "id", "value")
+
+    def step(group: tuple, parts: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        held = pd.DataFrame({"id": [], "value": []})
+        if state.exists:
+            ids, values = state.get
+            held = pd.DataFrame({"id": list(ids), "value": list(values)})
+        if state.hasTimedOut:
+            state.remove()
+            yield pd.DataFrame({"key": [group[0]] * len(held), "start": [group[1]] * len(held), "rank": range(1, len(held) + 1), "id": held["id"], "value": held["value"]})
+            return
+        for part in parts:
+            new = part[["id", "value"]]
+            held = _best(pd.concat([held, new]) if len(held) else new, k)
+        state.update((held["id"].tolist(), [None if pd.isna(x) else x for x in held["value"].tolist()]))
+        state.setTimeoutTimestamp(int(group[2]))
+
+    out = f"key {kinds[key]}, start bigint, rank bigint, id {kinds[id_col]}, value {kinds[value]}"
+    held = f"ids array<{kinds[id_col]}>, top array<{kinds[value]}>"
+    best = rows.groupBy("key", "start", "end").applyInPandasWithState(step, out, held, "append", GroupStateTimeout.EventTimeTimeout)
+    return best.withColumn("start", F.timestamp_micros("start")).withColumnRenamed("key", key)
 
 
 def to_table(stream: DataFrame, path: str, mode: str = "append") -> DataFrame:
@@ -127,7 +156,7 @@ def stream_filter(stream: DataFrame, size: int, survivors: int, ranker: Ranker,
 def batch_windows(df: DataFrame, k: int, key: str, time: str, id_col: str, value: str, window: str) -> DataFrame:
     """What ``windowed_topk`` gives once all windows are closed."""
     x = df.withColumn("start", F.window(time, window)["start"])
-    w = W.partitionBy(key, "start").orderBy(F.desc(value), id_col)
+    w = W.partitionBy(key, "start").orderBy(F.desc_nulls_last(F.when(~F.isnan(value), F.col(value))), id_col)
     return x.withColumn("rank", F.row_number().over(w).cast("long")).filter(F.col("rank") <= k).select(key, "start", "rank", F.col(id_col).alias("id"), F.col(value).alias("value"))
 
 

@@ -13,6 +13,7 @@ from semrank.operators.rankers import BrokenRanker, ColumnRanker, NoisyRanker
 from semrank.plans import catalog, experiments, metrics, planner
 from semrank.schema import RankParams
 from semrank.sources.tables import assert_unique_id, items_of, load, payload_of, write_ledger
+from semrank.streaming import topk as streams
 
 PERFECT = ColumnRanker()
 
@@ -220,3 +221,32 @@ def test_query_equals_duckdb(spark, sf_dir, duck, name):
 
 def test_entry_runs(spark):
     assert entry.entry(spark).count() == 100
+
+
+@pytest.mark.parametrize("zone", ["UTC", "Europe/Paris"])
+def test_windowed_topk_holds_k_rows_a_window(spark, tmp_path, zone):
+    spark.conf.set("spark.sql.session.timeZone", zone)
+    try:
+        check_windowed_topk(spark, tmp_path)
+    finally:
+        spark.conf.set("spark.sql.session.timeZone", "UTC")
+
+
+def check_windowed_topk(spark, tmp_path):
+    schema = "key string, ts timestamp, id bigint, value double"
+    rows = [(k, f"2024-01-{1 + i % 3:02} {i % 24:02}:00:00", i, None if i % 11 == 0 else float(i * 7 % 13)) for i in range(300) for k in ("a", None)]
+    late = [("a", "2024-01-01 05:00:00", 1000, 99.0)]
+    for number, part in enumerate((rows, [("a", "2024-01-05 00:00:00", 500, 1.0)], late, [("b", "2024-01-09 00:00:00", 501, 2.0)])):
+        spark.createDataFrame(part, "key string, ts string, id bigint, value double").withColumn("ts", F.col("ts").cast("timestamp")).coalesce(1).write.parquet(str(tmp_path / f"in/{number}"))
+    stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "in/*"))
+    out = streams.windowed_topk(stream, 4, "key", "ts", "id", "value", "1 day")
+    query = out.writeStream.format("parquet").option("path", str(tmp_path / "out")).option("checkpointLocation", str(tmp_path / "check")).trigger(availableNow=True).start()
+    query.awaitTermination()
+    got = [tuple(r) for r in spark.read.schema(out.schema).parquet(str(tmp_path / "out")).select("key", "start", "rank", "id", "value").collect()]
+    batch = spark.createDataFrame(rows, "key string, ts string, id bigint, value double").withColumn("ts", F.col("ts").cast("timestamp"))
+    want = [tuple(r) for r in streams.batch_windows(batch, 4, "key", "ts", "id", "value", "1 day").collect()]
+    seen = [r for r in got if r[3] != 500]
+    assert sorted(map(str, seen)) == sorted(map(str, want))
+    # 600 rows in windows of two keys, one row of state each
+    assert max(o["numRowsTotal"] for p in query.recentProgress for o in p["stateOperators"]) <= 2 * len({r[1] for r in want}) + 1
+    assert streams.late_rows(query) == 1
