@@ -18,9 +18,14 @@ from ..schema import ITEMS, RankParams
 
 
 def file_stream(spark: SparkSession, sf_dir: str, name: str, files_per_trigger: int = 1) -> DataFrame:
-    """A table's files as a stream, with the table's own schema."""
-    schema = spark.read.parquet(f"{sf_dir}/{name}.parquet").schema
-    return spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_trigger).option("pathGlobFilter", f"{name}.parquet").parquet(sf_dir)
+    """A table's files as a stream, with the table's own schema. A table is one file, or a folder of them."""
+    table = f"{sf_dir}/{name}.parquet"
+    schema = spark.read.parquet(table).schema
+    stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_trigger)
+    path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(table)
+    if path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).getFileStatus(path).isDirectory():
+        return stream.parquet(table)
+    return stream.option("pathGlobFilter", f"{name}.parquet").parquet(sf_dir)
 
 
 def _state(spark: SparkSession, path: str, version: int) -> DataFrame:

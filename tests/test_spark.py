@@ -250,3 +250,16 @@ def check_windowed_topk(spark, tmp_path):
     # 600 rows in windows of two keys, one row of state each
     assert max(o["numRowsTotal"] for p in query.recentProgress for o in p["stateOperators"]) <= 2 * len({r[1] for r in want}) + 1
     assert streams.late_rows(query) == 1
+
+
+def _documents_in_files(spark, path):
+    """Documents in a folder of three files, with repeated and null texts, and labels beside them."""
+    rows = [(i, None if i % 10 == 3 else f"text {i % 17}", "en", "web", 6) for i in range(60)]
+    spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long").repartition(3).write.parquet(f"{path}/documents.parquet")
+    spark.createDataFrame([(i, i % 2, int(i % 3 == 0)) for i in range(60)], "doc_id long, quality int, toxic int").write.parquet(f"{path}/labels.parquet")
+
+
+def test_stream_join_reads_a_table_of_many_files(spark, tmp_path):
+    _documents_in_files(spark, tmp_path)
+    got = sorted(tuple(r) for r in catalog.QUERIES["stream_static_join"](spark, str(tmp_path)).collect())
+    assert got == [(i, i % 2) for i in range(0, 60, 3)]
