@@ -263,3 +263,8 @@ def test_stream_join_reads_a_table_of_many_files(spark, tmp_path):
     _documents_in_files(spark, tmp_path)
     got = sorted(tuple(r) for r in catalog.QUERIES["stream_static_join"](spark, str(tmp_path)).collect())
     assert got == [(i, i % 2) for i in range(0, 60, 3)]
+
+
+def test_stream_dedup_reads_many_files_and_leaves_null_texts_out(spark, tmp_path):
+    _documents_in_files(spark, tmp_path)
+    assert catalog.QUERIES["stream_dedup_documents"](spark, str(tmp_path)).first()["n"] == 17
