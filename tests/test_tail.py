@@ -86,6 +86,16 @@ def test_large_k(items):
         topk.tournament(items, 100, ColumnRanker(), tail=120)
 
 
+def test_tournament_for_all_documents(items):
+    """More documents than a task holds: segments with a tournament each; a scope that fits is one tournament."""
+    full = items.withColumn("score", F.coalesce("score", F.lit(-1e9)))
+    done = topk.tournament_sort(full, ColumnRanker(), tail=60)
+    assert topk.exact_topk(full, 1000).exceptAll(done.rows.select("scope", "rank", "id")).count() == 0 and done.rows.count() == 492
+    assert done.calls.count() == done.calls.select("call_id").distinct().count()
+    plain, whole = topk.tournament(items, 492, RANKERS["noisy"], RankParams(), 3), topk.tournament_sort(items, RANKERS["noisy"], RankParams(), 3)
+    assert outcome(plain) == outcome(whole)
+
+
 def test_the_worst_by_any_ranker(items):
     full = items.withColumn("score", F.coalesce("score", F.lit(0.0)))
     up = full.withColumn("score", -F.col("score"))
