@@ -83,6 +83,11 @@ def run_local(items: DataFrame, algo: str, k: int, ranker: Ranker, params: RankP
     return Ranked(done.filter("call_id is null").select("scope", "seg", "rank", "id"), done.filter("call_id is not null").select(*_CALL_FIELDS))
 
 
+def _lean(items: DataFrame, ranker: Ranker) -> DataFrame:
+    """items without texts for a ranker that reads the score column only: no text is moved, held by a task or counted as sent."""
+    return items.withColumn("payload", F.lit(None).cast("string")) if ranker.native else items
+
+
 def _joined(parts: list[DataFrame]) -> DataFrame:
     return reduce(DataFrame.unionByName, parts)
 
@@ -127,7 +132,8 @@ def tournament(items: DataFrame, k: int, ranker: Ranker, params: RankParams | No
     """
     params = params or RankParams()
     run_id, calls, level, items = uuid.uuid4().hex[:12], [], 0, items.select("scope", "id", "payload", "score", "proxy")
-    live, tree = items, None
+    live = items = _lean(items, ranker)
+    tree = None
     # tree: (scope, id, root, depth, better) of the documents with fewer than k known betters; a head is its own root
     while True:
         sizes = _sizes(live)
@@ -251,7 +257,7 @@ def select(items: DataFrame, k: int, ranker: Ranker, params: RankParams | None =
     run_id, calls, taken, turn = uuid.uuid4().hex[:12], [], [], 0
     if k <= 0:
         return Ranked(items.select("scope", F.lit(None).cast("long").alias("rank"), "id").limit(0), items.sparkSession.createDataFrame([], CALLS))
-    cands = items.select("scope", "id", "payload", "score", "proxy")
+    cands = _lean(items, ranker).select("scope", "id", "payload", "score", "proxy")
     state = materialise(_sizes(cands).select("scope", F.least("n", F.lit(k)).alias("remaining"), "n", "bytes"), "state")
     small: list[DataFrame] = []
     large = _large(params, tail) & (F.col("remaining") < F.col("n"))
@@ -295,7 +301,7 @@ def sort(items: DataFrame, ranker: Ranker, params: RankParams | None = None, see
     if ascending:
         items, ranker = turned(items, ranker)
     run_id, calls, turn = uuid.uuid4().hex[:12], [], 0
-    items = items.select("scope", "id", "payload", "score", "proxy")
+    items = _lean(items, ranker).select("scope", "id", "payload", "score", "proxy")
     # a segment is named by the number of documents before it, and has the turn at which it came to be
     segs = items.withColumns({"seg": F.lit(0).cast("long"), "turn": F.lit(0)})
     while True:
@@ -329,6 +335,7 @@ def pivot_topk(items: DataFrame, k: int, ranker: Ranker, params: RankParams | No
     params = params or RankParams()
     if ascending:
         items, ranker = turned(items, ranker)
+    items = _lean(items, ranker)
     if not _sizes(items).filter(_large(params, tail)).take(1):
         done = run_local(items, "pivot", k, ranker, params, seed, queries, refine=refine, sort_pivots=sort_pivots, votes=votes)
         return Ranked(done.rows.select("scope", "rank", "id"), done.calls)

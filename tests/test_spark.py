@@ -268,3 +268,13 @@ def test_stream_join_reads_a_table_of_many_files(spark, tmp_path):
 def test_stream_dedup_reads_many_files_and_leaves_null_texts_out(spark, tmp_path):
     _documents_in_files(spark, tmp_path)
     assert catalog.QUERIES["stream_dedup_documents"](spark, str(tmp_path)).first()["n"] == 17
+
+
+def test_texts_do_not_travel_to_a_ranker_of_scores(spark, monkeypatch):
+    """A task would hold all texts of its tail."""
+    rows = spark.range(200).select(F.lit(0).cast("long").alias("scope"), "id", F.repeat(F.lit("long text "), 50).alias("payload"), (F.col("id") % 90).cast("double").alias("score"), F.col("id").cast("double").alias("proxy"))
+    seen, written = [], topk.materialise
+    monkeypatch.setattr(topk, "materialise", lambda df, name="step": seen.append(out := written(df, name)) or out)
+    for done in (topk.tournament(rows, 5, PERFECT, tail=50), topk.sort(rows, PERFECT, tail=50), baselines.pairwise_prior(rows, 5, PERFECT, tail=50)):
+        assert done.rows.count() >= 5 and done.calls.agg(F.max("chars_in")).first()[0] == 0
+    assert seen and all(x.filter("payload is not null").count() == 0 for x in seen if "payload" in x.columns)
