@@ -8,6 +8,7 @@ from __future__ import annotations
 
 import hashlib
 from dataclasses import dataclass
+from functools import lru_cache
 
 import pandas as pd
 from pyspark.sql import Column, DataFrame
@@ -26,8 +27,13 @@ class Ranked:
     calls: DataFrame
 
 
+@lru_cache(maxsize=1 << 15)
+def _place(seed, turn, i: int) -> tuple[str, int]:
+    return hashlib.md5(f"{seed}:{turn}:{i}".encode()).hexdigest(), i
+
+
 def shuffled(ids: list[int], seed, turn) -> list[int]:
-    return sorted(ids, key=lambda i: (hashlib.md5(f"{seed}:{turn}:{i}".encode()).hexdigest(), i))
+    return sorted(ids, key=lambda i: _place(seed, turn, i))
 
 
 def call_name(scope, phase: str, seg, turn, kind: str, place="") -> str:

@@ -4,7 +4,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from semrank.operators import topk
-from semrank.operators.rankers import BrokenRanker, ColumnRanker, ContradictingRanker, NoisyRanker, PairNoiseByListSize, PositionBiasedRanker
+from semrank.operators.rankers import BrokenRanker, ColumnRanker, ContradictingRanker, LexicalRanker, NoisyRanker, PairNoiseByListSize, PositionBiasedRanker
 from semrank.schema import RankParams
 from semrank.sources.tables import items_of
 
@@ -96,6 +96,22 @@ def test_tournament_for_all_documents(items):
     assert outcome(plain) == outcome(whole)
 
 
+def test_every_query_without_a_row_for_each_pair(spark, monkeypatch):
+    """Chunks and tasks with fewer and more documents than k; no intermediate result has as many rows as there are pairs."""
+    words = F.concat_ws(" ", *(F.when(F.xxhash64("id", F.lit(w)) % 3 == 0, F.lit(w)) for w in ("cat", "dog", "bird", "fish", "cow")))
+    docs = spark.range(900).repartition(4).select("id", F.when(F.col("id") % 50 > 0, words).alias("payload"), F.lit(None).cast("double").alias("score"), F.lit(None).cast("double").alias("proxy"))
+    queries = spark.createDataFrame([(i, q) for i, q in enumerate(["cat dog", "bird fish cow", "horse", None, "cow cat bird dog fish"])], "scope long, query string")
+    monkeypatch.setattr(topk, "CROSS", 100)
+    rows, written = [], topk.materialise
+    monkeypatch.setattr(topk, "materialise", lambda df, name="step": rows.append(out := written(df, name)) or out)
+    done = topk.select_cross(docs, queries, 7, LexicalRanker())
+    texts = {r["id"]: set((r["payload"] or "").split()) for r in docs.collect()}
+    want = {(s, i) for s, q in queries.collect() for i in sorted(texts, key=lambda i: (-len(set((q or "").split()) & texts[i]), i))[:7]}
+    assert {(r["scope"], r["id"]) for r in done.rows.collect()} == want and done.rows.count() == 35
+    assert max(x.filter("id is not null").count() if "id" in x.columns else 0 for x in rows) < 900
+    assert done.calls.count() == done.calls.select("call_id").distinct().count() > 5 * 900 / 20
+
+
 def test_the_worst_by_any_ranker(items):
     full = items.withColumn("score", F.coalesce("score", F.lit(0.0)))
     up = full.withColumn("score", -F.col("score"))
