@@ -278,3 +278,11 @@ def test_texts_do_not_travel_to_a_ranker_of_scores(spark, monkeypatch):
     for done in (topk.tournament(rows, 5, PERFECT, tail=50), topk.sort(rows, PERFECT, tail=50), baselines.pairwise_prior(rows, 5, PERFECT, tail=50)):
         assert done.rows.count() >= 5 and done.calls.agg(F.max("chars_in")).first()[0] == 0
     assert seen and all(x.filter("payload is not null").count() == 0 for x in seen if "payload" in x.columns)
+
+
+@pytest.mark.parametrize("name", [
+    "best_pivot_select",
+])
+def test_query_reads_a_given_table(spark, sf_dir, name):
+    df = catalog.QUERIES[name](spark, sf_dir)
+    assert df.inputFiles() and df.count() > 1
