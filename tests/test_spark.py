@@ -285,6 +285,7 @@ def test_texts_do_not_travel_to_a_ranker_of_scores(spark, monkeypatch):
     "best_pivot_sort",
     "contradiction_bucket",
     "cost_filter_grid",
+    "cost_pairwise_grid",
 ])
 def test_query_reads_a_given_table(spark, sf_dir, name):
     df = catalog.QUERIES[name](spark, sf_dir)
