@@ -291,6 +291,7 @@ def test_texts_do_not_travel_to_a_ranker_of_scores(spark, monkeypatch):
     "cost_tournament_grid",
     "exact_select_cost",
     "filter_recall_exact_grid",
+    "filter_recall_poisson_grid",
 ])
 def test_query_reads_a_given_table(spark, sf_dir, name):
     df = catalog.QUERIES[name](spark, sf_dir)
