@@ -13,6 +13,7 @@ from ..schema import RankParams
 from ..sources.tables import materialise
 from .kernel import Ranked
 from .rankers import ListRequest, PointScorer, Ranker, parse_score
+from .retrieval import fused_best
 from .topk import TAIL, pivot_topk
 
 _PAIR = RankParams(list_size=2, pivots=1)
@@ -131,7 +132,12 @@ def reciprocal_rank_fusion(parts: list[DataFrame], n: int, c: int = 60) -> DataF
 
 
 def ensemble_retrieve(queries: DataFrame, docs: DataFrame, n: int = 50) -> DataFrame:
-    """(scope, id, score): token overlap, BM25 and hashed term cosine, fused."""
+    """(scope, id, score): token overlap, BM25 and hashed term cosine, fused over all their ranks."""
+    return fused_best(queries, docs, n)
+
+
+def ensemble_pairs(queries: DataFrame, docs: DataFrame, n: int = 50) -> DataFrame:
+    """The same by a row for each pair of query and document: what ``ensemble_retrieve`` is held against."""
     return reciprocal_rank_fusion([
         token_overlap(queries, docs).select("scope", "id", F.col("overlap").cast("double").alias("value")),
         bm25(queries, docs).select("scope", "id", F.col("bm25").alias("value")),

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
 from semrank.functions import sqlfront
-from semrank.operators import baselines, binning, topk
+from semrank.operators import baselines, binning, retrieval, topk
 from semrank.operators.rankers import BrokenRanker, ColumnRanker, NoisyRanker
 from semrank.plans import catalog, experiments, metrics, planner
 from semrank.schema import RankParams
@@ -296,3 +296,26 @@ def test_texts_do_not_travel_to_a_ranker_of_scores(spark, monkeypatch):
 def test_query_reads_a_given_table(spark, sf_dir, name):
     df = catalog.QUERIES[name](spark, sf_dir)
     assert df.inputFiles() and df.count() > 1
+
+
+def _scored_pairs(queries, docs):
+    return [
+        baselines.token_overlap(queries, docs).select("scope", "id", F.col("overlap").cast("double").alias("value")),
+        baselines.bm25(queries, docs).select("scope", "id", F.col("bm25").alias("value")),
+        baselines.tfidf_cosine(queries, docs).select("scope", "id", F.col("cosine").alias("value")),
+    ]
+
+
+@pytest.mark.parametrize("odd", [[], [None, "", "1234 ???"]])
+def test_ensemble_needs_no_row_for_each_pair(spark, odd):
+    """Ties, texts without words, null queries, a word in every document; ranks beyond the first of each list count too."""
+    some = ["red", "green", "blue", "grey", "the"]
+    texts = ["the " + " ".join(some[(i * j) % 5] for j in range(i % 7)) + f" x{chr(97 + i % 26)}" for i in range(400)] + odd
+    docs = spark.createDataFrame(list(enumerate(texts)), "id long, payload string").repartition(5)
+    queries = spark.createDataFrame([(1, "the red RED xa"), (1, "red"), (2, "blue grey xb"), (3, None), (4, "zzz"), (5, "The")], "scope long, query string")
+    for n, c in ((3, 2), (40, 60)):
+        got = retrieval.fused_best(queries, docs, n, c)
+        assert "regexp_extract_all" not in got._jdf.queryExecution().toString()
+        want = baselines.reciprocal_rank_fusion(_scored_pairs(queries, docs), n, c)
+        assert sorted(map(tuple, got.collect())) == sorted(map(tuple, want.collect())), (n, c)
+    assert "regexp_extract_all" not in baselines.ensemble_retrieve(queries, docs)._jdf.queryExecution().toString()
