@@ -33,6 +33,30 @@ def words(text: str | None) -> list[str]:
     return _WORD.findall((text or "").lower())
 
 
+def overlaps(queries: DataFrame, docs: DataFrame) -> DataFrame:
+    """(scope, id, overlap) for every query and document: distinct query words that the document holds. Texts are read once and not moved."""
+    texts: dict[int, list[str]] = {}
+    for r in queries.select("scope", "query").collect():
+        texts.setdefault(r["scope"], []).append(r["query"] or "")
+    scopes = sorted(texts)
+    held: dict[str, np.ndarray] = {}
+    for q, scope in enumerate(scopes):
+        for word in (w for text in texts[scope] for w in set(words(text))):
+            held.setdefault(word, np.zeros(len(scopes), np.int64))[q] += 1
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            found = np.zeros((batch.num_rows, len(scopes)), np.int64)
+            for row, text in zip(found, batch.column(1), strict=True):
+                for word in held.keys() & set(words(text.as_py())):
+                    row += held[word]
+            ids = np.repeat(batch.column(0).to_numpy(zero_copy_only=False), len(scopes))
+            yield pa.RecordBatch.from_arrays([pa.array(np.tile(np.array(scopes, np.int64), batch.num_rows)), pa.array(ids), pa.array(found.ravel())], ["scope", "id", "overlap"])
+
+    bound_batches(docs.sparkSession)
+    return docs.select(F.col("id").cast("long").alias("id"), F.col("payload").cast("string").alias("payload")).mapInArrow(run, "scope bigint, id bigint, overlap bigint")
+
+
 def _slot_of(dims: int):
     import xxhash
 

@@ -6,13 +6,14 @@ query is the number of distinct query tokens it holds (score), so rankers with a
 
 from __future__ import annotations
 
-from collections.abc import Iterable
+from collections.abc import Callable, Iterable
+from concurrent.futures import ThreadPoolExecutor
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from ..operators import baselines, topk
+from ..operators import baselines, retrieval, topk
 from ..operators.kernel import Ranked
 from ..operators.rankers import ColumnRanker, NoisyRanker, PairNoiseByListSize, PointScorer, PositionBiasedRanker, Ranker
 from ..schema import RankParams
@@ -22,6 +23,8 @@ from . import metrics, simulate
 SEED, QUERIES, K = 42, 25, 10
 #: Noise of the fine-tuned ranker, of general models, and the proxy's.
 FINE, GENERAL = 0.3, 3.0
+#: Runs of an experiment at a time.
+TOGETHER = 3
 
 
 def corpus(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -32,7 +35,7 @@ def queries(spark: SparkSession, sf_dir: str, n: int = QUERIES) -> DataFrame:
     """The first n benchmark items that some document holds."""
     bench = load(spark, sf_dir, "benchmark").select(F.col("item_id").alias("scope"), F.col("text").alias("query"))
     held = baselines.sparse_gold(bench, corpus(spark, sf_dir)).select("scope").distinct()
-    return bench.join(held, "scope", "left_semi").orderBy("scope").limit(n)
+    return materialise(bench.join(held, "scope", "left_semi").orderBy("scope").limit(n), "queries")  # few rows, read several times
 
 
 def claim_items(spark: SparkSession, sf_dir: str, n_queries: int = QUERIES, n_docs: int | None = None) -> DataFrame:
@@ -40,12 +43,9 @@ def claim_items(spark: SparkSession, sf_dir: str, n_queries: int = QUERIES, n_do
     docs = corpus(spark, sf_dir)
     if n_docs:
         docs = docs.orderBy(F.md5(F.col("id").cast("string").cast("binary"))).limit(n_docs)
-    q = queries(spark, sf_dir, n_queries)
-    hits = baselines.token_overlap(q, docs)
-    every = q.select("scope").crossJoin(docs.select("id"))
-    score = F.coalesce("overlap", F.lit(0)).cast("double")
+    score = F.col("overlap").cast("double")
     rough = score + 3 * (F.conv(F.substring(F.md5(F.concat_ws(":", "scope", "id").cast("binary")), 1, 6), 16, 10).cast("double") / 16777216 - 0.5)
-    return materialise(every.join(hits, ["scope", "id"], "left").select("scope", "id", F.lit(None).cast("string").alias("payload"), score.alias("score"), rough.alias("proxy")), "claims")
+    return materialise(retrieval.overlaps(queries(spark, sf_dir, n_queries), docs).select("scope", "id", F.lit(None).cast("string").alias("payload"), score.alias("score"), rough.alias("proxy")), "claims")
 
 
 def gold_of(items: DataFrame, k: int = K) -> DataFrame:
@@ -79,6 +79,12 @@ def _all(parts: Iterable[DataFrame]) -> DataFrame:
     return out
 
 
+def _together(runs: Iterable[Callable[[], DataFrame]]) -> DataFrame:
+    """The rows of runs that don't need one another, TOGETHER of them at a time: many of a run's jobs are too small for a cluster."""
+    with ThreadPoolExecutor(TOGETHER) as pool:
+        return _all(pool.map(lambda run: run(), runs))
+
+
 def four_plans(items: DataFrame, ranker: Ranker, survivors: Iterable[int] = (1, 5, 10, 15), params: RankParams | None = None) -> DataFrame:
     """Every plan with and without the filter: calls, recall and NDCG."""
     params = params or RankParams.default()
@@ -97,15 +103,17 @@ def method_table(items: DataFrame, gold: DataFrame | None = None) -> DataFrame:
     """Ours and the baselines on one workload. What a ranker is worth is an input here: the noise of FINE and GENERAL, and half of FINE for pairs."""
     p = RankParams.default()
     point = PointScorer(ColumnRanker(), 5000, 0.02, SEED)
-    return _all([
-        measured("tournament", topk.tournament(items, K, fine(), p, SEED), items, gold=gold),
-        measured("pivot", topk.pivot_topk(items, K, fine(), p, SEED), items, gold=gold),
-        measured("tournament, general model", topk.tournament(items, K, general(), p, SEED), items, gold=gold),
-        measured("pivot, general model", topk.pivot_topk(items, K, general(), p, SEED), items, gold=gold),
-        measured("pairwise_prior", baselines.pairwise_prior(items, K, NoisyRanker(ColumnRanker(), FINE / 2, SEED)), items, gold=gold),
-        measured("pairwise_list", baselines.pairwise_list(items, K, fine()), items, gold=gold),
-        measured("pointwise", baselines.pointwise_topk(items, K, point), items, gold=gold),
-    ])
+    gold = materialise(gold_of(items), "gold") if gold is None else gold
+    runs = {
+        "tournament": lambda: topk.tournament(items, K, fine(), p, SEED),
+        "pivot": lambda: topk.pivot_topk(items, K, fine(), p, SEED),
+        "tournament, general model": lambda: topk.tournament(items, K, general(), p, SEED),
+        "pivot, general model": lambda: topk.pivot_topk(items, K, general(), p, SEED),
+        "pairwise_prior": lambda: baselines.pairwise_prior(items, K, NoisyRanker(ColumnRanker(), FINE / 2, SEED)),
+        "pairwise_list": lambda: baselines.pairwise_list(items, K, fine()),
+        "pointwise": lambda: baselines.pointwise_topk(items, K, point),
+    }
+    return _together((lambda label=label, run=run: measured(label, run(), items, gold=gold)) for label, run in runs.items())
 
 
 def pareto_methods(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -142,7 +150,13 @@ def review_sort(spark: SparkSession, sf_dir: str, kind: str = "documents") -> Da
 
 def sweep_select(items: DataFrame, name: str, values: list, of, ranker: Ranker, k_of=lambda v: K) -> DataFrame:
     """(value, calls, recall) of select over one parameter. of(value): its RankParams."""
-    return _all(measured(str(v), topk.select(items, k_of(v), ranker, of(v), SEED), items, k_of(v), False).select(F.lit(name).alias("parameter"), F.lit(float(v)).alias("value"), "calls", "recall") for v in values)
+    golds = {k: materialise(gold_of(items, k), "gold") for k in {k_of(v) for v in values}}
+
+    def run(v) -> DataFrame:
+        got = measured(str(v), topk.select(items, k_of(v), ranker, of(v), SEED), items, k_of(v), False, golds[k_of(v)])
+        return got.select(F.lit(name).alias("parameter"), F.lit(float(v)).alias("value"), "calls", "recall")
+
+    return _together((lambda v=v: run(v)) for v in values)
 
 
 def sweep_list_size(items: DataFrame) -> DataFrame:
@@ -166,8 +180,13 @@ def sweep_sort(spark: SparkSession, sf_dir: str) -> DataFrame:
         items = claim_items(spark, sf_dir, n_docs=n)
         out.append(measured("n", topk.sort(items, fine(), RankParams(pivots=6), SEED), items).withColumn("value", F.lit(float(n))))
     items = claim_items(spark, sf_dir)
-    for size in (5, 20, 64, 128):
-        out.append(measured("list_size", topk.sort(items, PairNoiseByListSize(ColumnRanker(), FINE, SEED, knee=16), RankParams(list_size=size, pivots=min(6, size - 2)), SEED), items).withColumn("value", F.lit(float(size))))
+    gold = materialise(gold_of(items), "gold")
+
+    def run(size: int) -> DataFrame:
+        done = topk.sort(items, PairNoiseByListSize(ColumnRanker(), FINE, SEED, knee=16), RankParams(list_size=size, pivots=min(6, size - 2)), SEED)
+        return measured("list_size", done, items, gold=gold).withColumn("value", F.lit(float(size)))
+
+    out.append(_together((lambda size=size: run(size)) for size in (5, 20, 64, 128)))
     return _all(out).select(F.col("label").alias("parameter"), "value", "calls", "ndcg")
 
 
@@ -197,12 +216,12 @@ def proxy_pivots(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def pivot_groups(items: DataFrame) -> DataFrame:
     """(p, p_prime, early_stop, calls) of select."""
-    out = []
-    for p in (4, 8, 16):
-        for group, stop in ((p, False), (2, False), (2, True)):
-            calls = topk.select(items, K, ColumnRanker(), RankParams(pivots=p, pivot_group=group, early_stop=stop), SEED).calls
-            out.append(calls.groupBy("scope").agg(F.count("*").alias("c")).agg(F.avg("c").alias("calls")).select(F.lit(p).alias("p"), F.lit(group).alias("p_prime"), F.lit(stop).alias("early_stop"), "calls"))
-    return _all(out)
+
+    def run(p: int, group: int, stop: bool) -> DataFrame:
+        calls = topk.select(items, K, ColumnRanker(), RankParams(pivots=p, pivot_group=group, early_stop=stop), SEED).calls
+        return calls.groupBy("scope").agg(F.count("*").alias("c")).agg(F.avg("c").alias("calls")).select(F.lit(p).alias("p"), F.lit(group).alias("p_prime"), F.lit(stop).alias("early_stop"), "calls")
+
+    return _together((lambda x=(p, *x): run(*x)) for p in (4, 8, 16) for x in ((p, False), (2, False), (2, True)))
 
 
 def refinement(items: DataFrame) -> DataFrame:
