@@ -123,14 +123,19 @@ def rank_lists(lists: DataFrame, ranker: Ranker, queries: DataFrame | None = Non
     return got.withColumns({"ranked": F.transform(F.col("_o.order"), lambda p: F.element_at("docs", p)), "repaired": F.col("_o.repaired"), "contradicted": F.col("_o.contradicted")}).drop("_o", "query")
 
 
+def counted(ranked: DataFrame) -> DataFrame:
+    """Ranked lists as they are kept: ``n_items`` and ``chars_in`` for the ledger instead of the documents in slot order."""
+    chars = F.aggregate("docs", F.lit(0).cast("long"), lambda a, d: a + F.coalesce(F.length(d["payload"]), F.lit(0)))
+    return ranked.withColumns({"n_items": F.size("docs"), "chars_in": chars}).drop("docs")
+
+
 def ledger_of(ranked: DataFrame, run_id: str, algo: str, turn: int) -> DataFrame:
-    """One row per call, counted from the materialised lists; each vote is a call."""
+    """One row per call, from the materialised lists (``counted``); each vote is a call."""
     n_votes = F.size("repaired")
     call = F.when(n_votes > 1, F.concat_ws("#", "call_id", F.col("v.at").cast("string"))).otherwise(F.col("call_id"))
-    votes = ranked.filter(F.size("docs") > 1).withColumn("v", F.explode(F.transform(F.arrays_zip("repaired", "contradicted"), lambda x, i: F.struct(i.alias("at"), x["repaired"].alias("repaired"), x["contradicted"].alias("contradicted")))))
+    votes = ranked.filter("n_items > 1").withColumn("v", F.explode(F.transform(F.arrays_zip("repaired", "contradicted"), lambda x, i: F.struct(i.alias("at"), x["repaired"].alias("repaired"), x["contradicted"].alias("contradicted")))))
     return votes.select(
         F.lit(run_id).alias("run_id"), F.lit(algo).alias("algo"), "scope", F.lit(turn).alias("round"), call.alias("call_id"), "kind",
-        F.size("docs").alias("n_items"), F.col("n_pivots").cast("int").alias("n_pivots"),
-        F.aggregate("docs", F.lit(0).cast("long"), lambda a, d: a + F.coalesce(F.length(d["payload"]), F.lit(0))).alias("chars_in"),
+        "n_items", F.col("n_pivots").cast("int").alias("n_pivots"), "chars_in",
         F.col("v.repaired").alias("repaired"), F.col("v.contradicted").alias("contradiction"),
     )

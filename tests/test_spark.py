@@ -319,3 +319,23 @@ def test_ensemble_needs_no_row_for_each_pair(spark, odd):
         want = baselines.reciprocal_rank_fusion(_scored_pairs(queries, docs), n, c)
         assert sorted(map(tuple, got.collect())) == sorted(map(tuple, want.collect())), (n, c)
     assert "regexp_extract_all" not in baselines.ensemble_retrieve(queries, docs)._jdf.queryExecution().toString()
+
+
+def test_claim_items_need_no_row_for_each_word(spark, sf_dir):
+    """Every query's documents with its distinct words that they hold, in one reading of the texts; the passages' holders too."""
+    q = spark.createDataFrame([(1, "Red red blue"), (2, None), (3, "The")], "scope long, query string")
+    docs = spark.createDataFrame([(1, "blue RED the"), (2, None), (3, ""), (4, "the the 7")], "id long, payload string")
+    got = retrieval.overlaps(q, docs)
+    want = {(1, 1): 2, (3, 1): 1, (3, 4): 1}
+    assert {(r["scope"], r["id"]): r["overlap"] for r in got.collect()} == {(s, i): want.get((s, i), 0) for s in (1, 2, 3) for i in (1, 2, 3, 4)}
+    for x in (got, baselines.sparse_gold(q, docs), experiments.queries(spark, sf_dir)):
+        assert "Generate" not in x._jdf.queryExecution().toString()
+
+
+def test_rounds_are_kept_without_their_lists(items, monkeypatch):
+    """A round's lists are written once, in ranked order; the ledger still counts their documents."""
+    kept = {}
+    monkeypatch.setattr(topk, "materialise", lambda df, name="step", real=topk.materialise: kept.setdefault(name, []).append(df.columns) or real(df, name))
+    done = topk.select(items, 5, NoisyRanker(PERFECT, 0.3), tail=100)
+    assert kept["buckets"] and not any("docs" in columns for columns in kept["buckets"] + kept["pivots"])
+    assert done.calls.filter("n_items < 2 or n_items > 20 or chars_in is null").count() == 0
