@@ -2,7 +2,7 @@
 
 Texts are read once: a document's counts of query words and hashed slots are written in short form. Each task scores its
 documents for every query and keeps those that can still be among the best; the ranks of the few that a query's best can
-come from are counted against all documents in a second turn. Ids of documents are unique; queries go to every task whole.
+come from are counted against all documents in a second turn. Queries go to every task whole.
 """
 
 from __future__ import annotations
@@ -107,6 +107,27 @@ def _columns(pairs: list[tuple[int, int]]) -> tuple[np.ndarray, np.ndarray]:
     return got[:, 0], got[:, 1]
 
 
+def _one_row_each(counted: DataFrame) -> DataFrame:
+    """Rows of one id (null is one too) as one document that has all their words; ids that occur once are neither moved nor written again."""
+    again = materialise(counted.groupBy(F.col("id").alias("_id")).agg(F.count("*").alias("_n")).filter("_n > 1").select("_id"), "again")
+    if again.isEmpty():
+        return counted
+
+    def entries(kind: int, at: str, n: str):
+        return F.transform(F.arrays_zip(at, n), lambda x: F.struct(F.lit(kind).alias("kind"), x[at].alias("at"), x[n].cast("long").alias("n")))
+
+    def summed(kind: int):
+        return F.sort_array(F.collect_list(F.when(F.col("kind") == kind, F.struct("at", "n"))))
+
+    same = F.col("id").eqNullSafe(F.col("_id"))
+    size = F.array(F.struct(F.lit(0).alias("kind"), F.lit(0).alias("at"), F.col("len").alias("n")))
+    rows = counted.join(again, same, "left_semi").select("id", F.explode(F.concat(size, entries(1, "terms", "tf"), entries(2, "slots", "sf"))).alias("x"))
+    sums = rows.groupBy("id", "x.kind", "x.at").agg(F.sum("x.n").alias("n"))
+    one = sums.groupBy("id").agg(F.sum(F.when(F.col("kind") == 0, F.col("n"))).alias("len"), summed(1).alias("t"), summed(2).alias("s"))
+    merged = one.select("id", "len", *(F.col(x).cast("array<int>").alias(name) for x, name in (("t.at", "terms"), ("t.n", "tf"), ("s.at", "slots"), ("s.n", "sf"))))
+    return materialise(counted.join(again, same, "left_anti").unionByName(merged), "counted")
+
+
 def _counts_of(counted: DataFrame, n_terms: int, dims: int) -> tuple[int, int, int, np.ndarray, np.ndarray]:
     """Documents, those with words, their words, and in how many documents each term and each slot occurs."""
 
@@ -208,18 +229,21 @@ def fused_best(queries: DataFrame, docs: DataFrame, n: int = 50, c: int = 60, di
 
     A document that no retriever has among its first m scores at most 3 / (c + m + 1), and each of the first n of one list
     at least 1 / (c + n); with m = 2 c + 3 n the best n of a query are among the first m of some retriever. Their ranks in
-    the other lists are counted over all documents.
+    the other lists are counted over all documents. Rows of one id are one document that has
+    all their words; what has no id counts in the words' statistics as one document, but is in no list. A null scope is a query too.
     """
     spark = docs.sparkSession
-    texts: dict[int, list[str]] = {}
+    texts: dict[int | None, list[str]] = {}
     for r in queries.select("scope", "query").collect():
         texts.setdefault(r["scope"], []).append(r["query"] or "")
-    scopes = sorted(x for x in texts if x is not None)
+    # from here to the end a query goes by its place in this list
+    scopes = sorted(texts, key=lambda x: (x is None, x or 0))
     asks = [texts[s] for s in scopes]
     vocabulary = {w: i for i, w in enumerate(sorted({w for a in asks for t in a for w in words(t)}))}
-    counted = materialise(count_words(docs, vocabulary, dims), "counted")
+    every = _one_row_each(materialise(count_words(docs, vocabulary, dims), "counted"))
+    counted = every.filter("id is not null")
     scorer, most = Scorer(asks, vocabulary, dims, k1, b), 2 * c + 3 * n
-    scorer.learn(*_counts_of(counted, len(vocabulary), dims))
+    scorer.learn(*_counts_of(every, len(vocabulary), dims))
     lists, bits = range(len(_LISTS)), CHUNK_BITS
 
     def nominate(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -232,9 +256,9 @@ def fused_best(queries: DataFrame, docs: DataFrame, n: int = 50, c: int = 60, di
                 own, its = np.concatenate([held[q][0], ids[some]]), np.concatenate([held[q][1], keys[:, q, some]], axis=1)
                 some = np.unique(np.concatenate([_first(its[x], own, most) for x in lists]))
                 held[q] = own[some], its[:, some]
-        for scope, (own, its) in zip(scopes, held, strict=True):
+        for q, (own, its) in enumerate(held):
             if len(own):
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(own), scope)), pa.array(own), *(pa.array(its[x]) for x in lists)], ["scope", "id", "k0", "k1", "k2"])
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(own), q)), pa.array(own), *(pa.array(its[x]) for x in lists)], ["scope", "id", "k0", "k1", "k2"])
 
     def narrow(part: pd.DataFrame) -> pd.DataFrame:
         """The documents that can be among the best n; r: the rank, 0 where it isn't known yet, -1 where the list hasn't the document."""
@@ -253,11 +277,10 @@ def fused_best(queries: DataFrame, docs: DataFrame, n: int = 50, c: int = 60, di
     cands = materialise(nominated.groupBy("scope").applyInPandas(narrow, f"{_CAND}, r0 bigint, r1 bigint, r2 bigint"), "cands")
     open_: dict[tuple[int, int], tuple[np.ndarray, np.ndarray]] = {}
     asked = cands.filter("r0 = 0 or r1 = 0 or r2 = 0").toPandas()
-    number = {s: q for q, s in enumerate(scopes)}
-    for scope, part in asked.groupby("scope"):
+    for q, part in asked.groupby("scope"):
         for x in lists:
             if len(own := part[part[f"r{x}"] == 0]):
-                open_[x, number[scope]] = own["id"].to_numpy(), own[f"k{x}"].to_numpy()
+                open_[x, q] = own["id"].to_numpy(), own[f"k{x}"].to_numpy()
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         """How many documents of the task stand before each candidate: keys and places by id as one number, which is sorted."""
@@ -271,7 +294,7 @@ def fused_best(queries: DataFrame, docs: DataFrame, n: int = 50, c: int = 60, di
                 line = np.sort((-keys[x, q] << bits) + place)
                 before[x, q] += np.searchsorted(line, (-its << bits) + np.searchsorted(by_id, own))
         for (x, q), (own, _) in open_.items():
-            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(own), scopes[q])), pa.array(own), pa.array(np.full(len(own), x)), pa.array(before[x, q])], ["scope", "id", "list", "n"])
+            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(own), q)), pa.array(own), pa.array(np.full(len(own), x)), pa.array(before[x, q])], ["scope", "id", "list", "n"])
 
     known = F.explode(F.array(*(F.struct(F.lit(x).cast("long").alias("list"), F.col(f"r{x}").alias("r")) for x in lists)))
     ranks = cands.select("scope", "id", known.alias("v")).select("scope", "id", "v.list", "v.r").filter("r > 0")
@@ -280,4 +303,6 @@ def fused_best(queries: DataFrame, docs: DataFrame, n: int = 50, c: int = 60, di
         ranks = ranks.unionByName(seen.select("scope", "id", "list", (F.col("n") + 1).alias("r")))
     fused = ranks.groupBy("scope", "id").agg(F.round(F.sum(1 / (c + F.col("r"))), 9).alias("score"))
     w = W.partitionBy("scope").orderBy(F.desc("score"), "id")
-    return fused.withColumn("_at", F.row_number().over(w)).filter(F.col("_at") <= n).drop("_at")
+    best = fused.withColumn("_at", F.row_number().over(w)).filter(F.col("_at") <= n).withColumnRenamed("scope", "_q")
+    named = spark.createDataFrame(list(enumerate(scopes)), "_q bigint, scope bigint")
+    return best.join(F.broadcast(named), "_q").select("scope", "id", "score")

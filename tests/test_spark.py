@@ -339,3 +339,18 @@ def test_rounds_are_kept_without_their_lists(items, monkeypatch):
     done = topk.select(items, 5, NoisyRanker(PERFECT, 0.3), tail=100)
     assert kept["buckets"] and not any("docs" in columns for columns in kept["buckets"] + kept["pivots"])
     assert done.calls.filter("n_items < 2 or n_items > 20 or chars_in is null").count() == 0
+
+
+def test_ensemble_with_repeated_and_missing_ids(spark):
+    """Rows of one id are one document, rows without one are in no list, and a null scope is a query."""
+    some = ["red", "green", "blue", "grey"]
+    rows = [(i, " ".join(some[(i * j) % 4] for j in range(i % 6)) + f" x{chr(97 + i % 26)}") for i in range(200)]
+    rows += [(3, "red red"), (3, None), (4, ""), (9, "blue zz zz"), (9, "zz xj"), (None, "red"), (None, "blue red zz"), *[(7, f"red x{chr(97 + i)}") for i in range(20)]]
+    docs = spark.createDataFrame(rows, "id long, payload string").repartition(4)
+    queries = spark.createDataFrame([(0, "red zz"), (1, "blue xa"), (2, "xj green")], "scope long, query string")
+    whole = docs.groupBy("id").agg(F.concat_ws(" ", F.collect_list("payload")).alias("payload"))
+    asked = queries.withColumn("scope", F.when(F.col("scope") > 0, F.col("scope")))
+    for n, c in ((3, 2), (40, 60)):
+        got = {(r["scope"] or 0, r["id"], r["score"]) for r in retrieval.fused_best(asked, docs, n, c).collect()}
+        want = baselines.reciprocal_rank_fusion([x.filter("id is not null") for x in _scored_pairs(queries, whole)], n, c)
+        assert got == set(map(tuple, want.collect())), (n, c)
