@@ -21,6 +21,8 @@ from pyspark.sql import functions as F
 from ..sources.tables import bound_batches, materialise
 
 _WORD = re.compile("[a-z]+")
+#: Every byte but a to z as a blank: what lies between is ``words`` of a text in UTF-8.
+_LETTERS = bytes(c if 97 <= c <= 122 else 32 for c in range(256))
 _LISTS = ("overlap", "bm25", "cosine")
 #: Documents that a task scores at a time, and bits that number them.
 CHUNK, CHUNK_BITS = 2048, 12
@@ -39,16 +41,16 @@ def overlaps(queries: DataFrame, docs: DataFrame) -> DataFrame:
     for r in queries.select("scope", "query").collect():
         texts.setdefault(r["scope"], []).append(r["query"] or "")
     scopes = sorted(texts)
-    held: dict[str, np.ndarray] = {}
+    held: dict[bytes, np.ndarray] = {}
     for q, scope in enumerate(scopes):
         for word in (w for text in texts[scope] for w in set(words(text))):
-            held.setdefault(word, np.zeros(len(scopes), np.int64))[q] += 1
+            held.setdefault(word.encode(), np.zeros(len(scopes), np.int64))[q] += 1
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             found = np.zeros((batch.num_rows, len(scopes)), np.int64)
             for row, text in zip(found, batch.column(1), strict=True):
-                for word in held.keys() & set(words(text.as_py())):
+                for word in held.keys() & set((text.as_py() or "").lower().encode().translate(_LETTERS).split()):
                     row += held[word]
             ids = np.repeat(batch.column(0).to_numpy(zero_copy_only=False), len(scopes))
             yield pa.RecordBatch.from_arrays([pa.array(np.tile(np.array(scopes, np.int64), batch.num_rows)), pa.array(ids), pa.array(found.ravel())], ["scope", "id", "overlap"])

@@ -38,14 +38,19 @@ def queries(spark: SparkSession, sf_dir: str, n: int = QUERIES) -> DataFrame:
     return materialise(bench.join(held, "scope", "left_semi").orderBy("scope").limit(n), "queries")  # few rows, read several times
 
 
-def claim_items(spark: SparkSession, sf_dir: str, n_queries: int = QUERIES, n_docs: int | None = None) -> DataFrame:
-    """items: every document for every query with its true relevance; proxy: relevance seen through a rough lens."""
-    docs = corpus(spark, sf_dir)
+def first_docs(docs: DataFrame, n: int) -> DataFrame:
+    """n documents in the order of a hash."""
+    return docs.orderBy(F.md5(F.col("id").cast("string").cast("binary"))).limit(n)
+
+
+def claim_items(spark: SparkSession, sf_dir: str, n_queries: int = QUERIES, n_docs: int | None = None, asks: DataFrame | None = None, docs: DataFrame | None = None) -> DataFrame:
+    """items: every document for every query with its true relevance; proxy: relevance seen through a rough lens. asks, docs: the queries and the corpus, where known."""
+    docs = corpus(spark, sf_dir) if docs is None else docs
     if n_docs:
-        docs = docs.orderBy(F.md5(F.col("id").cast("string").cast("binary"))).limit(n_docs)
+        docs = first_docs(docs, n_docs)
     score = F.col("overlap").cast("double")
     rough = score + 3 * (F.conv(F.substring(F.md5(F.concat_ws(":", "scope", "id").cast("binary")), 1, 6), 16, 10).cast("double") / 16777216 - 0.5)
-    return materialise(retrieval.overlaps(queries(spark, sf_dir, n_queries), docs).select("scope", "id", F.lit(None).cast("string").alias("payload"), score.alias("score"), rough.alias("proxy")), "claims")
+    return materialise(retrieval.overlaps(queries(spark, sf_dir, n_queries) if asks is None else asks, docs).select("scope", "id", F.lit(None).cast("string").alias("payload"), score.alias("score"), rough.alias("proxy")), "claims")
 
 
 def gold_of(items: DataFrame, k: int = K) -> DataFrame:
@@ -64,12 +69,12 @@ def general(sigma: float = GENERAL) -> Ranker:
 def measured(label: str, done: Ranked, items: DataFrame, k: int = K, ordered: bool = True, gold: DataFrame | None = None) -> DataFrame:
     """(label, calls, recall, ndcg): means over queries. gold: (scope, id, rel), the true top k if not given."""
     gold = gold_of(items, k) if gold is None else gold
-    rows = materialise(done.rows, "rows")
+    rows = materialise(done.rows.filter(F.col("rank").isNull() | (F.col("rank") <= k)), "rows")  # what the measures look at
     recall = metrics.recall_at_k(rows, gold, k).agg(F.avg("recall").alias("recall"))
     ndcg = metrics.ndcg_at_k(rows, gold, k).agg(F.avg("ndcg").alias("ndcg")) if ordered else recall.select(F.lit(None).cast("double").alias("ndcg"))
     n = items.select("scope").distinct().count()
     calls = done.calls.agg((F.count("*") / n).alias("calls"))
-    return recall.crossJoin(ndcg).crossJoin(calls).select(F.lit(label).alias("label"), "calls", "recall", "ndcg")
+    return materialise(recall.crossJoin(ndcg).crossJoin(calls).select(F.lit(label).alias("label"), "calls", "recall", "ndcg"), "measured")
 
 
 def _all(parts: Iterable[DataFrame]) -> DataFrame:
@@ -175,11 +180,12 @@ def sweep_p(items: DataFrame) -> DataFrame:
 
 def sweep_sort(spark: SparkSession, sf_dir: str) -> DataFrame:
     """NDCG of a full sort against the number of documents (flat) and the list size (falling)."""
-    out = []
+    out, asks = [], queries(spark, sf_dir)
+    docs = materialise(first_docs(corpus(spark, sf_dir), 200), "docs")
     for n in (50, 100, 200):
-        items = claim_items(spark, sf_dir, n_docs=n)
+        items = claim_items(spark, sf_dir, n_docs=n, asks=asks, docs=docs)
         out.append(measured("n", topk.sort(items, fine(), RankParams(pivots=6), SEED), items).withColumn("value", F.lit(float(n))))
-    items = claim_items(spark, sf_dir)
+    items = claim_items(spark, sf_dir, asks=asks)
     gold = materialise(gold_of(items), "gold")
 
     def run(size: int) -> DataFrame:
