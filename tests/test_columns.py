@@ -77,3 +77,19 @@ def test_sort_sweep_looks_for_its_queries_once(spark, sf_dir, monkeypatch):
     got = experiments.sweep_sort(spark, sf_dir).collect()
     assert [(r["parameter"], r["value"]) for r in got] == [("n", 50), ("n", 100), ("n", 200), ("list_size", 5), ("list_size", 20), ("list_size", 64), ("list_size", 128)]
     assert len(asked) == 1 and arrays == ["sort"] * 7
+
+
+def swept(run, monkeypatch):
+    """Rows of an experiment, which scopes were finished as arrays, and rows without that."""
+    from semrank.plans import experiments
+
+    asked, whole = [], topk.run_columns
+    monkeypatch.setattr(topk, "run_columns", lambda items, algo, *a, **b: asked.append(algo) or whole(items, algo, *a, **b))
+    got = run(experiments).collect()
+    monkeypatch.setattr(columns, "columnar", lambda ranker: False)
+    return sorted(map(tuple, got)), sorted(asked), sorted(map(tuple, run(experiments).collect()))
+
+
+def test_list_sizes_as_call_by_call(items, monkeypatch):
+    got, asked, want = swept(lambda e: e.sweep_list_size(items.filter("scope in (1, 2)")), monkeypatch)
+    assert got == want and asked == ["select"] * 8
