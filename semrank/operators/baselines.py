@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 from ..schema import RankParams
 from ..sources.tables import bound_batches, materialise
 from .kernel import Ranked
-from .rankers import ListRequest, PointScorer, Ranker, parse_score
+from .rankers import ColumnRanker, ListRequest, PointScorer, Ranker, parse_score
 from .retrieval import fused_best
 from .topk import pivot_topk
 
@@ -37,6 +37,15 @@ def score_points(items: DataFrame, scorer: PointScorer, queries: DataFrame | Non
     schema = "scope bigint, id bigint, response string, score double, valid boolean"
     names = [c.split(" ")[0] for c in schema.split(", ")]
 
+    def many(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for part in parts:
+            texts = scorer.responses(part["id"].tolist(), part["score"].astype(object).where(part["score"].notna(), None).tolist())
+            known = {x: parse_score(x, scorer.top) for x in set(texts)}
+            yield pd.DataFrame({"scope": part["scope"], "id": part["id"], "response": texts, "score": [known[x][0] for x in texts], "valid": [known[x][1] for x in texts]}, columns=names)
+
+    if type(scorer) is PointScorer and type(scorer.base) is ColumnRanker:
+        return x.select("scope", "id", "score").mapInPandas(many, schema)
+
     def run(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for part in parts:
             out = []

@@ -90,9 +90,10 @@ def _together(runs: Iterable[Callable[[], DataFrame]]) -> DataFrame:
         return _all(pool.map(lambda run: run(), runs))
 
 
-def four_plans(items: DataFrame, ranker: Ranker, survivors: Iterable[int] = (1, 5, 10, 15), params: RankParams | None = None) -> DataFrame:
+def four_plans(items: DataFrame, ranker: Ranker, survivors: Iterable[int] = (1, 5, 10, 15), params: RankParams | None = None, gold: DataFrame | None = None) -> DataFrame:
     """Every plan with and without the filter: calls, recall and NDCG."""
     params = params or RankParams.default()
+    gold = materialise(gold_of(items), "gold") if gold is None else gold
     parts = []
     for s in (0, *survivors):
         kept = topk.bin_filter(items, ranker, params.but(survivors=s), SEED) if s else None
@@ -100,7 +101,7 @@ def four_plans(items: DataFrame, ranker: Ranker, survivors: Iterable[int] = (1,
         for agg in ("tournament", "pivot"):
             done = topk.tournament(own, K, ranker, params, SEED) if agg == "tournament" else topk.pivot_topk(own, K, ranker, params, SEED)
             calls = done.calls.unionByName(kept.calls) if kept else done.calls
-            parts.append(measured(f"{agg} S={s}" if s else agg, Ranked(done.rows, calls), items))
+            parts.append(measured(f"{agg} S={s}" if s else agg, Ranked(done.rows, calls), items, gold=gold))
     return _all(parts)
 
 
@@ -124,7 +125,8 @@ def method_table(items: DataFrame, gold: DataFrame | None = None) -> DataFrame:
 def pareto_methods(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The undominated methods of the workload by calls and NDCG, the four plans among them."""
     items = claim_items(spark, sf_dir)
-    table = method_table(items).unionByName(four_plans(items, fine(), (1,)).filter("label like '%S=1'"))
+    gold = materialise(gold_of(items), "gold")
+    table = method_table(items, gold).unionByName(four_plans(items, fine(), (1,), gold=gold).filter("label like '%S=1'"))
     return metrics.pareto(materialise(table, "methods"), "calls", "ndcg")
 
 

@@ -93,3 +93,20 @@ def swept(run, monkeypatch):
 def test_list_sizes_as_call_by_call(items, monkeypatch):
     got, asked, want = swept(lambda e: e.sweep_list_size(items.filter("scope in (1, 2)")), monkeypatch)
     assert got == want and asked == ["select"] * 8
+
+
+def test_pareto_finds_its_gold_once(spark, sf_dir, monkeypatch):
+    from semrank.plans import experiments
+
+    asked, whole = [], experiments.gold_of
+    monkeypatch.setattr(experiments, "gold_of", lambda *a: asked.append(a) or whole(*a))
+    monkeypatch.setattr(experiments, "QUERIES", 3)
+    assert experiments.pareto_methods(spark, sf_dir).count() and len(asked) == 1
+
+
+def test_points_as_one_by_one():
+    from semrank.operators.rankers import ListRequest, PointScorer
+
+    scorer = PointScorer(ColumnRanker(), 5000, 0.1, 3)
+    scores = [None if i % 9 == 0 else float(i % 40 - 5) for i in range(500)]
+    assert scorer.responses(list(range(500)), scores) == [scorer.respond(ListRequest("c", [i], [None], [s])) for i, s in enumerate(scores)]
